@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from . import language
+from . import language, licenses, toxicity, vectors
 from .common import residue, table
 
 
@@ -14,6 +14,35 @@ def op9_language(spark, sf_dir):
     return language.predict(docs, langs, lookup).select("doc_id", (residue("doc_id", 4) == 2).alias("held_out"), "lang_pred", "score")
 
 
-QUERIES = {"op9_language": op9_language}
+def op10_license_scan(spark, sf_dir):
+    return licenses.scan(table(spark, sf_dir, "documents")).drop("lines")
 
-ORACLES: dict[str, str] = {}
+
+def op1_exact_topk(spark, sf_dir):
+    vectors_ = vectors.quantize(table(spark, sf_dir, "embeddings").select("vec_id", "embedding"))
+    return vectors.top_k(vectors_, vectors_.filter("vec_id % 50 = 0"), k=5)
+
+
+def op3_toxicity(spark, sf_dir):
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    labels = table(spark, sf_dir, "labels").select("doc_id", "toxic").filter(residue("doc_id", 5) != 0)
+    model = toxicity.fit(docs, docs, labels)
+    return toxicity.score(docs, model).select("doc_id", (residue("doc_id", 5) == 0).alias("held_out"), "score", "predicted")
+
+
+QUERIES = {
+    "op1_exact_topk": op1_exact_topk,
+    "op3_toxicity": op3_toxicity,
+    "op9_language": op9_language,
+    "op10_license_scan": op10_license_scan,
+}
+
+ORACLES: dict[str, str] = {
+    "op1_exact_topk": """
+        WITH v AS (SELECT CAST(vec_id AS BIGINT) AS vec_id, list_transform(embedding, lambda x: floor(CAST(x AS DOUBLE) * 256)) AS q FROM embeddings
+                   WHERE embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0),
+             s AS (SELECT a.vec_id AS query_id, b.vec_id AS vec_id, CAST(list_inner_product(a.q, b.q) AS BIGINT) AS score
+                   FROM v a JOIN v b ON a.vec_id % 50 = 0 AND a.vec_id <> b.vec_id),
+             r AS (SELECT *, CAST(row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS INTEGER) AS rank FROM s)
+        SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 5""",
+}
