@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from . import language, licenses, toxicity, vectors
+from . import decontam, language, licenses, pages, pii, toxicity, vectors
 from .common import residue, table
 
 
@@ -23,6 +23,18 @@ def op1_exact_topk(spark, sf_dir):
     return vectors.top_k(vectors_, vectors_.filter("vec_id % 50 = 0"), k=5)
 
 
+def op2_decontamination(spark, sf_dir):
+    return decontam.find(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
+def op4_pii(spark, sf_dir):
+    return pii.digest(pii.spans(table(spark, sf_dir, "documents").select("doc_id", "text")))
+
+
+def op8_main_text(spark, sf_dir):
+    return pages.extract(table(spark, sf_dir, "pages"))
+
+
 def op3_toxicity(spark, sf_dir):
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     labels = table(spark, sf_dir, "labels").select("doc_id", "toxic").filter(residue("doc_id", 5) != 0)
@@ -32,7 +44,10 @@ def op3_toxicity(spark, sf_dir):
 
 QUERIES = {
     "op1_exact_topk": op1_exact_topk,
+    "op2_decontamination": op2_decontamination,
     "op3_toxicity": op3_toxicity,
+    "op4_pii": op4_pii,
+    "op8_main_text": op8_main_text,
     "op9_language": op9_language,
     "op10_license_scan": op10_license_scan,
 }
