@@ -138,11 +138,11 @@ def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, groups: int = 64)
     blocks = materialize(pack(queries.coalesce(max(1, queries.sparkSession.sparkContext.defaultParallelism)), BLOCK).select(F.col("ids").alias("qids"), F.col("m").alias("qm"), F.col("dim").alias("qdim")), "query-blocks")
     dealt = blocks.withColumn("g", F.explode(F.sequence(F.lit(0), F.lit(groups - 1)).cast("array<long>")))
     base = ["qids", "qm", "qdim", "ids", "m", "dim"]
-    lists = _over_pairs(shards.join(dealt, "g"), _local_lists, k, base)
+    lists = _over_pairs(shards.join(dealt.hint("merge"), "g"), _local_lists, k, base)
     nth = Window.partitionBy("query_id").orderBy(F.desc("score"))
     cutoff = lists.withColumn("r", F.row_number().over(nth)).filter(F.col("r") <= k).groupBy("query_id").agg(F.when(F.count("*") >= k, F.min("score")).otherwise(F.lit(-(2**63))).alias("cut"))
     with_cut = _cutoffs(blocks, cutoff).withColumn("g", F.explode(F.sequence(F.lit(0), F.lit(groups - 1)).cast("array<long>")))
-    found = _over_pairs(shards.join(with_cut, "g"), _collected, k, [*base, "cuts"])
+    found = _over_pairs(shards.join(with_cut.hint("merge"), "g"), _collected, k, [*base, "cuts"])
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
