@@ -1,0 +1,62 @@
+"""Word shingles as 64-bit numbers: the sets behind near-duplicate detection."""
+
+from __future__ import annotations
+
+import numpy as np
+import xxhash
+
+GOLD = np.uint64(0x9E3779B97F4A7C15)
+
+
+class WordCodes(dict):
+    """Word (bytes) -> 64-bit hash; forgets all words when it has grown to ``most``."""
+
+    def __init__(self, most: int = 300_000):
+        self.most = most
+
+    def __missing__(self, word: bytes) -> int:
+        if len(self) >= self.most:
+            self.clear()
+        h = self[word] = xxhash.xxh64_intdigest(word)
+        return h
+
+
+def ascii_words(text: str | None) -> list[bytes]:
+    """A-Z lower-cased, cut at ASCII white space."""
+    return (text or "").encode("utf-8", "surrogatepass").lower().split()
+
+
+def mix(x: np.ndarray) -> np.ndarray:
+    x = (x ^ (x >> np.uint64(32))) * np.uint64(0xD6E8FEB86659FD93)
+    return x ^ (x >> np.uint64(32))
+
+
+def shingle_set(words: list[bytes], size: int, codes: WordCodes) -> np.ndarray:
+    """Sorted distinct hashes of the runs of ``size`` words; all words as one run if there are fewer; empty without words."""
+    if not words:
+        return np.empty(0, np.uint64)
+    h = np.fromiter(map(codes.__getitem__, words), np.uint64, len(words))
+    k = min(size, len(words))
+    total = np.zeros(len(words) - k + 1, np.uint64)
+    for i in range(k):
+        total = (total + h[i : len(h) - k + 1 + i]) * GOLD
+    return np.unique(mix(total + np.uint64(k)))
+
+
+def overlap(a: np.ndarray, b: np.ndarray) -> int:
+    """Size of the intersection of two sorted distinct arrays."""
+    if len(a) > len(b):
+        a, b = b, a
+    if not len(a):
+        return 0
+    at = np.searchsorted(b, a)
+    at[at == len(b)] = len(b) - 1
+    return int((b[at] == a).sum())
+
+
+def similar(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
+    """Whether 100 * |a & b| >= percent * |a | b|."""
+    if 100 * min(len(a), len(b)) < percent * max(len(a), len(b)):
+        return False
+    both = overlap(a, b)
+    return 100 * both >= percent * (len(a) + len(b) - both)
