@@ -150,11 +150,11 @@ def text_features(text: str, log3: np.ndarray, memo: dict) -> set[str]:
 
 
 def _sample(docs: DataFrame, labels: DataFrame, max_rows: int) -> DataFrame:
-    """At most ``max_rows`` labelled rows with text, the smallest by a hash of the id, each id once."""
+    """At most ``max_rows`` labelled rows with text, the smallest by a hash of the id, each id once; so few ids may be broadcast."""
     known = labels.filter(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
     known = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_rows)
     texts = docs.filter(F.col("text").isNotNull()).select("doc_id", "text")
-    return materialize(texts.join(known, "doc_id").select("doc_id", "text", "toxic"), "toxicity-sample")
+    return materialize(texts.join(F.broadcast(known), "doc_id").select("doc_id", "text", "toxic"), "toxicity-sample")
 
 
 def _toxic_rows(sample: DataFrame, log3) -> list[list[str]]:
