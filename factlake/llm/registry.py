@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from . import decontam, language, licenses, mixing, neardup, pages, pii, toxicity, vectors
+from . import decontam, exactdup, language, licenses, mixing, neardup, pages, pii, toxicity, vectors
 from .common import residue, table
 
 
@@ -31,6 +31,10 @@ def op4_pii(spark, sf_dir):
     return pii.digest(pii.spans(table(spark, sf_dir, "documents").select("doc_id", "text")))
 
 
+def op5_suffix_dedup(spark, sf_dir):
+    return exactdup.deduplicate(table(spark, sf_dir, "documents")).drop("kept")
+
+
 def op6_mixing(spark, sf_dir):
     return mixing.mix(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
@@ -55,6 +59,7 @@ QUERIES = {
     "op2_decontamination": op2_decontamination,
     "op3_toxicity": op3_toxicity,
     "op4_pii": op4_pii,
+    "op5_suffix_dedup": op5_suffix_dedup,
     "op6_mixing": op6_mixing,
     "op7_near_duplicates": op7_near_duplicates,
     "op8_main_text": op8_main_text,
