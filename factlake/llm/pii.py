@@ -36,7 +36,7 @@ PATTERNS = {
 }
 CANDIDATE = r"(?<!\S)[^\s0-9]*+[0-9]\S*+"
 PART = r"0*(?:[0-9]{1,2}|1[0-9]{2}|2[0-4][0-9]|25[0-5])"
-NEAR, FEW = 64, 100_000
+NEAR, FEW = 64, 20_000
 
 
 def _valid(kind: Column, value: Column) -> Column:
@@ -120,7 +120,11 @@ def confident(occ: DataFrame, texts: DataFrame, rounds: int, support: int, confi
     norm = F.translate(F.lower(F.coalesce(F.col("text").cast("string"), F.lit(""))), "123456789", "000000000")
     w = texts.select(F.split(norm, r"\s+").alias("w"))
     pairs = w.select(F.explode(F.expr("transform(sequence(1, greatest(size(w) - 1, 1)), i -> concat_ws(' ', try_element_at(w, i), try_element_at(w, i + 1)))")).alias("pattern"))
-    held = pairs.join(F.broadcast(wide.select("pattern")) if n <= FEW else wide.select("pattern"), "pattern").groupBy("pattern").agg(F.count("*").alias("places"))
+    if n <= FEW:  # a checked size: the patterns are looked up while rows stream by
+        held = pairs.filter(F.col("pattern").isin([r["pattern"] for r in wide.collect()]))
+    else:
+        held = pairs.join(wide.select("pattern"), "pattern")
+    held = held.groupBy("pattern").agg(F.count("*").alias("places"))
     used = occ.filter("kind IS NOT NULL").join(F.broadcast(wide.select("pattern")) if n <= FEW else wide.select("pattern"), "pattern", "left_semi").groupBy("pattern").agg(F.count("*").alias("used"))
     fit = held.join(used, "pattern").filter(F.col("used") >= specific * F.col("places")).select("pattern")
     return materialize(patterns.filter(~F.contains("pattern", F.lit(" "))).unionByName(wide.join(fit, "pattern", "left_semi")), "pii-specific")
