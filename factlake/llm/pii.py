@@ -150,3 +150,30 @@ def digest(found: DataFrame) -> DataFrame:
     count = lambda k: F.size(F.filter("base", lambda x: x["kind"] == k)).cast("long").alias(f"n_{k}")
     counts = [count(k) for k in KINDS]
     return found.select("doc_id", *counts, F.sha2(line("base").cast("binary"), 256).alias("base_sha256"), line("spans").alias("spans"))
+
+
+def _tags(text: Column) -> list[Column]:
+    return [F.xxhash64(text).alias("tag"), F.xxhash64(F.lit(1), text).alias("tag2")]
+
+
+def mask(docs: DataFrame, **how) -> DataFrame:
+    """``docs`` with every span of personal data in ``text`` replaced by its kind in angle brackets, overlapping
+    spans by that of the first, and ``n_chars`` (if there) brought up to date. Spans depend on the text
+    alone, so they are joined by a 128-bit hash of it, and only to texts that have some."""
+    texts = docs.select(F.lit(None).cast("long").alias("doc_id"), "text")
+    found = spans(texts, **how).filter(F.size("spans") > 0).select("row", F.col("spans"))
+    keys = texts.select(F.monotonically_increasing_id().alias("row"), *_tags(F.coalesce(F.col("text").cast("string"), F.lit(""))))
+    few = materialize(found.join(keys, "row").drop("row").dropDuplicates(["tag", "tag2"]), "pii-masks")
+    # spans that overlap the one before them fall to it
+    ends = F.transform("spans", lambda x, i: F.when(i == 0, 0).otherwise(F.array_max(F.transform(F.slice("spans", F.lit(1), F.greatest(i, F.lit(1))), lambda y: y["end"]))).cast("long"))
+    own = few.select("tag", "tag2", F.filter(F.transform(F.arrays_zip("spans", ends.alias("before")), lambda z: F.struct(z["spans"]["start"].alias("start"), F.greatest(z["spans"]["end"], z["before"]).alias("end"), z["spans"]["kind"].alias("kind"), z["before"].alias("before"))), lambda x: x["start"] >= x["before"]).alias("own"), F.array_max(F.transform("spans", lambda x: x["end"])).alias("stop"))
+    own = own.select("tag", "tag2", "own", "stop")
+    rows = docs.withColumns({"_tag": F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit(""))), "_tag2": F.xxhash64(F.lit(1), F.coalesce(F.col("text").cast("string"), F.lit("")))})
+    own = own.withColumnsRenamed({"tag": "_tag", "tag2": "_tag2", "own": "_own", "stop": "_stop"})
+    rows = rows.join(F.broadcast(own) if own.count() <= FEW * 10 else own, ["_tag", "_tag2"], "left")
+    piece = lambda x: F.concat(F.substr(F.col("text"), (x["before"] + 1).cast("int"), (x["start"] - x["before"]).cast("int")), F.lit("<"), x["kind"], F.lit(">"))
+    text = F.when(F.col("_own").isNull(), F.col("text")).otherwise(F.concat(F.array_join(F.transform("_own", piece), ""), F.substr(F.col("text"), (F.col("_stop") + 1).cast("int"))))
+    rows = rows.withColumn("text", text)
+    if "n_chars" in docs.columns:
+        rows = rows.withColumn("n_chars", F.coalesce(F.length("text").cast("long"), F.col("n_chars")) if dict(docs.dtypes)["n_chars"] == "bigint" else F.col("n_chars"))
+    return rows.select(*docs.columns)
