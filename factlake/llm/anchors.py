@@ -35,6 +35,11 @@ def _mixed(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(29))
 
 
+def spread(h: np.ndarray) -> np.ndarray:
+    """Even values again for hashes that were chosen for being small."""
+    return _mixed(h * np.uint64(0x9E3779B97F4A7C15) + np.uint64(0x94D049BB133111EB))
+
+
 class Sums:
     """Prefix sums of a byte string: hashes of any of its ranges in one step."""
 

@@ -27,9 +27,14 @@ def scratch_root(spark: SparkSession) -> str:
     return root
 
 
-def materialize(df: DataFrame, name: str) -> DataFrame:
-    """Write ``df`` to the shared scratch folder and read it back: cuts lineage and survives lost executors."""
+def materialize(df: DataFrame, name: str, narrow: bool = False) -> DataFrame:
+    """Write ``df`` to the shared scratch folder and read it back: cuts lineage and survives lost executors.
+
+    ``narrow``: rows are short and few beside the texts, so a few files for every core will do.
+    """
     spark = df.sparkSession
+    if narrow:
+        df = df.coalesce(4 * spark.sparkContext.defaultParallelism)
     path = f"{scratch_root(spark)}/factlake/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)

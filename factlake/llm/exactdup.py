@@ -33,12 +33,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .anchors import GRAM, SLICE, WIDTH, Sums, runs
+from .anchors import GRAM, SLICE, WIDTH, Sums, runs, spread
 from .common import materialize, text_chunks
 from .suffixes import suffix_array
 
 HALF = (WIDTH - GRAM) // 2
-PART_BYTES, FLUSH, GROUP, BROADCAST = 32_000_000, 600_000, 4096, 5_000_000
+PART_BYTES, FLUSH, GROUP, BROADCAST = 8_000_000, 300_000, 4096, 5_000_000
 RUN = np.dtype([("h", "<u8"), ("ctx", "<u4"), ("ctx2", "<u2"), ("left", "<u2"), ("right", "<u2"), ("doc", "<i8"), ("tag", "<i8"), ("at", "<i4"), ("slice", "<i4"), ("first", "u1"), ("last", "u1")])
 ASK = np.dtype([("h", "<i8"), ("at", "<i4"), ("slice", "<i4"), ("first", "u1"), ("last", "u1"), ("salts", "<i4")])
 WINDOW = np.dtype([("h", "<u8"), ("w", "<u8"), ("doc", "<i8"), ("tag", "<i8"), ("at", "<i8")])
@@ -62,7 +62,7 @@ def text_runs(data: np.ndarray, doc: int, tag: int) -> Iterator[np.ndarray]:
         part = data[lo : lo + SLICE]
         sums, at, first, last = runs(part)
         out = np.zeros(len(at), RUN)
-        out["h"] = sums.hash(at, at + GRAM)
+        out["h"] = spread(sums.hash(at, at + GRAM))  # anchors have small hashes: spread them anew
         ctx = sums.hash(first, last + WIDTH) ^ ((at - first).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
         out["ctx"], out["ctx2"] = ctx & np.uint64(0xFFFFFFFF), (ctx >> np.uint64(32)) & np.uint64(0xFFFF)
         # windows that begin HALF or more before the anchor hold its left half-context, the others its right one
@@ -275,6 +275,7 @@ def _solve_windows(rows: np.ndarray) -> Iterator[tuple]:
 
 
 def _solved(sent: DataFrame, parts: int, dtype, kind: int, solve) -> DataFrame:
+    """Each part in one piece; a task takes one or more parts, one after the other."""
     return sent.repartition(parts, "part").sortWithinPartitions("part").mapInArrow(lambda batches: _part_by_part(batches, dtype, kind, solve), FOUND)
 
 
