@@ -1,3 +1,4 @@
 """Every batch and stream query over the given tables, by name."""
 
-QUERIES: dict = {}
+from factlake.registry import ranking  # noqa: F401
+from factlake.registry.base import QUERIES  # noqa: F401
