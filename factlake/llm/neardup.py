@@ -110,14 +110,14 @@ def _links(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 def components(edges: DataFrame, name: str = "components") -> DataFrame:
     """node and label (the smallest node that it reaches) of every node in the edges (x, y)."""
-    both = materialize(edges.select("x", "y").unionAll(edges.select(F.col("y").alias("x"), F.col("x").alias("y"))).filter("x <> y").distinct(), f"{name}-edges")
-    labels = materialize(both.groupBy("x").agg(F.least(F.min("y"), F.first("x")).alias("label")).withColumnRenamed("x", "node"), f"{name}-labels")
+    both = materialize(edges.select("x", "y").unionAll(edges.select(F.col("y").alias("x"), F.col("x").alias("y"))).filter("x <> y").distinct(), f"{name}-edges", narrow=True)
+    labels = materialize(both.groupBy("x").agg(F.least(F.min("y"), F.first("x")).alias("label")).withColumnRenamed("x", "node"), f"{name}-labels", narrow=True)
     while True:
         seen = both.join(labels.select(F.col("node").alias("y"), "label"), "y").groupBy(F.col("x").alias("node")).agg(F.min("label").alias("near"))
         low = labels.join(seen, "node").select("node", "label", F.least("label", "near").alias("low"))
-        low = materialize(low, f"{name}-low")
+        low = materialize(low, f"{name}-low", narrow=True)
         jump = low.select(F.col("node").alias("low"), F.col("low").alias("far"))
-        new = materialize(low.join(jump, "low", "left").select("node", F.least("low", F.coalesce("far", "low")).alias("label"), (F.least("low", F.coalesce("far", "low")) < F.col("label")).alias("moved")), f"{name}-labels")
+        new = materialize(low.join(jump, "low", "left").select("node", F.least("low", F.coalesce("far", "low")).alias("label"), (F.least("low", F.coalesce("far", "low")) < F.col("label")).alias("moved")), f"{name}-labels", narrow=True)
         labels = new.select("node", "label")
         if not new.filter("moved").limit(1).count():
             return labels
@@ -131,7 +131,7 @@ def _leader_pairs(classes: DataFrame) -> tuple[DataFrame, DataFrame]:
     side = lambda first: F.collect_list(F.when((F.col("at") < GROUPS) == first, F.col("key")))
     contested = held.groupBy("rep").agg(side(True).alias("a"), side(False).alias("b"), F.sum(F.log2("n")).alias("common")).filter((F.size("a") > 0) & (F.size("b") > 0))
     rank = F.least(F.floor(F.col("common") * 64), F.lit(2**18)).cast("long") * F.lit(2**44) + F.xxhash64("rep").bitwiseAND(F.lit(2**44 - 1))
-    contested = materialize(contested.select("rep", "a", "b", rank.alias("rank")), "neardup-contested")
+    contested = materialize(contested.select("rep", "a", "b", rank.alias("rank")), "neardup-contested", narrow=True)
     tables = contested.select("rep", "rank", "b", F.explode("a").alias("ka")).select("rep", "rank", "ka", F.explode("b").alias("kb")).select("rep", "rank", F.xxhash64("ka", "kb").alias("t"))
     lead = tables.groupBy("t").agg(F.max("rank").alias("lead"), F.count("*").alias("n")).filter("n > 1").select("t", "lead")
     pairs = tables.join(lead, "t").filter("lead <> rank").select(F.col("rep").alias("x"), "lead").distinct()
@@ -185,12 +185,12 @@ def _open_pairs(prefixes: DataFrame, labels: DataFrame, percent: int) -> DataFra
 def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, seed: int = 3) -> DataFrame:
     """doc_id, n_shingles, component_id and kept of every row."""
     sig = materialize(signatures(docs, size, seed), "neardup-signatures")
-    classes = materialize(sig.filter("n_shingles > 0").groupBy("set_hash").agg(F.min("doc_id").alias("rep"), F.first("keys").alias("keys")), "neardup-classes")
+    classes = materialize(sig.filter("n_shingles > 0").groupBy("set_hash").agg(F.min("doc_id").alias("rep"), F.first("keys").alias("keys")), "neardup-classes", narrow=True)
     contested, pairs = _leader_pairs(classes)
     sets = materialize(_sets(docs, contested.select("rep").distinct(), contested.count(), size), "neardup-sets")
-    links = materialize(_links(pairs, sets, percent), "neardup-links")
+    links = materialize(_links(pairs, sets, percent), "neardup-links", narrow=True)
     labels = components(links)
-    more = materialize(_links(_open_pairs(_prefixes(sets, percent), labels, percent), sets, percent), "neardup-more")
+    more = materialize(_links(_open_pairs(_prefixes(sets, percent), labels, percent), sets, percent), "neardup-more", narrow=True)
     if more.limit(1).count():
         labels = components(links.unionAll(more))
     named = classes.select("set_hash", "rep").join(labels.select(F.col("node").alias("rep"), "label"), "rep", "left").select("set_hash", F.coalesce("label", "rep").alias("label"))
