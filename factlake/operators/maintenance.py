@@ -87,7 +87,8 @@ def marked(units: DataFrame, pairs: DataFrame) -> DataFrame:
 def word_shingles(docs: DataFrame, size: int = 4) -> DataFrame:
     """doc_id and its distinct shingles of white-space words."""
     w = docs.select("doc_id", F.filter(F.split(F.lower("text"), r"\s+"), lambda x: x != "").alias("w"))
-    return w.filter(F.size("w") >= size).select("doc_id", F.array_distinct(F.expr(f"transform(sequence(0, size(w) - {size}), i -> md5(array_join(slice(w, i + 1, {size}), ' ')))")).alias("s"))
+    runs = F.expr(f"transform(sequence(1, greatest(size(w) - {size - 1}, 1)), i -> md5(array_join(slice(w, i, {size}), ' ')))")
+    return w.filter(F.size("w") >= size).select("doc_id", F.array_distinct(runs).alias("s"))
 
 
 def semantic_edges(docs: DataFrame, tau: float = 0.5, common: int = 30) -> DataFrame:

@@ -139,7 +139,8 @@ def prune_by_bound(scored: DataFrame, w: Weights, p: Params) -> DataFrame:
     """Candidates whose upper bound reaches the best score that similarity alone guarantees; never drops a winner."""
     least = Window.partitionBy("query_id")
     low = F.max(F.col("sim") * float(w.sim)).over(least)
-    return scored.filter(F.round(S.upper_bound(F.col("sim"), w, p), 9) >= F.round(low, 9)) if w.sim else scored
+    bound = scored.withColumn("low", F.round(low, 9)).filter(F.round(S.upper_bound(F.col("sim"), w, p), 9) >= F.col("low"))
+    return bound.drop("low") if w.sim else scored
 
 
 def hard_filter(scored: DataFrame, p: Params, k: int = 1) -> DataFrame:

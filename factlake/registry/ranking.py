@@ -124,16 +124,16 @@ def sig_relational(spark, d):
     return deg.select("unit_id", "degree", r6(S.bonus(F.col("degree")), "bonus"))
 
 
-@query("sig_final", B.orders(90.0) + f" SELECT query_id, unit_id, round(sim, 6) AS sim, round(temporal, 6) AS temporal, round(trust, 6) AS trust, round(relational, 6) AS relational, round({B.score((0.35, 0.25, 0.25, 0.15))}, 6) AS final FROM sc")
+@query("sig_final", B.orders(90.0) + f" SELECT query_id, unit_id, sim, round(temporal, 6) AS temporal, round(trust, 6) AS trust, round(relational, 6) AS relational, {B.score((0.35, 0.25, 0.25, 0.15))} AS final FROM sc")
 def sig_final(spark, d):
     _, _, sc = orders(spark, d, 90.0)
     f = S.final(*(F.col(c) for c in ("sim", "temporal", "trust", "relational")), RANKERS["m4"])
-    return sc.select("query_id", "unit_id", *(r6(F.col(c), c) for c in ("sim", "temporal", "trust", "relational")), r6(F.round(f, 9), "final"))
+    return sc.select("query_id", "unit_id", "sim", *(r6(F.col(c), c) for c in ("temporal", "trust", "relational")), F.round(f, 9).alias("final"))
 
 
-@query("sig_bound", B.orders(90.0) + " SELECT query_id, unit_id, round(sim * 0.35 + 0.545, 6) AS bound FROM sc")
+@query("sig_bound", B.orders(90.0) + " SELECT query_id, unit_id, round(sim * 0.35 + 0.545, 9) AS bound FROM sc")
 def sig_bound(spark, d):
-    return orders(spark, d, 90.0)[2].select("query_id", "unit_id", r6(S.upper_bound(F.col("sim"), RANKERS["m4"], Params()), "bound"))
+    return orders(spark, d, 90.0)[2].select("query_id", "unit_id", F.round(S.upper_bound(F.col("sim"), RANKERS["m4"], Params()), 9).alias("bound"))
 
 
 @query("sig_authority", f"SELECT source, count(*) AS n, round(avg(prior), 6) AS prior FROM (SELECT source, coalesce({B._case('source', B.PRIOR)}, 0.5) AS prior FROM (SELECT {B._case('o_orderpriority', B.CLASS)} AS source FROM orders)) GROUP BY source")
@@ -168,11 +168,11 @@ for _kind in ("current", "time_point", "conflict"):
 
 # ---- candidates
 
-@query("cand_tfidf", B.orders(k=8).split(",\n    sc AS")[0] + " SELECT query_id, unit_id, round(sim, 6) AS sim, first_rank FROM cand")
+@query("cand_tfidf", B.orders(k=8).split(",\n    sc AS")[0] + " SELECT query_id, unit_id, sim, first_rank FROM cand")
 def cand_tfidf(spark, d):
     units = G.order_units(spark, d, text=True)
     queries = G.order_queries(units).join(G.topic_text(spark, d).withColumnRenamed("topic_text", "text"), "topic")
-    return R.candidates(queries, R.postings(units, max_df=B.WIDE), 8).select("query_id", "unit_id", r6(F.col("sim"), "sim"), "first_rank")
+    return R.candidates(queries, R.postings(units, max_df=B.WIDE), 8).select("query_id", "unit_id", "sim", "first_rank")
 
 
 def vectors(spark, d, queries: bool = False):
@@ -183,14 +183,14 @@ def vectors(spark, d, queries: bool = False):
 DENSE = "SELECT query_id, unit_id, sim, row_number() OVER (PARTITION BY query_id ORDER BY sim DESC, unit_id) AS first_rank FROM (SELECT a.vec_id AS query_id, b.vec_id AS unit_id, round(list_cosine_similarity(CAST(a.embedding{0} AS DOUBLE[]), CAST(b.embedding{0} AS DOUBLE[])), 9) AS sim FROM embeddings a JOIN embeddings b ON a.vec_id % 10 = 0 AND a.vec_id <> b.vec_id)"
 
 
-@query("cand_dense", f"SELECT query_id, unit_id, round(sim, 6) AS sim, first_rank FROM ({DENSE.format('')}) WHERE first_rank <= 8")
+@query("cand_dense", f"SELECT query_id, unit_id, sim, first_rank FROM ({DENSE.format('')}) WHERE first_rank <= 8")
 def cand_dense(spark, d):
-    return R.candidates_dense(vectors(spark, d, True), vectors(spark, d), 8).select("query_id", "unit_id", r6(F.col("sim"), "sim"), "first_rank")
+    return R.candidates_dense(vectors(spark, d, True), vectors(spark, d), 8).select("query_id", "unit_id", "sim", "first_rank")
 
 
-@query("cand_nested", f"WITH wide AS (SELECT query_id, unit_id FROM ({DENSE.format('[1:16]')}) WHERE first_rank <= 64), fin AS (SELECT query_id, unit_id, round(list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 9) AS sim FROM wide JOIN embeddings a ON a.vec_id = query_id JOIN embeddings b ON b.vec_id = unit_id) SELECT query_id, unit_id, round(sim, 6) AS sim, first_rank FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY sim DESC, unit_id) AS first_rank FROM fin) WHERE first_rank <= 8")
+@query("cand_nested", f"WITH wide AS (SELECT query_id, unit_id FROM ({DENSE.format('[1:16]')}) WHERE first_rank <= 64), fin AS (SELECT query_id, unit_id, round(list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 9) AS sim FROM wide JOIN embeddings a ON a.vec_id = query_id JOIN embeddings b ON b.vec_id = unit_id) SELECT query_id, unit_id, sim, first_rank FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY sim DESC, unit_id) AS first_rank FROM fin) WHERE first_rank <= 8")
 def cand_nested(spark, d):
-    return R.candidates_nested(vectors(spark, d, True), vectors(spark, d), 8).select("query_id", "unit_id", r6(F.col("sim"), "sim"), "first_rank")
+    return R.candidates_nested(vectors(spark, d, True), vectors(spark, d), 8).select("query_id", "unit_id", "sim", "first_rank")
 
 
 @query("cand_lsh_recall")
@@ -208,11 +208,11 @@ def rank_dense_self(spark, d):
 
 # ---- rankers
 
-TOP = " SELECT query_id, unit_id, rank, round(final, 6) AS final FROM top"
+TOP = " SELECT query_id, unit_id, rank, final FROM top"
 
 
 def top(rows):
-    return rows.select("query_id", "unit_id", "rank", r6(F.col("final"), "final"))
+    return rows.select("query_id", "unit_id", "rank", "final")
 
 
 for _name, _w in RANKERS.items():
