@@ -89,7 +89,7 @@ def candidates_nested(queries: DataFrame, units: DataFrame, k: int = 8, dims: in
     return best(full.select("query_id", "unit_id", F.round(S.cosine(F.col("qv"), F.col("uv")), 9).alias("sim")), [F.desc("sim"), F.asc("unit_id")], k, "first_rank")
 
 
-def candidates_lsh(queries: DataFrame, units: DataFrame, k: int = 8, bands: int = 24, bits: int = 8, seed: int = 5, dim: int = 64) -> DataFrame:
+def candidates_lsh(queries: DataFrame, units: DataFrame, k: int = 8, bands: int = 20, bits: int = 4, seed: int = 5, dim: int = 64) -> DataFrame:
     """Approximate neighbours: sign bits of random projections in bands, equal bands joined, survivors exact."""
     planes = np.random.default_rng(seed).standard_normal((bands, bits, dim)).round(6)
 
