@@ -115,7 +115,7 @@ class Dormancy:
                 self.last = handle.getValueState("last", "ms long")
 
             def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues):
-                ms = max(int(x.ts.max().timestamp() * 1000) for x in rows)
+                ms = max(pd.Timestamp(x.ts.max()).as_unit("ns").value // 1_000_000 for x in rows)
                 if self.last.exists():
                     ms = max(ms, self.last.get()[0])
                 for timer in list(self.handle.listTimers()):
@@ -124,9 +124,9 @@ class Dormancy:
                 self.handle.registerTimer(ms + int(seconds * 1000))
                 yield pd.DataFrame({"user_id": pd.Series([], dtype="int64"), "last_seen": pd.Series([], dtype="datetime64[us]"), "dormant_on": pd.Series([], dtype="datetime64[us]")})
 
-            def handleExpiredTimer(self, key, timerValues, expired):
+            def handleExpiredTimer(self, key, timerValues, expiredTimerInfo):
                 ms = self.last.get()[0]
-                yield pd.DataFrame({"user_id": [key[0]], "last_seen": [pd.Timestamp(ms, unit="ms")], "dormant_on": [pd.Timestamp(expired.getExpiryTimeInMs(), unit="ms")]})
+                yield pd.DataFrame({"user_id": [key[0]], "last_seen": [pd.Timestamp(ms, unit="ms")], "dormant_on": [pd.Timestamp(expiredTimerInfo.getExpiryTimeInMs(), unit="ms")]})
 
             def close(self):
                 pass
