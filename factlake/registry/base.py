@@ -71,9 +71,9 @@ def policy_units(topics: int = 60, versions: int = 4, rate: float = 0.3, seed: i
     names = "['official_db', 'policy', 'tech_doc', 'wiki']"
     return f"""
     t AS (SELECT CAST(range AS BIGINT) AS topic FROM range({topics})),
-    gen AS (SELECT topic, v AS version_no, {NOW} - to_days(CAST({age} AS INTEGER)) AS born_at, CAST(100 + (topic % 20) * 10 + (v - 1) * (5 + floor({r(40)} * 20)) AS DOUBLE) AS value,
+    gen AS (SELECT topic, v AS version_no, {NOW} - to_days(CAST({age} AS INTEGER)) AS born_at, CAST(100 + floor({r(41)} * 900) + (v - 1) * (5 + floor({r(40)} * 20)) AS DOUBLE) AS value,
         {names}[CAST(floor({r('v + 60')} * 4) AS INTEGER) + 1] AS source, FALSE AS is_rumour FROM t, (SELECT CAST(range AS BIGINT) AS v FROM range(1, {versions + 1})) vs
-        UNION ALL SELECT topic, NULL, {NOW} - to_days(CAST(1 + floor({r(98)} * 10) AS INTEGER)), CAST(100 + (topic % 20) * 10 + 500 AS DOUBLE), 'chat', TRUE FROM t WHERE {r(99)} < {rate}),
+        UNION ALL SELECT topic, NULL, {NOW} - to_days(CAST(1 + floor({r(98)} * 10) AS INTEGER)), CAST(100 + floor({r(41)} * 900) + 500 AS DOUBLE), 'chat', TRUE FROM t WHERE {r(99)} < {rate}),
     u1 AS (SELECT CASE WHEN is_rumour THEN 'P:' || topic || ':r' ELSE 'P:' || topic || ':' || version_no END AS unit_id, topic, version_no, born_at, born_at AS valid_from,
         CASE WHEN NOT is_rumour THEN lead(born_at) OVER w END AS valid_to, value, source, is_rumour,
         CASE WHEN NOT is_rumour THEN 'P:' || topic || ':' || lag(version_no) OVER w END AS replaces, CASE WHEN NOT is_rumour THEN 'P:' || topic || ':' || lead(version_no) OVER w END AS replaced_by,

@@ -73,7 +73,7 @@ def stream_ingest(spark, d):
     return X.ingest(spark, e, L.encode).groupBy("status").agg(F.count("*").alias("n"))
 
 
-@query("stream_dormancy", f"SELECT user_id, last_seen FROM (SELECT user_id, make_timestamp(epoch_ms(max(ts)) * 1000) AS last_seen FROM events GROUP BY user_id) WHERE epoch_ms(last_seen) + CAST(floor(0.05 * log2(4.0) * 86400 * 1000) AS BIGINT) <= epoch_ms({CLOSED})")
+@query("stream_dormancy", f"SELECT user_id, last_seen FROM (SELECT user_id, make_timestamp((epoch_us(max(ts)) // 1000) * 1000) AS last_seen FROM events GROUP BY user_id) WHERE epoch_us(last_seen) // 1000 + CAST(floor(0.05 * log2(4.0) * 86400 * 1000) AS BIGINT) <= epoch_us({CLOSED}) // 1000")
 def stream_dormancy(spark, d):
     spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
     try:

@@ -124,10 +124,10 @@ def policy_units(spark: SparkSession, topics: int = 60, versions: int = 4, rate:
     r = lambda salt: portable_random(seed, F.col("topic"), salt)
     age = sum((F.when(F.col("v") < k, 40 + F.floor(r(k) * 51)).otherwise(0) for k in range(2, versions + 1)), F.floor(r(50) * 60))
     real = t.withColumn("v", F.explode(F.sequence(F.lit(1), F.lit(versions)))).withColumn("age", age.cast("int"))
-    step = 5 + F.floor(r(40) * 20)
+    base, step = 100 + F.floor(r(41) * 900), 5 + F.floor(r(40) * 20)
     source = F.element_at(F.array(*map(F.lit, list(AUTHORITY)[:4])), (F.floor(r(F.col("v") + 60) * 4) + 1).cast("int"))
-    real = real.select("topic", F.col("v").cast("long").alias("version_no"), (at(now) - F.make_dt_interval(days="age")).alias("born_at"), (100 + F.pmod("topic", F.lit(20)) * 10 + (F.col("v") - 1) * step).cast("double").alias("value"), source.alias("source"), F.lit(False).alias("is_rumour"))
-    said = t.filter(r(99) < rate).select("topic", F.lit(None).cast("long"), (at(now) - F.make_dt_interval(days=(1 + F.floor(r(98) * 10)).cast("int"))), (100 + F.pmod("topic", F.lit(20)) * 10 + 500).cast("double"), F.lit("chat"), F.lit(True))
+    real = real.select("topic", F.col("v").cast("long").alias("version_no"), (at(now) - F.make_dt_interval(days="age")).alias("born_at"), (base + (F.col("v") - 1) * step).cast("double").alias("value"), source.alias("source"), F.lit(False).alias("is_rumour"))
+    said = t.filter(r(99) < rate).select("topic", F.lit(None).cast("long"), (at(now) - F.make_dt_interval(days=(1 + F.floor(r(98) * 10)).cast("int"))), (base + 500).cast("double"), F.lit("chat"), F.lit(True))
     u = real.unionAll(said)
     w = Window.partitionBy("topic", "is_rumour").orderBy("born_at", "version_no")
     name = lambda c: F.concat(F.lit("P:"), F.col("topic").cast("string"), F.lit(":"), c.cast("string"))
