@@ -3,14 +3,21 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from math import ceil
 
+import numpy as np
+import pyarrow as pa
+import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from factlake.llm.common import materialize, text_chunks
+from factlake.llm.shingles import WordCodes, overlap, shingle_set
 from factlake.operators import lifecycle as L
 from factlake.params import Params
 
 P = Params()
+BUCKETS, BROADCAST, BLOCK = 1 << 18, 5_000_000, 1 << 25
 
 
 def harmonic(hop: Column, strength: float = P.ripple) -> Column:
@@ -84,28 +91,123 @@ def marked(units: DataFrame, pairs: DataFrame) -> DataFrame:
     return both.join(units.select("unit_id", "trust"), "unit_id").join(t, "other").groupBy("unit_id").agg(F.count("*").alias("conflicts"), F.bool_or(F.col("trust") < F.col("other_trust")).alias("loses"))
 
 
-def word_shingles(docs: DataFrame, size: int = 4) -> DataFrame:
-    """doc_id and its distinct shingles of white-space words."""
-    w = docs.select("doc_id", F.filter(F.split(F.lower("text"), r"\s+"), lambda x: x != "").alias("w"))
-    runs = F.expr(f"transform(sequence(1, greatest(size(w) - {size - 1}, 1)), i -> md5(array_join(slice(w, i, {size}), ' ')))")
-    return w.filter(F.size("w") >= size).select("doc_id", F.array_distinct(runs).alias("s"))
+def _shingled(docs: DataFrame, size: int) -> DataFrame:
+    """doc_id, n, set_hash and members: the distinct word shingles of every text with ``size`` words or more."""
 
+    def run(batches):
+        codes = WordCodes()
+        for batch, texts in text_chunks(batches):
+            ids, n, hashes, out = [], [], [], []
+            for i, t in zip(batch.column(0).to_pylist(), texts, strict=True):
+                w = t.encode("utf-8", "surrogatepass").split()
+                if len(w) >= size:
+                    s = shingle_set(w, size, codes).tobytes()
+                    ids.append(i), n.append(len(s) // 8), hashes.append(xxhash.xxh3_128_digest(s)), out.append(s)
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(n, pa.int64()), pa.array(hashes, pa.binary()), pa.array(out, pa.binary())], ["doc_id", "n", "set_hash", "members"])
 
-def semantic_edges(docs: DataFrame, tau: float = 0.5, common: int = 30) -> DataFrame:
-    """src depends on dst (the smaller id): Jaccard of word shingles of at least ``tau``.
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.lower("text").alias("text")).mapInArrow(run, "doc_id long, n long, set_hash binary, members binary")
 
-    Candidates share a shingle that fewer than ``common`` documents have; the rest are counted in full.
+
+def _prefixes(sets: DataFrame, low: float) -> DataFrame:
+    """token, rep, size, pos, index: the shingles of each set, rare ones first, one of which a partner must share.
+
+    A partner of no more shingles shares one of its own first (``index``) with these.
+    """
+
+    def count(batches):
+        total = np.zeros(BUCKETS, np.int64)
+        for batch in batches:
+            for m in batch.column(0):
+                total += np.bincount((np.frombuffer(m.as_buffer(), np.uint64) & np.uint64(BUCKETS - 1)).astype(np.int64), minlength=BUCKETS)
+        hit = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(hit, pa.int64()), pa.array(total[hit], pa.int64())], ["bucket", "n"])
+
+    rows = sets.select("members").mapInArrow(count, "bucket long, n long").groupBy("bucket").agg(F.sum("n").alias("n")).toArrow()  # at most BUCKETS rows
+    often = np.zeros(BUCKETS, np.int64)
+    often[rows.column("bucket").to_numpy()] = rows.column("n").to_numpy()
+    shared = sets.sparkSession.sparkContext.broadcast(often)
+
+    def run(batches):
+        often = shared.value
+        for batch in batches:
+            for rep, m in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                s = np.frombuffer(m.as_buffer(), np.uint64)
+                n = len(s)
+                k, first = n - ceil(low * n) + 1, n - ceil(2 * low / (1 + low) * n) + 1
+                order = np.lexsort((s, often[(s & np.uint64(BUCKETS - 1)).astype(np.int64)]))[:k]
+                at = np.arange(len(order), dtype=np.int32)
+                yield pa.RecordBatch.from_arrays([pa.array(s[order].view(np.int64)), pa.array(np.full(len(order), rep, np.int64)), pa.array(np.full(len(order), n, np.int32)), pa.array(at), pa.array(at < first)], ["token", "rep", "size", "pos", "index"])
+
+    return sets.select("doc_id", "members").mapInArrow(run, "token long, rep long, size int, pos int, index boolean")
+
+
+def _shared_counts(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    """x, y, both, total: sizes of the intersection and the sum of every pair of sets.
+
+    Sets are dealt to blocks and sent once to each pair of blocks that needs them, not once a pair.
+    """
+    reps = materialize(pairs.select(F.col("x").alias("doc_id")).unionAll(pairs.select("y")).distinct(), "edges-reps", narrow=True)
+    size = sets.join(F.broadcast(reps) if reps.count() <= BROADCAST else reps, "doc_id", "left_semi").agg(F.sum("n")).first()[0] or 0
+    k = max(3, ceil(8 * size / BLOCK))
+    block = lambda c: F.pmod(F.xxhash64(c), F.lit(k))
+    pairs = pairs.withColumns({"bx": block("x"), "by": block("y")})
+    ends = F.explode(F.array("x", "y")).alias("doc_id")
+    need = materialize(pairs.select(F.col("bx").alias("cx"), F.col("by").alias("cy"), ends).distinct().groupBy("doc_id").agg(F.collect_list(F.struct("cx", "cy")).alias("to")), "edges-need", narrow=True)
+    few = need.count() * 2 * k <= BROADCAST
+    held = sets.select("doc_id", "members").join(F.broadcast(need) if few else need, "doc_id").select("doc_id", "members", F.explode("to").alias("to")).select("doc_id", "members", "to.*")
+
+    def run(p, s):
+        of = {i: np.frombuffer(m.as_buffer(), np.uint64) for i, m in zip(s.column("doc_id").to_pylist(), s.column("members"), strict=True)}
+        x, y = p.column("x").to_pylist(), p.column("y").to_pylist()
+        both = [overlap(of[i], of[j]) for i, j in zip(x, y, strict=True)]
+        return pa.table({"x": pa.array(x, pa.int64()), "y": pa.array(y, pa.int64()), "both": pa.array(both, pa.int64()), "total": pa.array([len(of[i]) + len(of[j]) for i, j in zip(x, y, strict=True)], pa.int64())})
+
+    return pairs.groupBy("bx", "by").cogroup(held.groupBy("cx", "cy")).applyInArrow(run, "x long, y long, both long, total long")
+
+
+def similar_classes(docs: DataFrame, tau: float = 0.5, size: int = 4) -> tuple[DataFrame, DataFrame]:
+    """(doc_id, rep): texts of equal shingle sets have the smallest doc_id among them as ``rep``; and (x, y, jaccard): reps x < y with Jaccard of at least ``tau``.
+
+    Every such pair has a shingle among the first of both sets in one global order, so none is lost,
+    however many texts hold a shingle.
     """
-    s = word_shingles(docs)
-    each = s.select("doc_id", F.size("s").alias("n"), F.explode("s").alias("g"))
-    rare = each.groupBy("g").agg(F.count("*").alias("df")).filter((F.col("df") > 1) & (F.col("df") < common))
-    held = each.join(rare.select("g"), "g")
-    a, b = held.select("g", F.col("doc_id").alias("dst")), held.select("g", F.col("doc_id").alias("src"))
-    pairs = a.join(b, "g").filter("dst < src").select("src", "dst").distinct()
-    full = pairs.join(s.select(F.col("doc_id").alias("src"), F.col("s").alias("x")), "src").join(s.select(F.col("doc_id").alias("dst"), F.col("s").alias("y")), "dst")
-    both = F.size(F.array_intersect("x", "y"))
-    j = both / (F.size("x") + F.size("y") - both)
-    return full.select("src", "dst", F.round(j, 6).alias("jaccard")).filter(F.col("jaccard") >= tau)
+    low = tau - 6e-7  # of what is rounded to six places
+    sig = materialize(_shingled(docs, size), "edges-shingles")
+    classes = sig.groupBy("set_hash").agg(F.min("doc_id").alias("rep"))
+    members = materialize(sig.select("doc_id", "set_hash").join(classes, "set_hash").select("doc_id", "rep").distinct(), "edges-members", narrow=True)
+    reps = members.filter("doc_id = rep").select("doc_id")
+    sets = sig.join(F.broadcast(reps) if reps.count() <= BROADCAST else reps, "doc_id", "left_semi")
+    rows = _prefixes(sets, low).withColumn("df", F.count("*").over(Window.partitionBy("token")))
+    rows = materialize(rows.filter("df > 1").drop("df"), "edges-prefixes")
+    x, y = (rows.select("token", *(F.col(c).alias(f"{c}_{k}") for c in ("rep", "size", "pos", "index"))) for k in "xy")
+    need = F.ceil(F.lit(low / (1 + low)) * (F.col("size_x") + F.col("size_y")))
+    left = F.least(F.col("size_x") - F.col("pos_x"), F.col("size_y") - F.col("pos_y"))
+    fits = (F.col("rep_x") != F.col("rep_y")) & (F.col("size_y") <= F.col("size_x")) & (F.col("size_y") >= F.lit(low) * F.col("size_x")) & (left >= need)
+    pairs = x.join(y.filter("index_y"), "token").filter(fits).select(F.least("rep_x", "rep_y").alias("x"), F.greatest("rep_x", "rep_y").alias("y")).distinct()
+    pairs = materialize(pairs, "edges-pairs", narrow=True)
+    jaccard = F.round(F.col("both") / (F.col("total") - F.col("both")), 6)
+    links = _shared_counts(pairs, sets).select("x", "y", jaccard.alias("jaccard")).filter(F.col("jaccard") >= tau)
+    return members, materialize(links, "edges-links", narrow=True)
+
+
+def semantic_edges(docs: DataFrame, tau: float = 0.5, most: float = 1.0) -> DataFrame:
+    """src depends on dst (the smaller id): Jaccard of word shingles of at least ``tau`` and at most ``most``; copies count like others."""
+    members, links = similar_classes(docs, tau)
+    links = links.filter(F.col("jaccard") <= most)
+    a, b = (members.select(F.col("rep").alias(r), F.col("doc_id").alias(d)) for r, d in (("x", "p"), ("y", "q")))
+    out = links.join(a, "x").join(b, "y").select(F.greatest("p", "q").alias("src"), F.least("p", "q").alias("dst"), "jaccard")
+    if most < 1:
+        return out
+    same = a.join(b.withColumnRenamed("y", "x"), "x").filter("p < q")
+    return out.unionAll(same.select(F.col("q").alias("src"), F.col("p").alias("dst"), F.lit(1.0).alias("jaccard")))
+
+
+def semantic_families(docs: DataFrame, tau: float = 0.5) -> DataFrame:
+    """doc_id and family, the smallest id among it and its partners, of every text that has a partner; copies are not paired."""
+    members, links = similar_classes(docs, tau)
+    near = links.select("x", "y").unionAll(links.select("y", "x")).unionAll(members.filter("doc_id <> rep").select("rep", "rep"))
+    family = near.groupBy(F.col("x").alias("rep")).agg(F.min("y").alias("near")).select("rep", F.least("rep", "near").alias("family"))
+    return members.join(family, "rep").select("doc_id", "family")
 
 
 def structural_edges(chunks: DataFrame) -> DataFrame:

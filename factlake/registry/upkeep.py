@@ -170,14 +170,12 @@ def maint_edges_semantic(spark, d):
 
 @query("maint_contradictions_text", f"WITH {SHINGLES} SELECT dst AS a, src AS b FROM jac WHERE jaccard >= 0.5 AND jaccard <= 0.95")
 def maint_contradictions_text(spark, d):
-    return M.semantic_edges(G.table(spark, d, "documents")).filter("jaccard <= 0.95").select(F.col("dst").alias("a"), F.col("src").alias("b"))
+    return M.semantic_edges(G.table(spark, d, "documents"), most=0.95).select(F.col("dst").alias("a"), F.col("src").alias("b"))
 
 
 @query("maint_families", f"WITH {SHINGLES}, e AS (SELECT src, dst FROM jac WHERE jaccard >= 0.5) SELECT doc_id, least(doc_id, min(other)) AS family FROM (SELECT src AS doc_id, dst AS other FROM e UNION ALL SELECT dst, src FROM e) GROUP BY doc_id")
 def maint_families(spark, d):
-    e = M.semantic_edges(G.table(spark, d, "documents"))
-    both = e.select(F.col("src").alias("doc_id"), F.col("dst").alias("other")).unionAll(e.select("dst", "src"))
-    return both.groupBy("doc_id").agg(F.min("other").alias("o")).select("doc_id", F.least("doc_id", "o").alias("family"))
+    return M.semantic_families(G.table(spark, d, "documents"))
 
 
 @query("maint_edges_structural", "SELECT doc_id || ':' || k AS src, doc_id || ':0' AS dst, 'depends_on' AS kind FROM (SELECT doc_id, unnest(range(1, CAST(greatest(1, ceil(length(text) / 1000.0)) AS BIGINT))) AS k FROM documents)")
