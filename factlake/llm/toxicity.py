@@ -41,6 +41,7 @@ SEPARATORS = set(" ._-*~'`^/\\,:;")
 SPELLED = re.compile(r"(?<![^\W_])[^\W_](?:[ ._*~/-][^\W_]){3,}(?![^\W_])")
 WORDS = re.compile(r"[^\W\d_]+")
 TRIPLE = re.compile(r"([^\W\d_])\1\1")
+REPEATS = re.compile(r"(.)\1{2,}", re.S)
 PREFIXES, LONGEST, MEMO = (4, 5, 6), 60, 200_000
 SWAP, SKIP, LETTER = 1.2, 0.4, 0.05  # costs (minus log probability) of the channel
 
@@ -76,11 +77,15 @@ def letter_model(docs: DataFrame) -> np.ndarray:
 
 
 def decode(token: str, log3: np.ndarray, best: int = 3, beam: int = 32) -> list[str]:
-    """The likeliest readings of a token, best first."""
+    """The likeliest readings of a token, best first. Of a long token, the best reading of every LONGEST signs is settled before the next."""
     slots = letter_slots()
     states = {(0, 0): [(0.0, "")]}
-    last = ""
-    for ch in token[:LONGEST] if len(token) > LONGEST and not TRIPLE.search(token) else token:
+    last = settled = ""
+    for n, ch in enumerate(REPEATS.sub(r"\1\1", token)):
+        if n and n % LONGEST == 0:
+            k, ways = min(states.items(), key=lambda w: w[1][0])
+            settled += ways[0][1]
+            states = {k: [(0.0, "")]}
         if ch.isalpha():
             emits, skip = ((ch, LETTER),), SKIP if ch == last else None
         elif ch in LEET:
@@ -98,7 +103,7 @@ def decode(token: str, log3: np.ndarray, best: int = 3, beam: int = 32) -> list[
         kept = sorted(((sorted(set(ways))[:best], k) for k, ways in new.items()), key=lambda w: w[0][0][0])[:beam]
         states, last = {k: ways for ways, k in kept}, ch
     ends = sorted((cost + float(log3[a, b, 0]), out) for (a, b), ways in states.items() for cost, out in ways)
-    return list(dict.fromkeys(out for _, out in ends if out))[:best]
+    return list(dict.fromkeys(settled + out for _, out in ends if settled + out))[:best]
 
 
 def readings(token: str, log3: np.ndarray) -> list[str]:
@@ -108,9 +113,8 @@ def readings(token: str, log3: np.ndarray) -> list[str]:
         core = core.rstrip("!")
     if not core or (core.isalpha() and not TRIPLE.search(core)):
         return []
-    letters = sum(c.isalpha() for c in core)
     signs = sum(c in LEET for c in core)
-    if len(core) > LONGEST or letters == 0 or signs > letters + 1 or (signs == 0 and not TRIPLE.search(core) and not any(c in SEPARATORS for c in core)):
+    if not any(c.isalpha() for c in core) or (signs == 0 and not TRIPLE.search(core) and not any(c in SEPARATORS for c in core)):
         return []
     return decode(core, log3)
 
