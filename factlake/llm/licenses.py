@@ -3,10 +3,10 @@
 Words are lower-cased (A-Z) runs of letters, digits and non-ASCII characters. A template matches a
 line if the line holds at least ``threshold`` of the template's distinct words. All such pairs are
 found: words are ordered by their count in the whole corpus, rarest first; a line that meets the
-threshold must hold one of the first |T| - need + 1 words of template T (prefix filter), have at least
-``need`` distinct words (length filter), and the place of the first shared word bounds what can still
-be shared (positional filter); what remains is counted in full. Of the templates that a line meets, those it holds most
-of give its labels (a line of one license often meets a neighbour's template too). Templates are the bounded side: at
+threshold must hold one of the first |T| - need + 1 words of template T (prefix filter) and have at least
+``need`` distinct words (length filter); what remains is counted in full. Blocks that run over line ends are windows of
+|T| / threshold consecutive words of the text. Every template met gives a label, except one whose words in the text
+all belong to a template met to a higher share there. Templates are the bounded side: at
 most MAX_TEMPLATES, sent to every worker; the corpus is read twice and never shuffled.
 
 Base phrases are looked for as consecutive words anywhere in the text, across lines.
@@ -17,8 +17,9 @@ rows are scanned each on its own; lines of any length are taken whole.
 
 from __future__ import annotations
 
-import re
+from bisect import bisect_left, bisect_right
 from collections import Counter
+from itertools import groupby
 from math import ceil
 
 import pyarrow as pa
@@ -98,6 +99,7 @@ class Templates:
         if len(templates) > MAX_TEMPLATES:
             raise ValueError(f"{len(templates)} templates; at most {MAX_TEMPLATES} are sent to workers")
         self.names, self.sets, self.need, self.index = [], [], [], {}
+        self.spans = []
         for name, text in sorted(templates.items()):
             ordered = sorted(set(words(text)), key=lambda w: (counts.get(w, 0), w))
             if not ordered:
@@ -105,8 +107,9 @@ class Templates:
             need = max(1, ceil(round(threshold * len(ordered), 9)))
             k = len(self.names)
             self.names.append(name), self.sets.append(set(ordered)), self.need.append(need)
-            for place, w in enumerate(ordered[: len(ordered) - need + 1]):
-                self.index.setdefault(w, []).append((k, len(ordered) - place))
+            self.spans.append(ceil(round(len(words(text)) / threshold, 9)))
+            for w in ordered[: len(ordered) - need + 1]:
+                self.index.setdefault(w, []).append(k)
         self.keys = set(self.index)
 
     def matches(self, line: list[bytes]) -> dict[str, float]:
@@ -115,19 +118,51 @@ class Templates:
         seen = set()
         out = {}
         for w in held & self.keys:
-            for k, left in self.index[w]:
+            for k in self.index[w]:
                 need = self.need[k]
-                # `left` counts the words from here on; at most `prefix - 1` others precede
                 if k in seen or len(held) < need:
                     continue
-                if left < need and len(self.sets[k]) < need:
-                    continue
                 seen.add(k)
                 both = len(self.sets[k] & held)
                 if both >= need:
                     out[self.names[k]] = both / len(self.sets[k])
         return out
 
+    def blocks(self, name: str, ws: list[bytes], line_of: list[int]) -> list[tuple[float, list[int]]]:
+        """Containment and word indices of every line and every run of windows that holds enough of a template."""
+        k = bisect_left(self.names, name)
+        t, need, span = self.sets[k], self.need[k], self.spans[k]
+        at = [i for i, w in enumerate(ws) if w in t]
+        out = []
+        for _, g in groupby(at, key=line_of.__getitem__):
+            places = list(g)
+            both = len({ws[i] for i in places})
+            if both >= need:
+                out.append((both / len(t), places))
+        start, inside, run, best = 0, Counter(), [], 0
+        for i in at:
+            inside[ws[i]] += 1
+            while i - at[start] >= span:
+                w = ws[at[start]]
+                inside[w] -= 1
+                if not inside[w]:
+                    del inside[w]
+                start += 1
+            if len(inside) >= need:
+                new = at[start : bisect_left(at, i) + 1]
+                if run and new[0] > run[-1]:
+                    out.append((best / len(t), run))
+                    run, best = [], 0
+                run += new[bisect_right(new, run[-1]) :] if run else new
+                best = max(best, len(inside))
+        return [*out, (best / len(t), run)] if run else out
+
+
+def unexplained(found: list[tuple[str, float, list[int]]]) -> list[tuple[str, float, list[int]]]:
+    """Without the matches whose words all belong to a stronger match."""
+    sets = [set(x[2]) for x in found]
+    return [x for x, a in zip(found, sets, strict=True) if not any(y[1] > x[1] and a <= b for y, b in zip(found, sets, strict=True))]
+
 
 def scan(docs: DataFrame, templates: dict[str, str] | None = None, threshold: float = THRESHOLD, phrases: dict[str, str] | None = None) -> DataFrame:
     """doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score, and the matched lines' numbers."""
@@ -136,7 +171,6 @@ def scan(docs: DataFrame, templates: dict[str, str] | None = None, threshold: fl
     index = Templates(templates, counts, threshold)
     wanted = [words(p) for p in phrases]
     names = list(phrases.values())
-    probe = re.compile(b"|".join(sorted(re.escape(w) for w in index.keys)) or b"(?!)")
 
     def one(text: str):
         raw = text.encode("utf-8", "surrogatepass").lower()
@@ -147,19 +181,15 @@ def scan(docs: DataFrame, templates: dict[str, str] | None = None, threshold: fl
                 base.add(name)
                 at += starts
         found: dict[str, float] = {}
-        lines = []
-        if not index.keys.isdisjoint(ws):
-            for i, line in enumerate(raw.translate(_LINE).split(b"\n")):
-                if probe.search(line):
-                    hit = index.matches(line.split())
-                    if hit:
-                        lines.append(i)
-                        best = max(hit.values())
-                        for k, v in hit.items():
-                            if v == best:
-                                found[k] = max(found.get(k, 0), v)
+        lines: set[int] = set()
+        met = index.matches(ws) if not index.keys.isdisjoint(ws) else {}
+        if met:
+            line_of = [i for i, line in enumerate(raw.translate(_LINE).split(b"\n")) for _ in line.split()]
+            for name, share, at_words in unexplained([(name, *x) for name in met for x in index.blocks(name, ws, line_of)]):
+                found[name] = max(found.get(name, 0), share)
+                lines.update(line_of[i] for i in at_words)
         score = 1.0 if base else max(found.values(), default=0.0)
-        return (len(ws), len(at), min(at, default=None), max(at, default=None), ",".join(sorted(base)), ",".join(sorted(base | set(found))), score, lines)
+        return (len(ws), len(at), min(at, default=None), max(at, default=None), ",".join(sorted(base)), ",".join(sorted(base | set(found))), score, sorted(lines))
 
     schema = "doc_id long, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double, lines array<int>"
     types = [pa.int64()] * 4 + [pa.string()] * 2 + [pa.float64(), pa.list_(pa.int32())]
