@@ -10,12 +10,14 @@ the same document. Nothing is decided on a sample.
    that a third of all documents hold is sent once a task.
 3. Where a group has several classes, only those that could share a window go on: a common window holds
    34 bytes left of the anchor, or 34 to its right, so one of two half-context hashes must repeat.
-4. For these, the windows of all classes in a group become a text with one symbol a window, unique ones
-   left out, stretches set apart. Its suffix array, built by linear grouping (``suffixes``), lays
-   suffixes that begin with the same window side by side; of each such stretch all starts but the
-   earliest are removed. Large groups are dealt out by window.
-
-Windows are compared by 64-bit hashes, runs by 48 more bits beside their anchor's 64. Packed arrays
+4. For these, the bytes under the classes' windows become a text with one symbol for every LONG-byte
+   string, a stretch for each class and half-context; strings that occur once part it. Its suffix array
+   is built by linear grouping (``suffixes``). Neighbours in its order whose common prefix has NEED
+   symbols begin with the same WIDTH bytes, so the intervals of the array with at least that common
+   prefix are the repeats; of each interval all starts but the earliest are removed. Groups of many
+   classes are dealt out by what their windows begin with.
+
+Strings are compared by 64-bit hashes, runs by 48 more bits beside their anchor's 64. Packed arrays
 are sent rather than rows.
 
 Cases: null texts are empty; texts under WIDTH bytes keep every byte; rows that share a doc_id are one
@@ -38,10 +40,12 @@ from .common import materialize, text_chunks
 from .suffixes import suffix_array
 
 HALF = (WIDTH - GRAM) // 2
+LONG = 96  # bytes of a symbol
+NEED = WIDTH - LONG + 1  # symbols of a window
 PART_BYTES, FLUSH, GROUP, BROADCAST = 8_000_000, 300_000, 4096, 5_000_000
 RUN = np.dtype([("h", "<u8"), ("ctx", "<u4"), ("ctx2", "<u2"), ("left", "<u2"), ("right", "<u2"), ("doc", "<i8"), ("tag", "<i8"), ("at", "<i4"), ("slice", "<i4"), ("first", "u1"), ("last", "u1")])
-ASK = np.dtype([("h", "<i8"), ("at", "<i4"), ("slice", "<i4"), ("first", "u1"), ("last", "u1"), ("salts", "<i4")])
-WINDOW = np.dtype([("h", "<u8"), ("w", "<u8"), ("doc", "<i8"), ("tag", "<i8"), ("at", "<i8")])
+ASK = np.dtype([("h", "<u8"), ("slice", "<i4"), ("lo", "<i4"), ("hi", "<i4"), ("salts", "<i4")])
+SYMBOL = np.dtype([("h", "<u8"), ("w", "<u8"), ("doc", "<i8"), ("tag", "<i8"), ("at", "<i8"), ("start", "u1")])
 COVER = np.dtype([("lo", "<i8"), ("hi", "<i8")])
 FOUND = "part int, doc_id long, tag long, kind int, data binary"
 STEP = SLICE - WIDTH + 1
@@ -184,31 +188,28 @@ def _solve_runs(rows: np.ndarray) -> Iterator[tuple]:
     rows = rows[~later]
     rows = rows[_changes(rows["h"], rows["ctx"], rows["ctx2"], rows["doc"], rows["tag"], rows["slice"], rows["at"])]
 
-    def repeats(side: str) -> np.ndarray:
-        has = (rows["first"] >= HALF) if side == "left" else (rows["last"] < HALF)
-        key = np.where(has, rows[side].astype(np.int64), -1)
-        order = np.lexsort((key, rows["h"]))
-        h, k = rows["h"][order], key[order]
-        same = (h[1:] == h[:-1]) & (k[1:] == k[:-1]) & (k[1:] >= 0)
-        out = np.zeros(len(rows), bool)
-        out[order[1:]] |= same
-        out[order[:-1]] |= same
-        return out
-
-    busy = repeats("left") | repeats("right") if len(rows) > 1 else np.zeros(len(rows), bool)
-    rows = rows[busy]
-    if len(rows):
-        _, back, n = np.unique(rows["h"], return_inverse=True, return_counts=True)
-        ask = np.zeros(len(rows), ASK)
-        for f in ("at", "slice", "first", "last"):
-            ask[f] = rows[f]
-        ask["h"] = rows["h"].view(np.int64) if rows["h"].flags.c_contiguous else rows["h"].copy().view(np.int64)
-        ask["salts"] = 1 + n[back] // GROUP
-        yield from _by_doc(rows["doc"], rows["tag"], ask, 2)
+    for side, has, lo, hi in (
+        ("left", rows["first"] >= HALF, rows["at"] - rows["first"], rows["at"] - np.maximum(rows["last"], HALF)),
+        ("right", rows["last"] < HALF, rows["at"] - np.minimum(rows["first"], HALF - 1), rows["at"] - rows["last"]),
+    ):
+        own, lo, hi = rows[has], lo[has], hi[has]
+        key = spread(own["h"] ^ spread(own[side].astype(np.uint64) + np.uint64(1 if side == "left" else 1 << 20)))
+        _, back, n = np.unique(key, return_inverse=True, return_counts=True)
+        busy = n[back] > 1
+        ask = np.zeros(int(busy.sum()), ASK)
+        ask["h"], ask["slice"], ask["lo"], ask["hi"], ask["salts"] = key[busy], own["slice"][busy], lo[busy], hi[busy], 1 + n[back][busy] // GROUP
+        yield from _by_doc(own["doc"][busy], own["tag"][busy], ask, 2)
+
+
+def _places(lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Every place of the ranges lo..hi: (which range, place)."""
+    size = hi.astype(np.int64) - lo + 1
+    which = np.repeat(np.arange(len(lo)), size)
+    return which, lo[which].astype(np.int64) + np.arange(len(which)) - np.repeat(np.cumsum(size) - size, size)
 
 
 def _send_windows(asked: DataFrame, parts: int) -> DataFrame:
-    """The windows of the classes asked for, packed by part of anchor and salt (kind 3)."""
+    """The symbols of the windows asked for, packed by part of group and salt (kind 3)."""
 
     def flush(held):
         rows = np.concatenate(held)
@@ -224,15 +225,21 @@ def _send_windows(asked: DataFrame, parts: int) -> DataFrame:
                 for k in np.unique(ask["slice"]):
                     part = data[int(k) * STEP : int(k) * STEP + SLICE]
                     sums, own = Sums(part), ask[ask["slice"] == k]
-                    size = own["first"].astype(np.int64) - own["last"] + 1
-                    which = np.repeat(np.arange(len(own)), size)
-                    step = np.arange(len(which)) - np.repeat(np.cumsum(size) - size, size)
-                    at = own["at"][which].astype(np.int64) - own["first"][which] + step
-                    out = np.zeros(len(at), WINDOW)
-                    out["w"] = sums.hash(at, at + WIDTH)
-                    salt = (out["w"] % own["salts"][which].astype(np.uint64)) * np.uint64(0x9E3779B97F4A7C15)
-                    out["h"] = own["h"][which].astype(np.int64).view(np.uint64) + salt
-                    out["doc"], out["tag"], out["at"] = doc, tag, at + int(k) * STEP
+                    # windows lo..hi begin with the symbols lo..hi and need NEED - 1 more behind them
+                    whole = own["salts"] == 1
+                    which, at = _places(own["lo"], own["hi"] + np.where(whole, NEED - 1, 0))
+                    start = at <= own["hi"][which]
+                    salt = sums.hash(at, at + LONG) % own["salts"][which].astype(np.uint64)
+                    if not whole.all():  # the windows of groups that are dealt out go each with its own symbols
+                        alone = ~whole[which]
+                        more = np.flatnonzero(alone)
+                        each, step = np.repeat(more, NEED - 1), np.tile(np.arange(1, NEED), len(more))
+                        which, at = np.concatenate((which, which[each])), np.concatenate((at, at[each] + step))
+                        start, salt = np.concatenate((start, np.zeros(len(each), bool))), np.concatenate((salt, salt[each]))
+                    out = np.zeros(len(at), SYMBOL)
+                    out["w"] = sums.hash(at, at + LONG)
+                    out["h"] = own["h"][which] + salt * np.uint64(0x9E3779B97F4A7C15)
+                    out["doc"], out["tag"], out["at"], out["start"] = doc, tag, at + int(k) * STEP, start
                     held.append(out)
                     n += len(out)
                     if n >= FLUSH:
@@ -244,28 +251,46 @@ def _send_windows(asked: DataFrame, parts: int) -> DataFrame:
     return asked.select("doc_id", "text", "tag", "asks").mapInArrow(run, FOUND)
 
 
+def repeated_starts(text: np.ndarray, need: int) -> tuple[np.ndarray, np.ndarray]:
+    """Suffixes in the array's order that share ``need`` symbols with a neighbour, none of them 0, and the number of their interval."""
+    sa = np.array(suffix_array(text.tolist()), np.int64)
+    padded = np.append(text, np.zeros(need, text.dtype))
+    alike = np.zeros(len(sa), bool)  # whether a suffix shares them with the one before
+    near = np.arange(1, len(sa))
+    for j in range(need):
+        a, b = padded[sa[near] + j], padded[sa[near - 1] + j]
+        near = near[(a == b) & (a > 0)]
+    alike[near] = True
+    held = alike.copy()
+    held[:-1] |= alike[1:]
+    return sa[held], np.cumsum(~alike)[held]
+
+
 def _solve_windows(rows: np.ndarray) -> Iterator[tuple]:
-    """Windows that also start earlier, by the suffix array of the groups' repeated windows (kind 1)."""
-    key = rows["w"] ^ (rows["h"] * np.uint64(0xD6E8FEB86659FD93))
-    _, symbol, n = np.unique(key, return_inverse=True, return_counts=True)
+    """Windows that also start earlier, by intervals of the suffix array of the groups' symbols (kind 1)."""
+    order = np.lexsort((rows["at"], rows["doc"], rows["tag"], rows["h"]))
+    rows = rows[order]
+    # one row a place: it is a start if any window asked for starts there
+    first = _changes(rows["h"], rows["tag"], rows["doc"], rows["at"])
+    start = np.maximum.reduceat(rows["start"], first) > 0 if len(rows) else np.zeros(0, bool)
+    rows = rows[first]
+    _, symbol, n = np.unique(rows["w"] ^ (rows["h"] * np.uint64(0xD6E8FEB86659FD93)), return_inverse=True, return_counts=True)
     keep = n[symbol] > 1
-    rows, symbol = rows[keep], symbol[keep] + 1
+    rows, symbol, start = rows[keep], symbol[keep] + 1, start[keep]
     if not len(rows):
         return
-    order = np.lexsort((rows["at"], rows["doc"], rows["tag"], rows["h"]))
-    rows, symbol = rows[order], symbol[order]
-    # a text of stretches of neighbouring windows, set apart by the least symbol
+    # stretches of neighbouring places, set apart by the least symbol
     broken = np.flatnonzero((rows["h"][1:] != rows["h"][:-1]) | (rows["doc"][1:] != rows["doc"][:-1]) | (rows["tag"][1:] != rows["tag"][:-1]) | (rows["at"][1:] != rows["at"][:-1] + 1)) + 1
-    text = np.insert(symbol, broken, 0)
     where = np.insert(np.arange(len(rows)), broken, -1)
-    sa = np.array(suffix_array(text.tolist()), np.int64)
-    sa = sa[where[sa] >= 0]
-    rows, first = rows[where[sa]], text[sa]
-    start = _changes(first)
-    # of the suffixes that begin with one window, the earliest start stays
-    group = np.repeat(np.arange(len(start)), np.diff(np.append(start, len(sa))))
+    at, group = repeated_starts(np.insert(symbol, broken, 0), NEED)
+    own = where[at]
+    at, group = own[start[own]], group[start[own]]
+    rows = rows[at]
+    # of an interval, the earliest start stays
     rank = np.lexsort((rows["at"], rows["doc"], group))
-    lead = rank[_changes(group[rank])][group]
+    begin = _changes(group[rank])
+    lead = np.zeros(len(rows), np.int64)
+    lead[rank] = np.repeat(rank[begin], np.diff(np.append(begin, len(rows))))
     later = (rows["doc"] != rows["doc"][lead]) | (rows["at"] != rows["at"][lead])
     out = np.zeros(int(later.sum()), COVER)
     out["lo"] = out["hi"] = rows["at"][later]
@@ -288,7 +313,8 @@ def covered(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     """Ids and tags of copies of whole texts, and (doc_id, tag, spans): ranges of windows that also start earlier."""
     texts = _text(docs)
     narrow = materialize(texts.select("doc_id", "tag", F.md5("text").alias("md5"), F.octet_length("text").cast("long").alias("n")).filter(F.col("n") >= WIDTH), "exactdup-hashes")
-    many = narrow.groupBy("md5").agg(F.min("doc_id").alias("first"), F.count("*").alias("k")).filter("k > 1")
+    # written first, so that the join below reads both sides from a shuffle and a hot hash can be split
+    many = materialize(narrow.groupBy("md5").agg(F.min("doc_id").alias("first"), F.count("*").alias("k")).filter("k > 1"), "exactdup-many", narrow=True)
     copies = materialize(narrow.join(many, "md5").filter("doc_id > first").select("doc_id", "tag").distinct(), "exactdup-copies")
     total = narrow.agg(F.sum("n")).first()[0] or 0
     parts = max(12, -(-total // PART_BYTES))
@@ -296,7 +322,7 @@ def covered(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     found = materialize(_solved(_send_runs(own, parts), parts, RUN, 0, _solve_runs), "exactdup-runs")
     asks = materialize(found.filter("kind = 2").groupBy("doc_id", "tag").agg(F.collect_list("data").alias("asks")), "exactdup-asks")
     asked = _only(texts, asks.select("doc_id").distinct(), "left_semi").join(asks, ["doc_id", "tag"])
-    more = _solved(_send_windows(asked, parts), parts, WINDOW, 3, _solve_windows)
+    more = _solved(_send_windows(asked, parts), parts, SYMBOL, 3, _solve_windows)
     spans = found.filter("kind = 1").select("doc_id", "tag", "data").unionAll(more.select("doc_id", "tag", "data"))
     return copies, materialize(spans.groupBy("doc_id", "tag").agg(F.collect_list("data").alias("spans")), "exactdup-spans")
 

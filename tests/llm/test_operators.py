@@ -74,6 +74,29 @@ def test_repeats_on_the_tables(spark, sf):
     assert frame(registry.QUERIES["op5_suffix_dedup"](spark, sf), "n_bytes", "n_removed", "n_spans", "kept_sha256") == repeated(rows)
 
 
+def test_repeats_need_the_array(monkeypatch):
+    """Intervals of the array are the repeats; with suffixes ordered by their first symbol alone, other ones come out."""
+    rnd = random.Random(11)
+    need, differ = 5, 0
+    for _ in range(200):
+        text = np.array([rnd.choice([0, 1, 1, 2, 2, 3]) for _ in range(80)])
+        runs = {}
+        for i in range(len(text) - need + 1):
+            if text[i : i + need].all():
+                runs.setdefault(tuple(text[i : i + need]), set()).add(i)
+        want = {frozenset(v) for v in runs.values() if len(v) > 1}
+
+        def intervals(text=text):
+            at, group = exactdup.repeated_starts(text, need)
+            return {frozenset(at[group == g].tolist()) for g in set(group.tolist())}
+
+        assert intervals() == want
+        with monkeypatch.context() as m:
+            m.setattr(exactdup, "suffix_array", lambda t: sorted(range(len(t)), key=t.__getitem__))
+            differ += intervals() != want
+    assert differ > 100
+
+
 def test_texts_longer_than_a_slice(spark):
     rnd = random.Random(1)
     long = "".join(rnd.choice("abcdefgh ") for _ in range(1_100_000))
