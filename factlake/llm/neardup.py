@@ -1,21 +1,23 @@
-"""Near duplicates by tensored MinHash, made exact.
+"""Near duplicates by tensored MinHash: pairs that meet in a table, verified on full sets.
 
 A document is the set of its word shingles; two are linked if 100 * |a & b| >= percent * |a | b|.
 
 1. One pass over the texts hashes the shingles and takes 2 * 2 * GROUPS minhashes: two collections of
    GROUPS keys of two minhashes each. GROUPS**2 table keys, one for each pair of a first and a second
    key, come from that many fewer hashes; a pair at similarity 0.8 shares none of them with a chance
-   of 2 * 0.36**GROUPS, 2e-7.
+   of 2 * 0.36**GROUPS, 2e-7, and is then not found.
 2. Equal sets are one class, by a 128-bit hash; only its smallest doc_id goes on.
 3. Keys that occur once are dropped before pairs of keys are formed, so only documents with some
    partner in both collections get table keys.
 4. Every table has a leader, the member whose keys are the most common; each member is verified against
-   its leaders on full sets. No pairs within a table are formed.
-5. Verified links give components. What the leaders have not connected is finished exactly: shingles
-   are put in one global order, rare first; a linked pair shares a shingle of both prefixes at places
-   that leave room for the overlap. Within a shingle's group only members outside its largest
-   component are compared with others, and only across components.
-6. Links found in 5 are added and the components taken again.
+   its leaders on full sets. Verified links give components.
+5. Tables whose other members lie in several components are still open: members outside the table's
+   largest component are verified against all members of other components, so every pair that meets
+   in a table is either verified or connected already. No other pair is ever looked at.
+6. An open table that would form over OPEN pairs is hot. The members of hot tables are compared by an
+   exact prefix filter instead: shingles are put in one global order, rare first; a linked pair
+   shares a shingle of both prefixes at places that leave room for the overlap. Within a shingle's
+   group again only members outside its largest component are compared, and only across components.
 
 Cases: without words a document is in no class and linked with nothing; with fewer words than a
 shingle has, all words are one shingle; rows that share a doc_id are one document; null texts are
@@ -33,7 +35,7 @@ from pyspark.sql import functions as F
 from .common import materialize, text_chunks
 from .shingles import WordCodes, ascii_words, overlap, shingle_set
 
-GROUPS, BUCKETS, BROADCAST = 16, 1 << 18, 5_000_000
+GROUPS, BUCKETS, BROADCAST, OPEN = 16, 1 << 18, 1_000_000, 1024
 
 
 def _hashes(seed: int) -> tuple[np.ndarray, np.ndarray]:
@@ -123,19 +125,41 @@ def components(edges: DataFrame, name: str = "components") -> DataFrame:
             return labels
 
 
-def _leader_pairs(classes: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """Representatives with partners in both collections, and (member, leader) pairs of all tables."""
-    keys = classes.select("rep", F.posexplode("keys").alias("at", "key"))
-    busy = keys.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1")
+def _tables(classes: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Representatives with partners in both collections, and (t, n, x, y): members x of table t beside its leader y."""
+    keys = classes.select("rep", "n_shingles", F.posexplode("keys").alias("at", "key"))
+    busy = keys.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1").select("key", F.col("n"))
     held = keys.join(busy, "key")
     side = lambda first: F.collect_list(F.when((F.col("at") < GROUPS) == first, F.col("key")))
-    contested = held.groupBy("rep").agg(side(True).alias("a"), side(False).alias("b"), F.sum(F.log2("n")).alias("common")).filter((F.size("a") > 0) & (F.size("b") > 0))
+    contested = held.groupBy("rep").agg(F.first("n_shingles").alias("size"), side(True).alias("a"), side(False).alias("b"), F.sum(F.log2("n")).alias("common")).filter((F.size("a") > 0) & (F.size("b") > 0))
     rank = F.least(F.floor(F.col("common") * 64), F.lit(2**18)).cast("long") * F.lit(2**44) + F.xxhash64("rep").bitwiseAND(F.lit(2**44 - 1))
-    contested = materialize(contested.select("rep", "a", "b", rank.alias("rank")), "neardup-contested", narrow=True)
-    tables = contested.select("rep", "rank", "b", F.explode("a").alias("ka")).select("rep", "rank", "ka", F.explode("b").alias("kb")).select("rep", "rank", F.xxhash64("ka", "kb").alias("t"))
-    lead = tables.groupBy("t").agg(F.max("rank").alias("lead"), F.count("*").alias("n")).filter("n > 1").select("t", "lead")
-    pairs = tables.join(lead, "t").filter("lead <> rank").select(F.col("rep").alias("x"), "lead").distinct()
-    return contested, pairs.join(contested.select(F.col("rank").alias("lead"), F.col("rep").alias("y")), "lead").select("x", "y")
+    contested = materialize(contested.select("rep", "size", "a", "b", rank.alias("rank")), "neardup-contested", narrow=True)
+    held = contested.select("rep", "rank", "b", F.explode("a").alias("ka")).select("rep", "rank", "ka", F.explode("b").alias("kb")).select("rep", "rank", F.xxhash64("ka", "kb").alias("t"))
+    lead = held.groupBy("t").agg(F.max("rank").alias("lead"), F.count("*").alias("n")).filter("n > 1")
+    members = held.join(lead, "t").filter("lead <> rank").select("t", "n", F.col("rep").alias("x"), "lead")
+    return contested, members.join(contested.select(F.col("rank").alias("lead"), F.col("rep").alias("y")), "lead").select("t", "n", "x", "y")
+
+
+def _open_members(members: DataFrame, contested: DataFrame, labels: DataFrame) -> DataFrame:
+    """t, rep, size, comp, main and hot of the members (without leaders) of tables that several components share."""
+    named = contested.select(F.col("rep").alias("x"), "size").join(labels.select(F.col("node").alias("x"), "label"), "x", "left")
+    named = named.select("x", "size", F.coalesce("label", "x").alias("comp"))
+    rows = members.filter("n > 2").select("t", "x").join(named, "x")
+    some = rows.groupBy("t").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi").select("t")
+    rows = materialize(rows.join(materialize(some, "neardup-open"), "t"), "neardup-open-members", narrow=True)
+    sizes = rows.groupBy("t", "comp").agg(F.count("*").alias("k"))
+    main = sizes.groupBy("t").agg(F.max_by("comp", "k").alias("main"), F.sum("k").alias("all"), F.max("k").alias("most"))
+    main = materialize(main.select("t", "main", ((F.col("all") - F.col("most")) * F.col("all") > OPEN).alias("hot")), "neardup-main", narrow=True)
+    return rows.join(main, "t").select("t", F.col("x").alias("rep"), "size", "comp", "main", "hot")
+
+
+def _pairs_in_tables(rows: DataFrame, percent: int) -> DataFrame:
+    """Pairs across components that meet in an open table which is not hot, and whose sizes allow a link."""
+    cols = ["rep", "comp", "size"]
+    x = rows.filter("NOT hot AND comp <> main").select("t", *(F.col(c).alias(f"{c}_x") for c in cols))
+    y = rows.filter("NOT hot").select("t", *(F.col(c).alias(f"{c}_y") for c in cols))
+    fits = (F.col("comp_x") != F.col("comp_y")) & (100 * F.least("size_x", "size_y") >= percent * F.greatest("size_x", "size_y"))
+    return x.join(y, "t").filter(fits).select(F.least("rep_x", "rep_y").alias("x"), F.greatest("rep_x", "rep_y").alias("y")).distinct()
 
 
 def _prefixes(sets: DataFrame, percent: int) -> DataFrame:
@@ -185,15 +209,21 @@ def _open_pairs(prefixes: DataFrame, labels: DataFrame, percent: int) -> DataFra
 def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, seed: int = 3) -> DataFrame:
     """doc_id, n_shingles, component_id and kept of every row."""
     sig = materialize(signatures(docs, size, seed), "neardup-signatures")
-    classes = materialize(sig.filter("n_shingles > 0").groupBy("set_hash").agg(F.min("doc_id").alias("rep"), F.first("keys").alias("keys")), "neardup-classes", narrow=True)
-    contested, pairs = _leader_pairs(classes)
+    classes = materialize(sig.filter("n_shingles > 0").groupBy("set_hash").agg(F.min("doc_id").alias("rep"), F.first("keys").alias("keys"), F.first("n_shingles").alias("n_shingles")), "neardup-classes", narrow=True)
+    contested, members = _tables(classes)
+    members = materialize(members, "neardup-tables", narrow=True)
     sets = materialize(_sets(docs, contested.select("rep").distinct(), contested.count(), size), "neardup-sets")
-    links = materialize(_links(pairs, sets, percent), "neardup-links", narrow=True)
+    links = materialize(_links(members.select("x", "y").distinct(), sets, percent), "neardup-links", narrow=True)
     labels = components(links)
-    more = materialize(_links(_open_pairs(_prefixes(sets, percent), labels, percent), sets, percent), "neardup-more", narrow=True)
+    still = materialize(_open_members(members, contested, labels), "neardup-still", narrow=True)
+    more = _pairs_in_tables(still, percent)
+    hot = materialize(still.filter("hot").select("rep").distinct(), "neardup-hot", narrow=True)
+    if hot.limit(1).count():
+        more = more.unionAll(_open_pairs(_prefixes(sets.join(hot, "rep", "left_semi"), percent), labels, percent)).distinct()
+    more = materialize(_links(more, sets, percent), "neardup-more", narrow=True)
     if more.limit(1).count():
         labels = components(links.unionAll(more))
     named = classes.select("set_hash", "rep").join(labels.select(F.col("node").alias("rep"), "label"), "rep", "left").select("set_hash", F.coalesce("label", "rep").alias("label"))
-    out = sig.select("doc_id", "n_shingles", "set_hash").join(named, "set_hash", "left")
+    out = sig.select("doc_id", "n_shingles", "set_hash").join(materialize(named, "neardup-named", narrow=True), "set_hash", "left")
     comp = F.coalesce("label", "doc_id")
     return out.select("doc_id", "n_shingles", comp.alias("component_id"), (F.col("doc_id") == comp).alias("kept"))

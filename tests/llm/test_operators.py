@@ -141,6 +141,40 @@ def test_near_duplicates_like_brute_force(spark):
         assert frame(neardup.near_duplicates(docs(spark, texts), size, 80), "n_shingles", "component_id", "kept") == linked(texts, size, 80)
 
 
+def test_tables_decide_the_links(spark, monkeypatch):
+    """Without tables nothing is linked; with hot ones split, and whatever the limit, the links are those of brute force."""
+    rnd = random.Random(12)
+    base = [f"v{i}" for i in range(60)]
+    texts = []
+    for _ in range(120):  # one family around the threshold: many pairs in a table that are no links
+        w = list(base)
+        for _ in range(rnd.randint(0, 5)):
+            w[rnd.randrange(60)] = f"u{rnd.randint(0, 10**6)}"
+        texts.append(" ".join(w))
+    want = linked(texts, 4, 80)
+    for most in (0, 10**9):
+        monkeypatch.setattr(neardup, "OPEN", most)
+        assert frame(neardup.near_duplicates(docs(spark, texts), 4, 80), "n_shingles", "component_id", "kept") == want
+    tables = neardup._tables
+
+    def none(classes):
+        contested, members = tables(classes)
+        return contested, members.filter("t IS NULL")
+
+    monkeypatch.setattr(neardup, "_tables", none)
+    alone = frame(neardup.near_duplicates(docs(spark, texts), 4, 80), "component_id")
+    assert all(c == texts.index(texts[i]) for i, (c,) in alone.items()) and len({c for _, c, _ in want.values()}) < len(set(texts))
+
+
+def test_recall_on_the_tables(spark):
+    d = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    rows = d.orderBy("doc_id").collect()
+    want = linked([r["text"] for r in rows], 4, 80)
+    got = frame(registry.QUERIES["op7_near_duplicates"](spark, "/root/testdata/sf0.01"), "n_shingles", "component_id", "kept")
+    order = [r["doc_id"] for r in rows]
+    assert got == {order[i]: (n, order[c], k) for i, (n, c, k) in want.items()}
+
+
 def test_components(spark):
     e = spark.createDataFrame([(i, i + 1) for i in range(30)] + [(50, 40), (40, 45)], "x long, y long")
     got = {r["node"]: r["label"] for r in neardup.components(e).collect()}
