@@ -324,23 +324,69 @@ def test_pages(spark):
     assert pages.blocks(None) == ([], False) and pages.blocks("a < b & c") == (["a < b & c"], False)
 
 
+PAGES = "page_id long, url string, html string"
+
+
+def texts_of(spark, rows):
+    return {r["page_id"]: (r["text"], r["n_chars"]) for r in pages.extract(spark.createDataFrame(rows, PAGES)).collect()}
+
+
 def test_template_lines_go(spark):
     page = lambda i: f"<body><div>Welcome to the site</div><p>story {i} with its own words {i * 7}</p><div>Read more of this</div></body>"
-    rows = [(i, f"http://h/a/{i}", page(i)) for i in range(6)] + [(10, "http://h/b/1", None), (11, None, "<p>alone"), (12, "http://h/c/1", "<p>same line</p>"), (13, "http://h/c/2", "<p>same line</p>")]
-    got = {r["page_id"]: (r["text"], r["n_chars"]) for r in pages.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    rows = [(i, f"http://h/a/{i}", page(i)) for i in range(6)] + [(10, "http://h/b/1", None), (11, None, "<p>alone"), (12, "http://g/c/1", "<p>same line</p>"), (13, "http://g/c/2", "<p>same line</p>")]
+    got = texts_of(spark, rows)
     assert all(got[i][0] == f"story {i} with its own words {i * 7}" for i in range(6))
     assert got[10] == ("", 0) and got[11] == ("alone", 5) and got[12][0] == got[13][0] == "same line"
 
 
+def test_differencing_decides(spark, monkeypatch):
+    """Templates without any telling name, inside articles too; word slugs; a page whose template lines differ; quoted lines stay."""
+    names = "how-to-cook how-to-bake how-to-sow on-rain zebra apples my-day".split()
+    page = lambda i: f"<body><div class=x1><span>Start</span></div><article><h1>Title {i}</h1><p>body {i} says {i * 13}</p><p>a quoted line</p><div class=q7><p>More from us</p><p>{'Sale today' if i == 3 else 'Call now'}</p></div></article></body>"
+    page2 = lambda i: f"<body><article><h1>Title {i}</h1><p>body {i}</p>{'<p>a quoted line</p>' if i in (2, 3) else ''}</article></body>"
+    rows = [(i, f"http://h/blog/{n}", page(i).replace("<p>a quoted line</p>", "<p>a quoted line</p>" if i in (0, 1) else "")) for i, n in enumerate(names)]
+    rows += [(20 + i, f"http://other/{i}", page2(i)) for i in range(7)]
+    want = {i: f"Title {i}\nbody {i} says {i * 13}" + ("\na quoted line" if i in (0, 1) else "") for i in range(7)}
+    want |= {20 + i: f"Title {i}\nbody {i}" + ("\na quoted line" if i in (2, 3) else "") for i in range(7)}
+    assert {k: t for k, (t, _) in texts_of(spark, rows).items()} == want
+    monkeypatch.setattr(pages, "shared_lines", lambda a, b: set())
+    assert sum(t != want[k] for k, (t, _) in texts_of(spark, rows).items()) == 7
+
+
+def test_every_page_of_a_host_has_a_partner(spark):
+    rnd = random.Random(13)
+    rows = [(i, f"http://h{min(3, i % 9)}/{rnd.choice(['a', 'news', 'x/y'])}/{rnd.randint(0, 99)}") for i in range(300)] + [(300, "http://one/"), (301, None)]
+    got = {r["row"]: (r["host"], r["partner"]) for r in pages.partners(spark.createDataFrame(rows, "row long, url string").repartition(7)).collect()}
+    assert len(got) == 302 and got[300][1] is None and got[301][1] is None
+    assert all(p is not None and p != i and got[p][0] == h for i, (h, p) in got.items() if i < 300)
+
+
+def test_odd_pages(spark):
+    import time
+
+    deep = "<div>" * 100_000 + "deep"
+    many = "".join(f"<p>w{i % 7}</p>" for i in range(20_000))
+    rows = [(1, "http://h/1", deep), (2, "http://h/2", many), (3, "http://h/3", many + "<p>end"), (4, "http://h/3", many + "<p>end"), (4, "http://h/3", many + "<p>end"), (5, "http://h/5", "<article>" * 3000 + "x")]
+    began = time.time()
+    df = spark.createDataFrame([(*r, "c", 1.0) for r in rows], PAGES + ", text string, n_chars double")
+    got = {r["page_id"]: r["text"] for r in pages.extract(df).collect()}
+    assert time.time() - began < 90 and got[1] == "deep" and got[4].endswith("\nend") and got[5] == "x"
+    assert pages.extract(df.limit(0)).count() == 0
+
+
 def test_common_subsequence():
     rnd = random.Random(8)
-    for _ in range(300):
-        a, b = ([rnd.choice("abcd") for _ in range(rnd.randint(0, 12))] for _ in range(2))
+    for n in range(600):
+        pages.CELLS = 1 << 26 if n % 2 else 20
+        a, b = ([rnd.choice("abcd") for _ in range(rnd.randint(0, 14))] for _ in range(2))
         t = [[0] * (len(b) + 1) for _ in range(len(a) + 1)]
         for i, x in enumerate(a):
             for j, y in enumerate(b):
                 t[i + 1][j + 1] = t[i][j] + 1 if x == y else max(t[i][j + 1], t[i + 1][j])
-        assert len(pages.shared_lines(a, b)) == t[-1][-1]
+        own = pages.shared_lines(a, b)
+        rest = iter(b)
+        assert len(own) == t[-1][-1] and all(a[i] in rest for i in sorted(own))
+    pages.CELLS = 1 << 26
 
 
 # ---- top-k and mixing
