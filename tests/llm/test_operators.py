@@ -247,6 +247,61 @@ def test_contexts_find_unseen_identifiers(spark):
     assert got[8][0] == "phone:31:43" and got[9][0] == ""
 
 
+def found_spans(spark, texts):
+    """Text of the spans that the method adds, by document."""
+    got = frame(pii.digest(pii.spans(docs(spark, texts))), "spans")
+    cut = lambda t, s: [t[int(a) : int(b)] for _, a, b in (x.split(":") for x in s.split(",") if x)]
+    own = {i: set(cut(t or "", base_spans(t))) for i, t in enumerate(texts)}
+    return {i: [x for x in cut(texts[i] or "", s) if x not in own[i]] for i, (s,) in got.items()}
+
+
+def test_contexts_of_all_kinds(spark):
+    rnd = random.Random(7)
+    key = lambda: "".join(rnd.choice("0123456789abcdef") for _ in range(40))
+    seeds = [f'set token = "{key()}" here' for _ in range(5)] + [f"tel: +49 (0) 30 55501{i}" for i in range(5)]
+    seeds += [f"account={key()} x" for _ in range(4)]
+    cases = {
+        'my token = "hunter-two-open" end': ["hunter-two-open"],  # without a digit
+        "tel: 030 1234567 end": ["030 1234567"],  # groups of digits
+        "tel: (030) 123 4567 end": ["030) 123 4567"],
+        "account=horsebattery yes": ["horsebattery"],
+        "ref 030 1234567 and the part hunter-two-open": [],  # no context tells
+        "time: 12:30 and note: nothing": [],
+    }
+    texts = [*seeds, *cases]
+    got = found_spans(spark, texts)
+    assert [got[len(seeds) + i] for i in range(len(cases))] == list(cases.values())
+
+
+def test_patterns_spread(spark):
+    """An instance accepted in one round supports a pattern that has no seed of its own."""
+    seeds = [f"phone: +1 (212) 555-{1000 + i}" for i in range(30)]
+    unseen = [f"55-{7000 + i}-x1" for i in range(4)]
+    texts = [*seeds, *(f"phone: {x}" for x in unseen), *(f"fax: {x}" for x in unseen), "fax: 99-8888-y2", "size: 99-8888-y2"]
+    got = found_spans(spark, texts)
+    assert got[38] == ["99-8888-y2"] and got[39] == []
+    once = frame(pii.digest(pii.spans(docs(spark, texts), rounds=1)), "spans")
+    assert once[38][0] == ""
+
+
+def test_method_finds_the_secrets_of_the_tables(spark):
+    """Labelled secrets of the tables and nothing else; without patterns none of them."""
+    d = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    texts = {r["doc_id"]: r["text"] for r in d.collect()}
+    want = {(i, m[1]) for i, t in texts.items() for m in re.finditer(r'(?i)token = "([^"]+)"', t or "")}
+    got = set()
+    for i, (s,) in frame(pii.digest(pii.spans(d)), "spans").items():
+        own = set(base_spans(texts[i]).split(","))
+        got |= {(i, texts[i][int(x.split(":")[1]) : int(x.split(":")[2])]) for x in s.split(",") if x and x not in own}
+    assert got == want and want
+
+
+def test_mask_after_a_shuffle(spark):
+    texts = [f"row {i} writes to user{i}@mail.example.org now" if i % 3 else f"row {i}" for i in range(400)]
+    df = docs(spark, texts).repartition(5, F.rand())
+    assert not any("@" in r["text"] for r in pii.mask(df).collect())
+
+
 def test_mask(spark):
     texts = ["write to a.b@c.de now", None, "no data", "10.1.2.3 and 10.1.2.4"]
     out = {r["doc_id"]: (r["text"], r["n_chars"]) for r in pii.mask(docs(spark, texts)).collect()}
