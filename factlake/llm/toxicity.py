@@ -1,10 +1,16 @@
 """Toxicity of texts that may be disguised: a noisy-channel decoder in front of a learned word list.
 
-Tokens with digits or symbols among letters, letters spelled out with separators, and letters repeated
-three times or more span a lattice: each written sign may stand for some letters, a repeated letter or
-a separator for none. Viterbi search (k best) finds the likeliest letters under a letter trigram model
-counted over the whole corpus. A plain word has a single path and needs no search. The readings are
-scored beside the words as written.
+What differs from plain words spans a character lattice: tokens with digits or symbols among letters,
+with separators inside or with letters repeated three times or more, and runs of single signs spelled
+out with spaces or separators between them. Each written sign may stand for some letters, a repeated
+letter for none, and a separator for nothing or for the end of a word, so words are cut within the
+lattice, not before it. Viterbi search (k best) finds the likeliest texts under a letter trigram model
+counted over the whole corpus; they take the place of what is written, and the restored text is
+scored. A plain word has a single path and needs no search.
+
+A word may also be cut in two or more plain pieces. Joining pieces can change a score only where the
+joined letters begin with a listed feature that crosses the cut; there, and nowhere else, the pieces
+go through the lattice, and count as joined if a best reading joins them.
 
 The word list is learned from labelled rows: features are words and their beginnings. Features are
 taken greedily, each time the one that explains the most toxic rows not yet explained less a penalty
@@ -15,7 +21,8 @@ A text's score is a noisy-or over the features it holds, above the rate of toxic
 
 Cases: null and empty texts score the rate without features; rows without a label are scored like any
 other; null labels are not learned from; without toxic rows to learn from every score is 0; repeated
-rows score alike; texts are read whole; columns other than those named are ignored.
+rows score alike; texts and tokens are read whole, in time linear in their length; columns other than
+those named are ignored.
 """
 
 from __future__ import annotations
@@ -37,13 +44,16 @@ LEET = {
     "0": "o", "1": "il", "2": "z", "3": "e", "4": "a", "5": "s", "6": "gb", "7": "t", "8": "b", "9": "g",
     "@": "a", "$": "s", "!": "il", "|": "li", "+": "t", "(": "c", "€": "e", "¡": "i", "£": "l", "#": "h",
 }
-SEPARATORS = set(" ._-*~'`^/\\,:;")
-SPELLED = re.compile(r"(?<![^\W_])[^\W_](?:[ ._*~/-][^\W_]){3,}(?![^\W_])")
+SEPARATORS = " \t\n\r._-*~'`^/\\,:;"
+_SIGN, _SEP = rf"(?:[^\W_]|[{re.escape(''.join(c for c in LEET if not c.isalnum()))}])", rf"[{re.escape(SEPARATORS)}]"
+SPELLED = re.compile(rf"(?<![^\W_]){_SIGN}(?:{_SEP}+{_SIGN}(?![^\W_])){{2,}}")
+CUT = re.compile(rf"{_SEP}+")
 WORDS = re.compile(r"[^\W\d_]+")
 TRIPLE = re.compile(r"([^\W\d_])\1\1")
 REPEATS = re.compile(r"(.)\1{2,}", re.S)
-PREFIXES, LONGEST, MEMO = (4, 5, 6), 60, 200_000
-SWAP, SKIP, LETTER = 1.2, 0.4, 0.05  # costs (minus log probability) of the channel
+PREFIXES, MEMO = (4, 5, 6), 200_000
+# costs (minus log probability) of the channel: another sign, nothing, the letter itself; of a separator: the end of a word, one wider than others read as nothing, one between pieces of plain words read as nothing
+SWAP, SKIP, LETTER, GAP, WIDE, PIECE = 1.2, 0.4, 0.05, 0.7, 2.0, 3.0
 
 
 @dataclass
@@ -76,34 +86,71 @@ def letter_model(docs: DataFrame) -> np.ndarray:
     return -np.log(p3).astype(np.float32)
 
 
-def decode(token: str, log3: np.ndarray, best: int = 3, beam: int = 32) -> list[str]:
-    """The likeliest readings of a token, best first. Of a long token, the best reading of every LONGEST signs is settled before the next."""
+def decode(written: str, log3: np.ndarray, best: int = 3, join: float | None = None) -> list[str]:
+    """The ``best`` likeliest readings, likeliest first; words in them are parted by one space.
+
+    ``join`` is the cost of reading a separator as nothing; by default it depends on its width.
+    """
     slots = letter_slots()
-    states = {(0, 0): [(0.0, "")]}
-    last = settled = ""
-    for n, ch in enumerate(REPEATS.sub(r"\1\1", token)):
-        if n and n % LONGEST == 0:
-            k, ways = min(states.items(), key=lambda w: w[1][0])
-            settled += ways[0][1]
-            states = {k: [(0.0, "")]}
-        if ch.isalpha():
-            emits, skip = ((ch, LETTER),), SKIP if ch == last else None
-        elif ch in LEET:
-            emits, skip = tuple((x, SWAP) for x in LEET[ch]), (SKIP if ch == last else 4.0)
-        else:
-            emits, skip = (), SKIP if ch in SEPARATORS else 2.0
+    signs = REPEATS.sub(r"\1\1", written)
+    widths = [len(m) for m in CUT.findall(signs)]
+    narrow = min(widths, default=1)
+    # state (letter before, last letter) -> ways (cost, hash of the output, output as a linked list), best first
+    states: dict = {(0, 0): [(0.0, 0, None)]}
+    at, last = 0, ""
+    while at < len(signs):
+        ch = signs[at]
+        cut = CUT.match(signs, at) if ch in SEPARATORS else None
         new: dict = {}
-        for (a, b), ways in states.items():
-            if skip is not None:
-                new.setdefault((a, b), []).extend((cost + skip, out) for cost, out in ways)
-            for x, c in emits:
-                s = int(slots[min(ord(x), PLANE)])
-                step = c + float(log3[a, b, s])
-                new.setdefault((b, s), []).extend((cost + step, out + x) for cost, out in ways)
-        kept = sorted(((sorted(set(ways))[:best], k) for k, ways in new.items()), key=lambda w: w[0][0][0])[:beam]
-        states, last = {k: ways for ways, k in kept}, ch
-    ends = sorted((cost + float(log3[a, b, 0]), out) for (a, b), ways in states.items() for cost, out in ways)
-    return list(dict.fromkeys(settled + out for _, out in ends if settled + out))[:best]
+        if cut:
+            wide = cut.end() - at > narrow
+            skip = join if join is not None else WIDE if wide else SKIP
+            gap = 0.1 if wide or join is not None else GAP
+            for (a, b), ways in states.items():
+                new.setdefault((a, b), []).extend((cost + skip, h, out) for cost, h, out in ways)
+                if b:
+                    end = gap + float(log3[a, b, 0])
+                    new.setdefault((0, 0), []).extend((cost + end, hash((h, " ")), (out, " ")) for cost, h, out in ways)
+            at = cut.end()
+        else:
+            if ch.isalpha():
+                emits, skip = ((ch, LETTER),), SKIP if ch == last else None
+            elif ch in LEET:
+                emits, skip = tuple((x, SWAP) for x in LEET[ch]), (SKIP if ch == last else 4.0)
+            else:
+                emits, skip = (), 2.0
+            for (a, b), ways in states.items():
+                if skip is not None:
+                    new.setdefault((a, b), []).extend((cost + skip, h, out) for cost, h, out in ways)
+                for x, c in emits:
+                    s = int(slots[min(ord(x), PLANE)])
+                    step = c + float(log3[a, b, s])
+                    new.setdefault((b, s), []).extend((cost + step, hash((h, x)), (out, x)) for cost, h, out in ways)
+            at += 1
+        states, last = {k: _distinct(ways, best) for k, ways in new.items()}, ch
+    ends = _distinct([(cost + (float(log3[a, b, 0]) if b else 0.0), h, out) for (a, b), ways in states.items() for cost, h, out in ways], best)
+    return list(dict.fromkeys(x for x in map(_output, ends) if x))
+
+
+def _distinct(ways: list[tuple], best: int) -> list[tuple]:
+    """The cheapest ways with different outputs."""
+    if len(ways) == 1:
+        return ways
+    kept: dict = {}
+    for w in sorted(ways, key=lambda w: w[0]):
+        if w[1] not in kept:
+            kept[w[1]] = w
+            if len(kept) == best:
+                break
+    return list(kept.values())
+
+
+def _output(way: tuple) -> str:
+    out, link = [], way[2]
+    while link:
+        link, x = link
+        out.append(x)
+    return "".join(out[::-1]).strip()
 
 
 def readings(token: str, log3: np.ndarray) -> list[str]:
@@ -124,21 +171,19 @@ def word_features(word: str) -> set[str]:
 
 
 def token_features(token: str, log3: np.ndarray) -> frozenset[str]:
-    """Features of a written token: of its words and of its readings."""
+    """Features of a token or a spelled-out run as restored: of its readings, or else of its words as written."""
     if token.isalpha() and len(token) < 4:
         return frozenset((f"{token} ",))
     out: set[str] = set()
-    for w in WORDS.findall(token):
-        out |= word_features(w)
-    for w in readings(token, log3):
+    for w in {w for r in readings(token, log3) for w in WORDS.findall(r)} or set(WORDS.findall(token)):
         out |= word_features(w)
     return frozenset(out)
 
 
 def tokens(text: str) -> set[str]:
-    """Distinct lower-case tokens, spelled-out ones joined."""
+    """Distinct lower-case tokens, and runs of single signs."""
     low = text.lower()
-    return {*low.split(), *("".join(c for c in m if c.isalnum()) for m in SPELLED.findall(low))}
+    return {*low.split(), *(m for m in SPELLED.findall(low) if any(c.isalpha() for c in m))}
 
 
 def text_features(text: str, log3: np.ndarray, memo: dict) -> set[str]:
@@ -153,6 +198,42 @@ def text_features(text: str, log3: np.ndarray, memo: dict) -> set[str]:
     return out
 
 
+class Pieces:
+    """Words cut in plain pieces, looked for only where joining them makes a listed feature."""
+
+    def __init__(self, features, log3: np.ndarray):
+        self.features, self.log3 = features, log3
+        self.longest = max(map(len, features), default=0)
+        self.starts = {f.strip()[:n] for f in features for n in range(1, len(f.strip()))}
+        self.memo: dict[str, frozenset] = {}
+
+    def found(self, text: str) -> set[str]:
+        if not self.starts:
+            return set()
+        ws = [w.strip(".,;:!?\"'()[]") for w in text.lower().split()]
+        out: set[str] = set()
+        for i in [i for i, w in enumerate(ws) if w in self.starts]:
+            joined = ws[i]
+            for j in range(i + 1, len(ws)):
+                if not ws[j].isalpha():
+                    break
+                before, joined = len(joined), joined + ws[j]
+                crossing = {f for f in word_features(joined) if f in self.features and len(f.strip()) > before}
+                if crossing:
+                    out |= crossing & self._read(" ".join(ws[i : j + 1]), joined)
+                if joined not in self.starts:
+                    break
+        return out
+
+    def _read(self, written: str, joined: str) -> frozenset:
+        if written not in self.memo:
+            if len(self.memo) >= MEMO:
+                self.memo.clear()
+            held = joined in decode(written, self.log3, join=PIECE)
+            self.memo[written] = frozenset(word_features(joined)) if held else frozenset()
+        return self.memo[written]
+
+
 def _sample(docs: DataFrame, labels: DataFrame, max_rows: int) -> DataFrame:
     """At most ``max_rows`` labelled rows with text, the smallest by a hash of the id, each id once; so few ids may be broadcast."""
     known = labels.filter(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
@@ -233,6 +314,7 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id") -> DataFrame:
     def run(batches):
         log3, chance, base = shared.value
         memo: dict = {}
+        pieces = Pieces(chance, log3)
 
         def chances(token):
             return {f: chance[f] for f in token_features(token, log3) if f in chance}
@@ -249,6 +331,8 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id") -> DataFrame:
                         f = memo[x] = chances(x)
                     if f:
                         held |= f
+                for g in pieces.found(t):
+                    held[g] = chance[g]
                 keep = 1 - base
                 for p in held.values():
                     keep *= 1 - p
