@@ -4,7 +4,9 @@ Words are lower-cased (A-Z) runs of letters, digits and non-ASCII characters. A
 line if the line holds at least ``threshold`` of the template's distinct words. All such pairs are
 found: words are ordered by their count in the whole corpus, rarest first; a line that meets the
 threshold must hold one of the first |T| - need + 1 words of template T (prefix filter) and have at least
-``need`` distinct words (length filter); what remains is counted in full. Blocks that run over line ends are windows of
+``need`` distinct words of templates (length filter). The words of both sides are met in that one
+order, so at the n-th common word the places on both sides bound what can still come; a template goes
+as soon as that cannot make ``need`` (positional filter). What remains is counted in full. Blocks that run over line ends are windows of
 |T| / threshold consecutive words of the text. Every template met gives a label, except one whose words in the text
 all belong to a template met to a higher share there. Templates are the bounded side: at
 most MAX_TEMPLATES, sent to every worker; the corpus is read twice and never shuffled.
@@ -108,24 +110,34 @@ class Templates:
             k = len(self.names)
             self.names.append(name), self.sets.append(set(ordered)), self.need.append(need)
             self.spans.append(ceil(round(len(words(text)) / threshold, 9)))
-            for w in ordered[: len(ordered) - need + 1]:
-                self.index.setdefault(w, []).append(k)
+            for i, w in enumerate(ordered[: len(ordered) - need + 1]):
+                self.index.setdefault(w, []).append((k, i))
         self.keys = set(self.index)
+        self.rank = {w: i for i, w in enumerate(sorted(set().union(*self.sets), key=lambda w: (counts.get(w, 0), w)))}
+
+    def candidates(self, line: set[bytes], positional: bool = True) -> list[int]:
+        """Numbers of the templates that the prefix, length and positional filters leave."""
+        block = sorted(line & self.rank.keys(), key=self.rank.__getitem__)
+        n, common = len(block), {}
+        for j, w in enumerate(block):
+            for k, i in self.index.get(w, ()):
+                if n < self.need[k]:
+                    continue
+                both = common.get(k, 0) + 1
+                fits = both + min(len(self.sets[k]) - i, n - j) - 1 >= self.need[k]
+                if both > 0 and (fits or not positional):
+                    common[k] = both
+                else:
+                    common[k] = -1  # stays out, whatever comes
+        return [k for k, both in common.items() if both > 0]
 
     def matches(self, line: list[bytes]) -> dict[str, float]:
         """Template name -> containment, for all templates that the line's words hold enough of."""
-        held = set(line)
-        seen = set()
-        out = {}
-        for w in held & self.keys:
-            for k in self.index[w]:
-                need = self.need[k]
-                if k in seen or len(held) < need:
-                    continue
-                seen.add(k)
-                both = len(self.sets[k] & held)
-                if both >= need:
-                    out[self.names[k]] = both / len(self.sets[k])
+        held, out = set(line), {}
+        for k in self.candidates(held):
+            both = len(self.sets[k] & held)
+            if both >= self.need[k]:
+                out[self.names[k]] = both / len(self.sets[k])
         return out
 
     def blocks(self, name: str, ws: list[bytes], line_of: list[int]) -> list[tuple[float, list[int]]]:

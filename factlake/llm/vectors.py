@@ -1,20 +1,22 @@
 """Exact top-k inner products by a three-phase uniform threshold.
 
 A score is the sum of the partial scores of PARTS blocks of components, each block a list of its own.
-Phase 1 gathers the k best entries of every list, resolves these few in full and takes the k-th best
-total as a cutoff that is safe: the answer's totals are no less. Phase 2 sends the cutoff back and
-collects from every list the entries of at least cutoff/PARTS; an entry below that in all lists cannot
-reach the cutoff. Phase 3 resolves the collected entries' missing parts and keeps those that reach the
-cutoff. The result is exact, ties included.
+Phase 1 gathers from every list of every shard the KEEP best entries of each query and what the best
+entry left behind has, resolves these few in full and takes the k-th best total as a cutoff that is
+safe: the answer's totals are no less. Phase 2 holds the cutoff against the lists: an entry below
+cutoff/PARTS in all lists cannot reach the cutoff, so a shard whose lists left nothing of at least
+that behind has given all that counts; only the others are read again, and only for the queries that
+need it. Phase 3 takes the collected entries' totals and keeps those that reach the cutoff. The result
+is exact, ties included.
 
 Vectors are packed into shards and queries into blocks of bounded size; every (shard, block) pair is
-scored once in each pass as integer matrix products, and a shard keeps at most k entries of a query.
-Queries are not broadcast: blocks are dealt to row groups and joined with the shards by group.
+scored once as integer matrix products. Queries are not broadcast: blocks are dealt to row groups, as
+many as the cluster's cores or the shards ask for, and joined with the shards by group.
 
 Cases: null vectors and vectors with a null or non-finite component take no part; vectors of unequal
 length are compared over the shorter one's components; repeated vec_ids are separate candidates except
 that no row of the query's own id is; empty tables give an empty result; with fewer than k candidates
-all are returned.
+all are returned; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -26,7 +28,8 @@ from pyspark.sql import functions as F
 
 from .common import materialize
 
-PARTS, SHARD, BLOCK = 2, 4096, 1024
+PARTS, SHARD, BLOCK, KEEP = 2, 4096, 1024, 16
+LEAST = -(2**63)
 
 
 def quantize(df: DataFrame, scale: float = 256.0, vec: str = "embedding") -> DataFrame:
@@ -73,85 +76,103 @@ def _partials(q: np.ndarray, v: np.ndarray) -> list[np.ndarray]:
     return [_product(q[:, a:b], v[:, a:b]) for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
 
 
-def _local_lists(pairs, k):
-    """Phase 1: of each list, a shard's k best entries of each query, with their totals."""
-    for pair in pairs:
-        qi, q = _matrix(*pair[:3])
-        vi, v = _matrix(*pair[3:6])
-        parts = _partials(q, v)
-        total = sum(parts)
-        own = qi[:, None] == vi[None, :]
-        least = np.iinfo(np.int64).min
-        take = min(k, len(vi))
-        top = [np.argpartition(np.where(own, -least - 1, -p), take - 1, axis=1)[:, :take] for p in parts]
-        rows = np.repeat(np.arange(len(qi)), take * len(parts))
-        key = np.unique(rows * len(vi) + np.concatenate(top, axis=1).ravel())
-        rows, cols = key // len(vi), key % len(vi)
-        keep = ~own[rows, cols]
-        rows, cols = rows[keep], cols[keep]
-        score = total[rows, cols]
-        order = np.lexsort((-score, rows))
-        rows, score = rows[order], score[order]
-        few = np.arange(len(rows)) - np.searchsorted(rows, rows, side="left") < k
-        yield qi[rows[few]], np.zeros(int(few.sum()), np.int64), score[few]
-
-
-def _collected(pairs, k):
-    """Phases 2 and 3: entries of at least cutoff/PARTS in some list, resolved; those that reach the cutoff."""
-    for pair in pairs:
-        qi, q = _matrix(*pair[:3])
-        vi, v = _matrix(*pair[3:6])
-        cut = np.frombuffer(pair[6], np.int64)
-        parts = _partials(q, v)
-        share = -((-cut) // PARTS)  # the least integer of at least cutoff / PARTS
-        hits = np.zeros(parts[0].shape, bool)
-        for p in parts:
-            hits |= p >= np.where(cut == np.iinfo(np.int64).min, cut, share)[:, None]
-        rows, cols = np.nonzero(hits)
-        score = sum(p[rows, cols] for p in parts)
-        keep = (score >= cut[rows]) & (qi[rows] != vi[cols])
-        rows, cols, score = rows[keep], cols[keep], score[keep]
-        order = np.lexsort((vi[cols], -score, rows))
-        rows, cols, score = rows[order], cols[order], score[order]
-        first = np.searchsorted(rows, rows, side="left")
-        few = np.arange(len(rows)) - first < k
-        yield qi[rows[few]], vi[cols[few]], score[few]
-
-
-def _over_pairs(joined: DataFrame, step, k: int, columns: list[str]) -> DataFrame:
+def _own_lists(q, qi, v, vi) -> list[np.ndarray]:
+    """Partial scores by list; a query's own row has the least integer."""
+    own = qi[:, None] == vi[None, :]
+    return [np.where(own, LEAST, p) for p in _partials(q, v)]
+
+
+def _resolved(parts, rows, cols):
+    """Rows, columns and totals of the cells that are no query's own, best first within a row."""
+    keep = parts[0][rows, cols] != LEAST
+    rows, cols = rows[keep], cols[keep]
+    score = sum(p[rows, cols] for p in parts)
+    order = np.lexsort((cols, -score, rows))
+    return rows[order], cols[order], score[order]
+
+
+def _gathered(qi, q, vi, v, k: int, keep: int):
+    """Phase 1: of each query the kept entries' ids and totals, the k best totals, and the best partial score left behind."""
+    parts = _own_lists(q, qi, v, vi)
+    n, take = len(vi), min(max(k, keep), len(vi))
+    top = [np.argpartition(p, n - take, axis=1)[:, n - take :] for p in parts]
+    floor = np.full(len(qi), LEAST)
+    if take < n:
+        for p, t in zip(parts, top, strict=True):
+            rest = p.copy()
+            np.put_along_axis(rest, t, LEAST, axis=1)
+            floor = np.maximum(floor, rest.max(axis=1))
+    key = np.unique(np.repeat(np.arange(len(qi)), take * len(parts)) * n + np.concatenate(top, axis=1).ravel())
+    rows, cols, score = _resolved(parts, key // n, key % n)
+    cut = np.searchsorted(rows, np.arange(len(qi) + 1))
+    return [(vi[cols[a:b]], score[a:b], score[a : min(b, a + k)], int(f)) for a, b, f in zip(cut[:-1], cut[1:], floor, strict=True)]
+
+
+def _read_again(qi, q, vi, v, cuts: dict[int, int], k: int):
+    """Phases 2 and 3 for the queries named: entries of at least cutoff/PARTS in some list whose totals reach the cutoff."""
+    some = np.flatnonzero(np.isin(qi, list(cuts)))
+    cut = np.array([cuts[int(i)] for i in qi[some]], np.int64)
+    parts = _own_lists(q[some], qi[some], v, vi)
+    share = -((-cut) // PARTS)  # the least integer of at least cutoff / PARTS
+    hits = np.logical_or.reduce([p >= share[:, None] for p in parts])
+    rows, cols, score = _resolved(parts, *np.nonzero(hits))
+    keep = score >= cut[rows]
+    return qi[some][rows[keep]], vi[cols[keep]], score[keep]
+
+
+def _grouped(shards: DataFrame, blocks: DataFrame, groups: int) -> DataFrame:
+    """Every (shard, block) pair once; shards stay where their group is, blocks go to every group."""
+    dealt = blocks.withColumn("g", F.explode(F.sequence(F.lit(0), F.lit(groups - 1)).cast("array<long>")))
+    return shards.withColumn("g", F.pmod(F.col("shard"), F.lit(groups))).join(dealt.hint("merge"), "g")
+
+
+def _lists(pairs: DataFrame, k: int, keep: int) -> DataFrame:
+    schema = "shard long, block long, query_id long, ids array<long>, scores array<long>, best array<long>, floor long"
+
     def run(batches):
-        def pairs(batch):
+        for batch in batches:
             for i in range(batch.num_rows):
-                yield tuple(batch.column(c)[i].as_py() for c in range(len(columns)))
+                shard, block, *cells = (batch.column(c)[i].as_py() for c in range(batch.num_columns))
+                (qi, q), (vi, v) = _matrix(*cells[:3]), _matrix(*cells[3:])
+                ids, scores, best, floor = zip(*_gathered(qi, q, vi, v, k, keep), strict=True)
+                long = pa.list_(pa.int64())
+                cols = [pa.array([shard] * len(qi), pa.int64()), pa.array([block] * len(qi), pa.int64()), pa.array(qi, pa.int64()), pa.array(ids, long), pa.array(scores, long), pa.array(best, long), pa.array(floor, pa.int64())]
+                yield pa.RecordBatch.from_arrays(cols, ["shard", "block", "query_id", "ids", "scores", "best", "floor"])
+
+    return pairs.select("shard", "block", "qids", "qm", "qdim", "ids", "m", "dim").mapInArrow(run, schema)
 
+
+def _again(todo: DataFrame, k: int) -> DataFrame:
+    def run(batches):
         for batch in batches:
-            for a, b, c in step(pairs(batch), k):
+            for i in range(batch.num_rows):
+                *cells, asks = (batch.column(c)[i].as_py() for c in range(batch.num_columns))
+                (qi, q), (vi, v) = _matrix(*cells[:3]), _matrix(*cells[3:])
+                a, b, c = _read_again(qi, q, vi, v, {x["query_id"]: x["cut"] for x in asks}, k)
                 yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.array(c, pa.int64())], ["query_id", "vec_id", "score"])
 
-    return joined.select(*columns).mapInArrow(run, "query_id long, vec_id long, score long")
+    return todo.select("qids", "qm", "qdim", "ids", "m", "dim", "asks").mapInArrow(run, "query_id long, vec_id long, score long")
 
 
-def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, groups: int = 64) -> DataFrame:
+def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, keep: int = KEEP) -> DataFrame:
     """query_id, rank, vec_id, score of the k best candidates of each query; inputs as ``quantize`` gives them."""
-    shards = pack(vectors, SHARD).withColumn("g", F.pmod(F.xxhash64("ids"), F.lit(groups)))
-    shards = materialize(shards, "vector-shards")
-    blocks = materialize(pack(queries.coalesce(max(1, queries.sparkSession.sparkContext.defaultParallelism)), BLOCK).select(F.col("ids").alias("qids"), F.col("m").alias("qm"), F.col("dim").alias("qdim")), "query-blocks")
-    dealt = blocks.withColumn("g", F.explode(F.sequence(F.lit(0), F.lit(groups - 1)).cast("array<long>")))
-    base = ["qids", "qm", "qdim", "ids", "m", "dim"]
-    lists = _over_pairs(shards.join(dealt.hint("merge"), "g"), _local_lists, k, base)
-    nth = Window.partitionBy("query_id").orderBy(F.desc("score"))
-    cutoff = lists.withColumn("r", F.row_number().over(nth)).filter(F.col("r") <= k).groupBy("query_id").agg(F.when(F.count("*") >= k, F.min("score")).otherwise(F.lit(-(2**63))).alias("cut"))
-    with_cut = _cutoffs(blocks, cutoff).withColumn("g", F.explode(F.sequence(F.lit(0), F.lit(groups - 1)).cast("array<long>")))
-    found = _over_pairs(shards.join(with_cut.hint("merge"), "g"), _collected, k, [*base, "cuts"])
+    cores = queries.sparkSession.sparkContext.defaultParallelism
+    shards = materialize(pack(vectors, SHARD).withColumn("shard", F.monotonically_increasing_id()), "vector-shards")
+    blocks = pack(queries.coalesce(max(1, cores)), BLOCK).select(F.monotonically_increasing_id().alias("block"), F.col("ids").alias("qids"), F.col("m").alias("qm"), F.col("dim").alias("qdim"))
+    blocks = materialize(blocks, "query-blocks")
+    groups = max(1, min(shards.count(), max(64, 4 * cores)))
+    lists = materialize(_lists(_grouped(shards, blocks, groups), k, keep), "vector-lists")
+    # the k-th best total of what was gathered; without k of them, everything was
+    nth = Window.partitionBy("query_id").orderBy(F.desc("total"))
+    best = lists.select("query_id", F.explode("best").alias("total")).withColumn("r", F.row_number().over(nth)).filter(F.col("r") <= k)
+    cutoff = best.groupBy("query_id").agg(F.when(F.count("*") >= k, F.min("total")).otherwise(F.lit(LEAST)).alias("cut"))
+    held = lists.join(cutoff, "query_id")
+    enough = (F.col("floor") == LEAST) | F.expr(f"floor < CASE WHEN cut > 0 THEN (cut + {PARTS - 1}) div {PARTS} ELSE cut div {PARTS} END")
+    kept = held.filter(enough).select("query_id", "cut", F.explode(F.arrays_zip("ids", "scores")).alias("e")).select("query_id", "cut", F.col("e.ids").alias("vec_id"), F.col("e.scores").alias("score")).filter("score >= cut").drop("cut")
+    todo = held.filter(~enough).groupBy("shard", "block").agg(F.collect_list(F.struct("query_id", "cut")).alias("asks"))
+    todo = materialize(todo, "vector-again")
+    found = kept
+    if todo.limit(1).count():
+        found = kept.unionAll(_again(todo.join(blocks, "block").join(shards, "shard"), k))
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
-
-
-def _cutoffs(blocks: DataFrame, cutoff: DataFrame) -> DataFrame:
-    """Each block with the cutoffs of its queries in the order of its ids; a query without candidates gets the least integer."""
-    ids = F.udf(lambda b: np.frombuffer(b, np.int64).tolist(), "array<long>")
-    packed = F.udf(lambda xs: np.array([x["cut"] for x in sorted(xs, key=lambda x: x["at"])], np.int64).tobytes(), "binary")
-    rows = blocks.withColumn("block", F.xxhash64("qids", "qm"))
-    each = rows.select("block", F.posexplode(ids("qids")).alias("at", "query_id")).join(cutoff, "query_id", "left")
-    cuts = each.groupBy("block").agg(packed(F.collect_list(F.struct("at", F.coalesce("cut", F.lit(-(2**63))).alias("cut")))).alias("cuts"))
-    return rows.dropDuplicates(["block"]).join(cuts, "block").drop("block")

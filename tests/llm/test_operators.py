@@ -363,10 +363,15 @@ def test_license_join_is_exact():
     templates = {f"t{k}": b" ".join(rnd.sample(vocabulary, rnd.randint(3, 12))).decode() for k in range(20)}
     counts = {w: rnd.randint(1, 99) for w in vocabulary}
     index = licenses.Templates(templates, counts, 0.8)
+    spared = 0
     for _ in range(500):
         line = rnd.sample(vocabulary, rnd.randint(0, 30))
         want = {n for n, t in templates.items() if len(set(licenses.words(t)) & set(line)) >= 0.8 * len(set(licenses.words(t))) - 1e-9}
         assert set(index.matches(line)) == want
+        few, more = index.candidates(set(line)), index.candidates(set(line), positional=False)
+        assert set(few) <= set(more)
+        spared += len(more) - len(few)
+    assert spared > 0
 
 
 # ---- pages
@@ -467,6 +472,27 @@ def test_topk_like_brute_force(spark):
     assert vectors.top_k(two, two.filter("vec_id = 0")).count() == 1
 
 
+def test_lists_and_reading_again_agree(spark, monkeypatch):
+    """Small shards and short lists, so that cutoffs reach below some lists; extra columns; every path gives the brute-force answer."""
+    rng = np.random.default_rng(5)
+    v = rng.standard_normal((600, 12)).round(1)
+    v[:, 6:] *= rng.choice([0.05, 3.0], (600, 1))
+    rows = [(i, [float(x) for x in r], "x", i) for i, r in enumerate(v)]
+    df = vectors.quantize(spark.createDataFrame(rows, "vec_id long, embedding array<double>, q string, rank int").repartition(3), 64.0)
+    q = np.floor(v * 64).astype(np.int64)
+    want = {i: sorted((-int(s), j) for j, s in enumerate(q @ q[i]) if j != i)[:5] for i in range(0, 600, 50)}
+    monkeypatch.setattr(vectors, "SHARD", 40)
+    again = vectors._again
+    seen = []
+    for keep in (5, 8, 10**6):
+        monkeypatch.setattr(vectors, "_again", lambda todo, k: seen.append(todo.agg(F.sum(F.size("asks"))).first()[0]) or again(todo, k))
+        got = {}
+        for r in vectors.top_k(df, df.filter("vec_id % 50 = 0"), 5, keep).collect():
+            got.setdefault(r["query_id"], []).append((r["rank"], r["vec_id"], r["score"]))
+        assert {i: [(-s, j) for _, j, s in sorted(x)] for i, x in got.items()} == want
+    assert len(seen) == 2 and 0 < seen[1] <= seen[0] < 12 * 15  # the cutoff spares whole lists; with everything kept, nothing is read again
+
+
 def test_mixing_meets_targets(spark, sf):
     d, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
     known = mixing.training_rows(labels, 20_000)
