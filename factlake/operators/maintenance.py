@@ -11,13 +11,13 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from factlake.llm.common import materialize, text_chunks
-from factlake.llm.shingles import WordCodes, overlap, shingle_set
+from factlake.functions.texts import WordCodes, bucket_counts, overlap, shingle_set, text_chunks
 from factlake.operators import lifecycle as L
 from factlake.params import Params
+from factlake.sources.scratch import materialize
 
 P = Params()
-BUCKETS, BROADCAST, BLOCK = 1 << 18, 5_000_000, 1 << 25
+BUCKETS, BROADCAST, BLOCK = 1 << 16, 1_000_000, 1 << 25
 
 
 def harmonic(hop: Column, strength: float = P.ripple) -> Column:
@@ -114,17 +114,7 @@ def _prefixes(sets: DataFrame, low: float) -> DataFrame:
     A partner of no more shingles shares one of its own first (``index``) with these.
     """
 
-    def count(batches):
-        total = np.zeros(BUCKETS, np.int64)
-        for batch in batches:
-            for m in batch.column(0):
-                total += np.bincount((np.frombuffer(m.as_buffer(), np.uint64) & np.uint64(BUCKETS - 1)).astype(np.int64), minlength=BUCKETS)
-        hit = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(hit, pa.int64()), pa.array(total[hit], pa.int64())], ["bucket", "n"])
-
-    rows = sets.select("members").mapInArrow(count, "bucket long, n long").groupBy("bucket").agg(F.sum("n").alias("n")).toArrow()  # at most BUCKETS rows
-    often = np.zeros(BUCKETS, np.int64)
-    often[rows.column("bucket").to_numpy()] = rows.column("n").to_numpy()
+    often = bucket_counts(sets, BUCKETS)
     shared = sets.sparkSession.sparkContext.broadcast(often)
 
     def run(batches):
@@ -203,11 +193,21 @@ def semantic_edges(docs: DataFrame, tau: float = 0.5, most: float = 1.0) -> Data
 
 
 def semantic_families(docs: DataFrame, tau: float = 0.5) -> DataFrame:
-    """doc_id and family, the smallest id among it and its partners, of every text that has a partner; copies are not paired."""
+    """doc_id and family, the smallest id that it reaches over links, of every text that has a partner; copies are not paired."""
     members, links = similar_classes(docs, tau)
-    near = links.select("x", "y").unionAll(links.select("y", "x")).unionAll(members.filter("doc_id <> rep").select("rep", "rep"))
-    family = near.groupBy(F.col("x").alias("rep")).agg(F.min("y").alias("near")).select("rep", F.least("rep", "near").alias("family"))
-    return members.join(family, "rep").select("doc_id", "family")
+    near = materialize(links.select("x", "y").unionAll(links.select("y", "x")), "family-links", narrow=True)
+    label = materialize(near.select("x").distinct().select(F.col("x").alias("rep"), F.col("x").alias("family")), "family-labels", narrow=True)
+    while True:  # the least label of the neighbours, then that label's own label: a logarithm of rounds on paths
+        seen = near.join(label.select(F.col("rep").alias("y"), "family"), "y").groupBy(F.col("x").alias("rep")).agg(F.min("family").alias("low"))
+        low = label.join(seen, "rep").select("rep", "family", F.least("family", "low").alias("low"))
+        far = low.select(F.col("rep").alias("low"), F.col("low").alias("far"))
+        new = materialize(low.join(far, "low").select("rep", F.col("far").alias("family"), (F.col("far") < F.col("family")).alias("moved")), "family-labels", narrow=True)
+        label = new.select("rep", "family")
+        if not new.filter("moved").limit(1).count():
+            break
+    copies = members.groupBy("rep").agg(F.count("*").alias("n")).filter("n > 1").select("rep")
+    named = label.unionAll(copies.join(label, "rep", "left_anti").select("rep", F.col("rep").alias("family")))
+    return members.join(named, "rep").select("doc_id", "family")
 
 
 def structural_edges(chunks: DataFrame) -> DataFrame:
@@ -240,12 +240,24 @@ def author_reliability(log: DataFrame, kappa: float = 10.0, prior: float = 0.5)
     return log.groupBy("actor").agg(good.alias("accepted"), bad.alias("corrected")).withColumn("reliability", (F.col("accepted") + kappa * prior) / (F.col("accepted") + F.col("corrected") + kappa))
 
 
-def guard_feedback(log: DataFrame, cap: int = 3) -> DataFrame:
-    """At most ``cap`` accepts and corrections by an actor on a unit in a day; the rest of the log passes."""
+def guard_feedback(log: DataFrame, cap: int = 3, weights: DataFrame | None = None) -> DataFrame:
+    """At most ``cap`` accepts and corrections by an actor on a unit in a day; the rest of the log passes.
+
+    ``weights`` (actor, reliability) adds a column ``weight``: what a vote counts, 1 for actors without one.
+    """
     vote = F.col("action").isin("accept", "correct")
     w = Window.partitionBy("actor", "unit_id", "day").orderBy("event_id")
     votes = log.filter(vote).withColumn("n", F.row_number().over(w)).filter(F.col("n") <= cap).drop("n")
-    return log.filter(~vote).unionByName(votes)
+    out = log.filter(~vote).unionByName(votes)
+    if weights is None:
+        return out
+    return out.join(weights.select("actor", "reliability"), "actor", "left").withColumn("weight", F.coalesce("reliability", F.lit(1.0))).drop("reliability")
+
+
+def weighted_counters(log: DataFrame) -> DataFrame:
+    """access_n, pos_n and neg_n of each unit, votes by their weight."""
+    n = lambda a: F.sum(F.when(F.col("action") == a, F.col("weight")).otherwise(0.0))
+    return log.groupBy("unit_id").agg(F.count_if(F.col("action") == "access").alias("access_n"), n("accept").alias("pos_n"), n("correct").alias("neg_n"))
 
 
 def anomalies(log: DataFrame, z: float = 2.0) -> DataFrame:
@@ -255,17 +267,19 @@ def anomalies(log: DataFrame, z: float = 2.0) -> DataFrame:
     return n.crossJoin(F.broadcast(s)).withColumn("z", (F.col("events") - F.col("m")) / F.col("sd")).filter(F.col("z") > z).select("actor", "events", "z")
 
 
-def run_cycle(units: DataFrame, edges: DataFrame, changes: DataFrame, at, p: Params = P, pairs: DataFrame | None = None, new_edges: DataFrame | None = None, recompute_after: bool = False) -> tuple[DataFrame, DataFrame, DataFrame]:
+def run_cycle(units: DataFrame, edges: DataFrame, changes: DataFrame, at, p: Params = P, pairs: DataFrame | None = None, build: Callable[[DataFrame], DataFrame] | None = None, recompute_after: bool = False) -> tuple[DataFrame, DataFrame, DataFrame]:
     """One pass in its printed order: trust and demotion, contradictions, edges, ripples, promotion.
 
-    Returns units (with trust, conflicts, flags), edges and the ripple's messages.
+    ``build`` finds edges (src, dst, kind) among the units; they join those that there are before the ripple runs.
+    Returns units (with trust, conflicts, flags and the degree that follows from the edges), edges and the ripple's messages.
     """
     u = L.step_trust(units, at, p)
     pairs = value_conflicts(u) if pairs is None else pairs
     u = u.join(marked(u, pairs).select("unit_id", "conflicts"), "unit_id", "left").fillna(0, ["conflicts"])
-    e = apply_edges(edges, new_edges) if new_edges is not None else edges
+    e = apply_edges(edges, build(u)) if build else edges
     messages = ripple(changes, e.filter("kind = 'depends_on'"), p.hops)
     u = L.promote(apply_ripple(u, messages, p))
+    u = u.drop("degree").join(degree(e), "unit_id", "left").fillna(0, ["degree"])
     return (L.step_trust(u, at, p) if recompute_after else u), e, messages
 
 

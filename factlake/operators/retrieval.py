@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from dataclasses import dataclass
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
@@ -9,9 +12,10 @@ from pyspark.sql import functions as F
 
 from factlake.functions import signals as S
 from factlake.params import Params, Weights
+from factlake.sources.scratch import materialize
 
 TOKEN = r"([\p{L}0-9]+)"
-MAX_QUERIES = 200_000  # of dense queries sent to workers at once
+RARE, DEEP, QUERY_BLOCK = 64, 64, 1024
 
 
 def terms(df: DataFrame, key: str, text: str) -> DataFrame:
@@ -21,26 +25,89 @@ def terms(df: DataFrame, key: str, text: str) -> DataFrame:
     return w.select(key, F.explode(F.concat("w", pairs)).alias("term")).groupBy(key, "term").agg(F.count("*").alias("tf"))
 
 
-def postings(units: DataFrame, text: str = "body", max_df: float = 1.0) -> DataFrame:
-    """term, unit_id, w (tf-idf over the unit's norm) and idf. ``max_df`` leaves terms out of the postings, not of the norms."""
+@dataclass
+class Index:
+    """lexicon (term, df, idf, common), postings (term, unit_id, w) and forward (unit_id, terms: term to w)."""
+
+    lexicon: DataFrame
+    postings: DataFrame
+    forward: DataFrame
+
+    def keep(self, hold: Callable[[str, DataFrame, str], DataFrame]) -> Index:
+        """The same index with every table stored by ``hold`` (name, table, column to join on)."""
+        lexicon, forward = hold("lexicon", self.lexicon, "term"), hold("forward", self.forward, "unit_id")
+        return Index(lexicon, hold("postings", _inverted(forward), "term"), forward)
+
+
+def _inverted(forward: DataFrame) -> DataFrame:
+    return forward.select("unit_id", F.explode("terms").alias("term", "w")).select("term", "unit_id", "w")
+
+
+def index(units: DataFrame, text: str = "body") -> Index:
+    """Tf-idf weights over the units' norms, of every term. Terms in more than RARE units or four times the root of their number are marked common."""
     tf = terms(units, "unit_id", text)
     n = units.agg(F.count("*").alias("n"))
     df = tf.groupBy("term").agg(F.count("*").alias("df")).crossJoin(F.broadcast(n))
-    idf = df.select("term", (F.log((1.0 + F.col("n")) / (1.0 + F.col("df"))) + 1.0).alias("idf"), (F.col("df") <= F.greatest(F.lit(1.0), max_df * F.col("n"))).alias("use"))
-    raw = tf.join(idf, "term").withColumn("x", F.col("tf") * F.col("idf"))
-    norm = raw.groupBy("unit_id").agg(F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("norm"))
-    return raw.filter("use").join(norm, "unit_id").select("term", "unit_id", (F.col("x") / F.col("norm")).alias("w"), "idf")
-
-
-def candidates(queries: DataFrame, index: DataFrame, k: int = 8, text: str = "text") -> DataFrame:
-    """query_id, unit_id, sim and first_rank of the k most similar units."""
-    q = terms(queries, "query_id", text)
-    idf = index.select("term", "idf").distinct()
-    q = q.join(idf, "term").withColumn("x", F.col("tf") * F.col("idf"))
-    norm = q.groupBy("query_id").agg(F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("norm"))
-    q = q.join(norm, "query_id").select("query_id", "term", (F.col("x") / F.col("norm")).alias("wq"))
-    sim = q.join(index.select("term", "unit_id", "w"), "term").groupBy("query_id", "unit_id").agg(F.round(F.sum(F.col("wq") * F.col("w")), 9).alias("sim"))
-    return best(sim, [F.desc("sim"), F.asc("unit_id")], k, "first_rank")
+    lexicon = df.select("term", "df", (F.log((1.0 + F.col("n")) / (1.0 + F.col("df"))) + 1.0).alias("idf"), (F.col("df") > F.greatest(F.lit(float(RARE)), 4 * F.sqrt("n"))).alias("common"))
+    raw = tf.join(lexicon.select("term", "idf"), "term").withColumn("x", F.col("tf") * F.col("idf"))
+    held = raw.groupBy("unit_id").agg(F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("norm"), F.collect_list(F.struct("term", "x")).alias("t"))
+    forward = held.select("unit_id", F.map_from_entries(F.transform("t", lambda e: F.struct(e["term"], e["x"] / F.col("norm")))).alias("terms"))
+    return Index(lexicon, _inverted(forward), forward)
+
+
+def _asked(queries: DataFrame, index: Index, text: str) -> tuple[DataFrame, DataFrame]:
+    """(query_id, tid) and, for every distinct text, tid, norm and its terms (term, x, common)."""
+    q = queries.select("query_id", F.col(text).alias("text"), F.md5(F.coalesce(F.col(text), F.lit(""))).alias("tid"))
+    t = terms(q.select("tid", "text").dropDuplicates(["tid"]), "tid", "text").join(index.lexicon, "term")
+    t = t.select("tid", "term", (F.col("tf") * F.col("idf")).alias("x"), "common")
+    return q.select("query_id", "tid"), t.groupBy("tid").agg(F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("norm"), F.array_sort(F.collect_list(F.struct("term", "x", "common"))).alias("t"))
+
+
+def candidates_all(queries: DataFrame, index: Index, k: int = 8, text: str = "text") -> DataFrame:
+    """query_id, unit_id, sim and first_rank of the k most similar units, by every posting of every term."""
+    ids, asked = _asked(queries, index, text)
+    each = asked.select("tid", "norm", F.explode("t").alias("e")).select("tid", "norm", "e.term", "e.x")
+    sim = each.join(index.postings, "term").groupBy("tid", "unit_id").agg(F.round(F.sum(F.col("x") / F.col("norm") * F.col("w")), 9).alias("sim"))
+    return ids.join(best(sim, [F.desc("sim"), F.asc("unit_id")], k, "first_rank", "tid"), "tid").drop("tid")
+
+
+def candidates(queries: DataFrame, index: Index, k: int = 8, text: str = "text") -> DataFrame:
+    """The same result without the postings of common terms for every text.
+
+    Equal texts are asked once. A text's rare terms bring in units, which are scored in full from the
+    forward table. A unit without any of them scores by the common terms alone, and texts with the
+    same common terms order such units alike: for each set of common terms, one list of its best units
+    serves all its texts. A text needs the list only if its k-th best so far does not beat the list's
+    first; the list is deep enough if at most DEEP units came in by rare terms. What remains (many
+    rare-term units, and yet none good enough) goes by every posting.
+    """
+    ids, asked = _asked(queries, index, text)
+    common = F.filter("t", lambda e: e["common"])
+    asked = asked.withColumn("gid", F.when(F.size(common) > 0, F.md5(F.to_json(F.transform(common, lambda e: F.struct(e["term"], e["x"]))))))
+    asked = materialize(asked, "asked", narrow=True)
+    rare = asked.select("tid", F.explode(F.filter("t", lambda e: ~e["common"])).alias("e")).select("tid", "e.term")
+    pairs = rare.join(index.postings.select("term", "unit_id"), "term").select("tid", "unit_id").distinct()
+    dot = F.aggregate("t", F.lit(0.0), lambda s, e: s + e["x"] / F.col("norm") * F.coalesce(F.col("terms")[e["term"]], F.lit(0.0)))
+    near = pairs.join(index.forward, "unit_id").join(asked.select("tid", "norm", "t"), "tid").select("tid", "unit_id", F.round(dot, 9).alias("sim"))
+    near = materialize(near, "rare-candidates", narrow=True)
+    # one list for each set of common terms
+    groups = asked.filter("gid IS NOT NULL").select("gid", common.alias("t")).dropDuplicates(["gid"])
+    by = groups.select("gid", F.explode("t").alias("e")).select("gid", "e.term", "e.x").join(index.postings, "term")
+    lists = best(by.groupBy("gid", "unit_id").agg(F.sum(F.col("x") * F.col("w")).alias("dot")), [F.desc(F.round("dot", 10)), F.asc("unit_id")], k + DEEP, "nth", "gid")
+    lists = materialize(lists, "common-lists", narrow=True)
+    top = best(near, [F.desc("sim"), F.asc("unit_id")], k, "r", "tid").groupBy("tid").agg(F.when(F.count("*") >= k, F.min("sim")).alias("kth"))
+    state = asked.select("tid", "norm", "gid").join(near.groupBy("tid").agg(F.count("*").alias("came")), "tid", "left").join(top, "tid", "left")
+    state = state.join(lists.filter("nth = 1").select("gid", F.col("dot").alias("first")), "gid", "left")
+    enough = F.col("gid").isNull() | F.coalesce(F.col("kth") > F.round(F.col("first") / F.col("norm"), 9) + 1e-9, F.lit(False))
+    state = materialize(state.select("tid", "norm", "gid", enough.alias("enough"), (F.coalesce("came", F.lit(0)) <= DEEP).alias("deep")), "asked-state", narrow=True)
+    listed = state.filter("NOT enough AND deep").join(lists, "gid").select("tid", "unit_id", F.round(F.col("dot") / F.col("norm"), 9).alias("sim"))
+    found = near.unionAll(listed.join(near.select("tid", "unit_id"), ["tid", "unit_id"], "left_anti"))
+    rest = state.filter("NOT enough AND NOT deep").select("tid")
+    if rest.limit(1).count():
+        each = asked.join(rest, "tid").select("tid", "norm", F.explode("t").alias("e")).select("tid", "norm", "e.term", "e.x")
+        full = each.join(index.postings, "term").groupBy("tid", "unit_id").agg(F.round(F.sum(F.col("x") / F.col("norm") * F.col("w")), 9).alias("sim"))
+        found = found.join(rest, "tid", "left_anti").unionAll(full.select("tid", "unit_id", "sim"))
+    return ids.join(best(found, [F.desc("sim"), F.asc("unit_id")], k, "first_rank", "tid"), "tid").drop("tid")
 
 
 def best(df: DataFrame, order: list[Column], k: int, name: str = "rank", by: str = "query_id") -> DataFrame:
@@ -51,34 +118,40 @@ def best(df: DataFrame, order: list[Column], k: int, name: str = "rank", by: str
 def candidates_dense(queries: DataFrame, units: DataFrame, k: int = 8, dims: int | None = None, keep_self: bool = False) -> DataFrame:
     """Exact cosine neighbours; ``dims`` compares prefixes of the vectors only.
 
-    Queries (checked in number) go to every worker as one matrix; workers send their k best a query.
+    Queries are packed into blocks of QUERY_BLOCK and dealt to every group of units; a task holds one
+    block and one batch of units and sends its k best a query, so neither side has a bound.
     """
-    rows = queries.select("query_id", "vec").limit(MAX_QUERIES + 1).collect()
-    if len(rows) > MAX_QUERIES:
-        raise ValueError(f"over {MAX_QUERIES} dense queries: split them, or use candidates_lsh")
-    ids = np.array([r["query_id"] for r in rows], np.int64)
-    q = np.array([r["vec"][:dims] for r in rows], np.float64)
-    q /= np.maximum(np.linalg.norm(q, axis=1, keepdims=True), 1e-300) if len(q) else 1
-    shared = units.sparkSession.sparkContext.broadcast((ids, q))
+    spark = units.sparkSession
+    groups = max(1, 2 * spark.sparkContext.defaultParallelism)
+
+    def matrix(batch):
+        v = np.array([x[:dims] for x in batch.column(1).to_pylist()], np.float64)
+        return batch.column(0).to_numpy(), v / np.maximum(np.linalg.norm(v, axis=1, keepdims=True), 1e-300)
+
+    def pack(batches):
+        for batch in batches:
+            for at in range(0, batch.num_rows, QUERY_BLOCK):
+                ids, v = matrix(batch.slice(at, QUERY_BLOCK))
+                yield pa.RecordBatch.from_arrays([pa.array([ids.astype(np.int64).tobytes()]), pa.array([v.tobytes()])], ["ids", "v"])
 
     def run(batches):
-        ids, q = shared.value
         for b in batches:
-            if not b.num_rows or not len(ids):
-                continue
-            u = b.column(0).to_numpy()
-            v = np.array([x[:dims] for x in b.column(1).to_pylist()], np.float64)
-            v /= np.maximum(np.linalg.norm(v, axis=1, keepdims=True), 1e-300)
-            sim = np.round(q @ v.T, 9)
-            if not keep_self:
-                sim[ids[:, None] == u[None, :]] = -np.inf
-            order = np.lexsort((np.broadcast_to(u, sim.shape), -sim), axis=1)[:, :k]
-            i = np.repeat(np.arange(len(ids)), order.shape[1])
-            s = sim[i, order.ravel()]
-            ok = np.isfinite(s)
-            yield pa.RecordBatch.from_arrays([pa.array(ids[i][ok]), pa.array(u[order.ravel()][ok]), pa.array(s[ok])], ["query_id", "unit_id", "sim"])
-
-    near = units.select("unit_id", "vec").mapInArrow(run, "query_id long, unit_id long, sim double")
+            for ids, q, uid, u in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                ids, uid = np.frombuffer(ids, np.int64), np.frombuffer(uid, np.int64)
+                sim = np.round(np.frombuffer(q).reshape(len(ids), -1) @ np.frombuffer(u).reshape(len(uid), -1).T, 9)
+                if not keep_self:
+                    sim[ids[:, None] == uid[None, :]] = -np.inf
+                order = np.lexsort((np.broadcast_to(uid, sim.shape), -sim), axis=1)[:, :k]
+                i = np.repeat(np.arange(len(ids)), order.shape[1])
+                s = sim[i, order.ravel()]
+                ok = np.isfinite(s)
+                yield pa.RecordBatch.from_arrays([pa.array(ids[i][ok]), pa.array(uid[order.ravel()][ok]), pa.array(s[ok])], ["query_id", "unit_id", "sim"])
+
+    packed = "ids binary, v binary"
+    blocks = queries.select(F.col("query_id").cast("long"), "vec").coalesce(groups).mapInArrow(pack, packed).toDF("ids", "q")
+    shards = units.select(F.col("unit_id").cast("long"), "vec").mapInArrow(pack, packed).toDF("uid", "u").withColumn("g", F.pmod(F.xxhash64("uid"), F.lit(groups)))
+    dealt = blocks.withColumn("g", F.explode(F.sequence(F.lit(0), F.lit(groups - 1)).cast("array<long>")))
+    near = shards.join(dealt.hint("merge"), "g").select("ids", "q", "uid", "u").mapInArrow(run, "query_id long, unit_id long, sim double")
     return best(near, [F.desc("sim"), F.asc("unit_id")], k, "first_rank")
 
 

@@ -9,6 +9,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from factlake.operators import lifecycle as L
+from factlake.sources.scratch import materialize
+
 HUNK = "doc_id long, old_start long, old_end long, new_start long, new_end long, delta long"
 
 
@@ -106,6 +109,31 @@ def splice(chunks: DataFrame, hunks: DataFrame, new_texts: DataFrame, overlap: s
     )
 
 
+def apply_update(units: DataFrame, edges: DataFrame, hunks: DataFrame, new_texts: DataFrame, at, overlap: str = "owner") -> tuple[DataFrame, DataFrame, DataFrame]:
+    """An edit as a change of state: units (UNIT columns below), edges and the queue of units to ripple from.
+
+    Units have unit_id, doc_id, chunk_no, version_no, span_start, span_end, body, status, born_at, replaces and
+    replaced_by; the live ones of an edited document are its chunks. A touched chunk is deprecated and replaced by an
+    UNCONSOLIDATED one with the text of its new span, lineage both ways and the edges of the old one; the others only
+    move. Units of other documents and older versions stay as they are.
+    """
+    live = units.filter("replaced_by IS NULL")
+    edited = live.join(hunks.select("doc_id").distinct(), "doc_id", "left_semi")
+    moved = materialize(splice(edited, hunks, new_texts, overlap), "update-spans")
+    joined = edited.drop("span_start", "span_end", "body").join(moved, ["doc_id", "chunk_no"])
+    name = F.concat_ws(":", F.col("doc_id").cast("string"), F.col("chunk_no").cast("string"), F.concat(F.lit("v"), (F.col("version_no") + 1).cast("string")))
+    cols = units.columns
+    stay = joined.filter("NOT replaced").select(*cols)
+    heirs = joined.filter("replaced").select(F.col("unit_id").alias("old"), name.alias("new"), *(c for c in cols if c != "unit_id"))
+    fresh = heirs.withColumns({"unit_id": F.col("new"), "version_no": F.col("version_no") + 1, "status": F.lit("UNCONSOLIDATED"), "born_at": at, "replaces": F.col("old"), "replaced_by": F.lit(None).cast("string")}).select(*cols)
+    gone = units.join(heirs.select(F.col("old").alias("unit_id"), "new"), "unit_id").withColumns({"status": F.lit("DEPRECATED"), "replaced_by": F.col("new")}).select(*cols)
+    rest = units.join(joined.select("unit_id"), "unit_id", "left_anti").select(*cols)
+    pairs = heirs.select("old", "new")
+    lineage = pairs.select(F.col("new").alias("src"), F.col("old").alias("dst"), F.lit("replaces").alias("kind"))
+    kept = edges.filter("kind = 'replaces'").select("src", "dst", "kind")
+    return rest.unionAll(stay).unionAll(gone).unionAll(fresh), L.transfer_edges(edges.filter("kind <> 'replaces'"), pairs).unionAll(kept).unionAll(lineage), pairs.select(F.col("new").alias("unit_id"))
+
+
 def rebuild(chunks: DataFrame) -> DataFrame:
     """doc_id and text, from the chunks in their order."""
     rows = chunks.groupBy("doc_id").agg(F.array_sort(F.collect_list(F.struct("chunk_no", "body"))).alias("c"))

@@ -2,16 +2,21 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from factlake.params import RANKERS, Params, Weights, grid
+from factlake.functions import signals as S
+from factlake.params import RANKERS, Weights, grid
 
 
 def judged(ranked: DataFrame, queries: DataFrame, conf: str = "trust") -> DataFrame:
     """Every query with its top answer: right, stale, misled and the confidence in it; no answer is wrong."""
     top = ranked.filter("rank = 1").select("query_id", "unit_id", "status", "is_rumour", F.col(conf).alias("conf"))
     rows = queries.select("query_id", "kind", "truth").join(top, "query_id", "left")
+    return _marks(rows)
+
+
+def _marks(rows: DataFrame) -> DataFrame:
     return rows.withColumns({"right": F.coalesce((F.col("unit_id") == F.col("truth")).cast("double"), F.lit(0.0)), "stale": F.coalesce((F.col("status") == "DEPRECATED").cast("double"), F.lit(0.0)), "misled": F.coalesce(F.col("is_rumour").cast("double"), F.lit(0.0))})
 
 
@@ -27,10 +32,10 @@ def summary(j: DataFrame, *by: str) -> DataFrame:
     return j.groupBy(*by).agg(F.count("*").alias("n"), F.round(F.avg("right"), 6).alias("overall"), of("current"), of("time_point"), of("conflict"), F.round(F.avg(F.when(F.col("kind") == "current", F.col("stale"))), 6).alias("stale"), F.round(F.avg(F.when(ask, F.col("misled"))), 6).alias("misled"))
 
 
-def reliability(j: DataFrame, bins: int = 10) -> DataFrame:
+def reliability(j: DataFrame, bins: int = 10, by: tuple[str, ...] = ()) -> DataFrame:
     """By confidence bin: answers, mean confidence, accuracy."""
     b = F.least(F.floor(F.col("conf") * bins), F.lit(bins - 1)).cast("long")
-    return j.filter("conf IS NOT NULL").groupBy(b.alias("bin")).agg(F.count("*").alias("n"), F.avg("conf").alias("conf"), F.avg("right").alias("accuracy"))
+    return j.filter("conf IS NOT NULL").groupBy(*by, b.alias("bin")).agg(F.count("*").alias("n"), F.avg("conf").alias("conf"), F.avg("right").alias("accuracy"))
 
 
 def ece(j: DataFrame, bins: int = 10) -> DataFrame:
@@ -38,6 +43,25 @@ def ece(j: DataFrame, bins: int = 10) -> DataFrame:
     return r.agg(F.round(F.sum(F.col("n") * F.abs(F.col("conf") - F.col("accuracy"))) / F.sum("n"), 6).alias("ece"))
 
 
+def winners(scored: DataFrame, vectors: dict[str, Weights]) -> DataFrame:
+    """query_id and, for every weight vector, its best candidate as a struct named by it: one pass and one grouping for all."""
+    out = []
+    for name, w in vectors.items():
+        final = F.round(S.final(F.col("sim"), F.col("temporal"), F.col("trust"), F.col("relational"), w), 9)
+        out.append(F.min_by(F.struct("unit_id", "status", "is_rumour", "sim", "trust"), F.struct(-final, -F.col("sim"), F.col("unit_id"))).alias(str(name)))
+    return scored.groupBy("query_id").agg(*out)
+
+
+def compare(scored: DataFrame, queries: DataFrame, vectors: dict[object, tuple[Weights, str]], name: str) -> DataFrame:
+    """The main measures and the calibration error of every weight vector (with its column of confidence), a row each."""
+    top = winners(scored, {n: w for n, (w, _) in vectors.items()})
+    rows = queries.select("query_id", "kind", "truth").join(top, "query_id", "left")
+    conf = [F.struct(F.lit(n).alias(name), F.col(f"{n}.unit_id").alias("unit_id"), F.col(f"{n}.status").alias("status"), F.col(f"{n}.is_rumour").alias("is_rumour"), F.col(f"{n}.{c}").alias("conf")) for n, (_, c) in vectors.items()]
+    j = _marks(rows.select("kind", "truth", F.explode(F.array(*conf)).alias("x")).select("kind", "truth", "x.*"))
+    bins = reliability(j, by=(name,)).groupBy(name).agg(F.round(F.sum(F.col("n") * F.abs(F.col("conf") - F.col("accuracy"))) / F.sum("n"), 6).alias("ece"))
+    return summary(j, name).join(F.broadcast(bins), name, "left")
+
+
 def top_by_weights(scored: DataFrame, weights: DataFrame) -> DataFrame:
     """The winner of each query under each weight row (w_id, w_sim, w_tmp, w_tru, w_rel); the weights are few and broadcast."""
     score = F.col("sim") * F.col("w_sim") + F.col("temporal") * F.col("w_tmp") + F.col("trust") * F.col("w_tru") + F.col("relational") * F.col("w_rel")
@@ -55,13 +79,13 @@ def ablations(w: Weights = RANKERS["m4"]) -> list[tuple]:
     return [w.as_tuple(), *(w.without(k).as_tuple() for k in ("sim", "tmp", "tru", "rel"))]
 
 
-def tune(scored: DataFrame, queries: DataFrame, step: float = 0.1) -> DataFrame:
+def tune(scored: DataFrame, queries: DataFrame, step: float = 0.1, more: tuple = ()) -> DataFrame:
     """Accuracy on the development and test halves of every weight row; the best on development comes first.
 
-    Queries are split by the parity of the number in their id; equal accuracies go to the earlier row.
+    Queries are split by the parity of the number in their id; equal accuracies go to the earlier row. ``more`` vectors come after the grid.
     """
     spark = scored.sparkSession
-    w = weight_rows(spark, grid(step))
+    w = weight_rows(spark, [*grid(step), *more])
     top = top_by_weights(scored, w).select("w_id", "query_id", (F.col("unit_id") == F.col("truth")).cast("double").alias("right"))
     half = F.when(F.pmod(F.regexp_extract("query_id", "([0-9]+)$", 1).cast("long"), F.lit(2)) == 0, "dev").otherwise("test")
     size = queries.groupBy(half.alias("half")).agg(F.count("*").alias("n"))
@@ -104,11 +128,3 @@ def ranking_quality(ranked: DataFrame, queries: DataFrame, k: int) -> DataFrame:
 def conf_column(name: str) -> str:
     """Similarity stands for confidence where trust takes no part."""
     return "sim" if name == "m1" else "trust"
-
-
-def default_params(half_life: float = 30.0) -> Params:
-    return Params(half_life=half_life)
-
-
-def share(x: Column) -> Column:
-    return F.round(x, 6)

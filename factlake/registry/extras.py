@@ -9,13 +9,14 @@ from pyspark.sql import types as T
 from factlake.operators import embedding as V
 from factlake.operators import maintenance as M
 from factlake.operators import retrieval as R
-from factlake.params import RANKERS
+from factlake.params import RANKERS, grid
 from factlake.plans import evaluation as E
 from factlake.registry import base as B
 from factlake.registry.base import query
-from factlake.registry.ranking import TUNED, main, main_sql, now, orders, policies, r6, top
+from factlake.registry.ranking import COUNTS, LOG, main, main_sql, now, orders, policies, policy_table, r6, top, tuned_sql
 from factlake.registry.ranking import TOP as TOP_SQL
 from factlake.sources import given as G
+from factlake.sources import scratch
 from factlake.streaming import feedback as X
 from factlake.streaming import schedule
 
@@ -35,13 +36,18 @@ def rank_m4_k32(spark, d):
     return top(R.rank(orders(spark, d, 90.0, 32)[2], RANKERS["m4"]))
 
 
-@query("eval_tuning", f"SELECT (SELECT test FROM ({TUNED}) ORDER BY dev DESC, w_id LIMIT 1) AS tuned, max(CASE WHEN w_id = 0 THEN test END) AS plain, count(*) AS points FROM ({TUNED})")
+HALVES = tuned_sql(B.policies(), (RANKERS["m4"].as_tuple(),))
+POINTS = len(grid())
+
+
+@query("eval_tuning", f"WITH t AS ({HALVES}) SELECT (SELECT test FROM t WHERE w_id < {POINTS} ORDER BY dev DESC, w_id LIMIT 1) AS tuned, max(CASE WHEN w_id = {POINTS} THEN test END) AS default_, max(CASE WHEN w_id = 0 THEN test END) AS plain, count(*) - 1 AS points FROM t")
 def eval_tuning(spark, d):
-    """Test-half accuracy of the tuned vector and of similarity alone, and the size of the grid."""
+    """Test-half accuracy of the tuned vector, of the default one and of similarity alone, and the size of the grid."""
     _, queries, sc = policies(spark)
-    t = E.tune(sc, queries)
-    best = E.best_weights(t).select(F.col("test").alias("tuned"))
-    return best.crossJoin(t.agg(F.max(F.when(F.col("w_id") == 0, F.col("test"))).alias("plain"), F.count("*").alias("points")))
+    t = E.tune(sc, queries, more=(RANKERS["m4"].as_tuple(),))
+    best = E.best_weights(t.filter(F.col("w_id") < POINTS)).select(F.col("test").alias("tuned"))
+    of = lambda i: F.max(F.when(F.col("w_id") == i, F.col("test")))
+    return best.crossJoin(t.agg(of(POINTS).alias("default_"), of(0).alias("plain"), (F.count("*") - 1).alias("points")))
 
 
 @query("life_embed", "SELECT doc_id, CAST(64 AS BIGINT) AS dim, CAST(1.0 AS DOUBLE) AS norm FROM documents WHERE len(regexp_extract_all(lower(text), '[\\p{L}0-9]+')) > 0")
@@ -59,21 +65,46 @@ def cand_hashed_passages(spark, d):
     return R.candidates_dense(q, u, 8, keep_self=True)
 
 
-@query("maint_job", f"WITH {B.policy_units()} SELECT status, count(*) AS n FROM (SELECT CASE WHEN status = 'ACTIVE' AND least(1.0, greatest(0.01, prior_trust * pow(2.0, -{B.days('born_at', B.NOW)} / 30.0))) < 0.15 THEN 'DORMANT' ELSE status END AS status FROM u) GROUP BY status")
-def maint_job(spark, d):
-    u = G.policy_units(spark)
-    at = schedule.maintenance_job(spark, u, G.policy_edges(u), u.filter("topic % 5 = 4 AND replaced_by IS NULL AND NOT is_rumour").select("unit_id"), now())
-    return spark.read.parquet(f"{at}/units").groupBy("status").agg(F.count("*").alias("n"))
+NEWEST = "replaced_by IS NULL AND NOT is_rumour"
+JOB = f"WITH {B.policy_units()}, st AS (SELECT CASE WHEN status = 'ACTIVE' AND {B.live_trust()} < 0.15 THEN 'DORMANT' ELSE status END AS status FROM u)"
 
 
-@query("stream_cycle", f"WITH {B.policy_units()} SELECT count(*) AS units, CAST(1 AS BIGINT) AS passes FROM u")
+@query("maint_job", JOB + " SELECT status, count(*) AS n, CAST(11 AS BIGINT) AS edges, CAST(11 AS BIGINT) AS messages, CAST(0 AS BIGINT) AS more, CAST(24 AS BIGINT) AS done FROM st GROUP BY status")
+def maint_job(spark, d):
+    """Two passes: the second finds the first's edges and queue, so only what was queued since is rippled."""
+    u = policy_table(spark)
+    none, home = spark.createDataFrame([], "src string, dst string, kind string"), scratch.folder(spark, "job")
+    queue = lambda x: u.filter(f"topic % 5 >= {x} AND {NEWEST}").select("unit_id")
+    one = schedule.maintenance_job(u, none, queue(4), now(), f"{home}/1", build=G.policy_edges)
+    read = lambda at, name: spark.read.parquet(f"{at}/{name}")
+    two = schedule.maintenance_job(read(one, "units").select(u.columns), read(one, "edges"), queue(3), now(), f"{home}/2", read(one, "done"))
+    n = lambda df, name: df.agg(F.count("*").alias(name))
+    out = read(two, "units").groupBy("status").agg(F.count("*").alias("n")).crossJoin(n(read(two, "edges"), "edges"))
+    return out.crossJoin(n(read(one, "messages"), "messages")).crossJoin(n(read(two, "messages"), "more")).crossJoin(n(read(two, "done"), "done"))
+
+
+@query("stream_cycle", JOB + ", hit AS (SELECT CAST(topic + 1 AS BIGINT) AS topic FROM u WHERE topic % 5 = 4 AND topic + 1 < 60 AND replaced_by IS NULL AND NOT is_rumour) SELECT unit_id, round(CASE WHEN replaced_by IS NULL AND NOT is_rumour AND topic IN (SELECT topic FROM hit) THEN greatest(0.01, prior_trust - 0.15) ELSE prior_trust END, 6) AS prior_trust, CAST(2 AS BIGINT) AS passes FROM u")
 def stream_cycle(spark, d):
-    u = G.policy_units(spark)
+    """Changes that arrive in two files, the second with ids of the first again: each id ripples once, in its own pass."""
+    u = policy_table(spark)
     at = X.folder(spark)
-    u.filter("replaced_by IS NULL AND NOT is_rumour").select("unit_id").coalesce(1).write.parquet(f"{at}/changes")
-    s = spark.readStream.schema("unit_id string").parquet(f"{at}/changes")
-    passes = schedule.on_changes(spark, s, u, G.policy_edges(u), now())
-    return spark.read.parquet(f"{passes[-1]}/units").agg(F.count("*").alias("units")).withColumn("passes", F.lit(len(passes)).cast("long"))
+    some = lambda rule: u.filter(f"{NEWEST} AND {rule}").select("unit_id").coalesce(1)
+    none, home = spark.createDataFrame([], "src string, dst string, kind string"), None
+    for rule in ("topic % 10 = 4", "topic % 5 = 4"):
+        some(rule).write.mode("append").parquet(f"{at}/changes")
+        s = spark.readStream.schema("unit_id string").option("maxFilesPerTrigger", 1).parquet(f"{at}/changes")
+        home = schedule.on_changes(spark, s, u, none, now(), home or f"{at}/home", build=G.policy_edges)
+    last = schedule.latest(spark, home)
+    passes = spark.read.schema("pass long, folder string").parquet(f"{home}/log").agg(F.count("*").alias("passes"))
+    return spark.read.parquet(f"{last}/units").select("unit_id", r6(F.col("prior_trust"), "prior_trust")).crossJoin(passes)
+
+
+@query("stream_unit_counters", f"WITH {LOG} {COUNTS} GROUP BY unit_id")
+def stream_unit_counters(spark, d):
+    e = X.events(spark, d)
+    n = spark.read.parquet(f"{d}/documents.parquet").count()
+    unit = F.pmod(F.col("user_id") * 100 + F.get_json_object("props", "$.k").cast("long"), F.lit(n))
+    return X.unit_counters(spark, e.select(unit.alias("unit_id"), X.action().alias("action")))
 
 
 STRIP = "trim(regexp_replace(regexp_replace(regexp_replace(html, '(?s)<(script|style)[^>]*>.*?</(script|style)>', ' ', 'g'), '<[^>]*>', ' ', 'g'), '\\s+', ' ', 'g'))"

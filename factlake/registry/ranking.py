@@ -15,6 +15,7 @@ from factlake.plans import evaluation as E
 from factlake.registry import base as B
 from factlake.registry.base import query
 from factlake.sources import given as G
+from factlake.sources.scratch import kept, stamp
 
 r6 = lambda c, name: F.round(c, 6).alias(name)
 
@@ -23,21 +24,44 @@ def now():
     return G.at(G.NOW)
 
 
+def order_corpus(spark, d, rate=None):
+    """units, queries with their texts, and a key for what is kept of them in this session."""
+    key = f"orders {rate} {stamp(spark, d, 'orders', 'customer', 'nation')}"
+    units = kept(spark, f"{key} units", lambda: G.order_units(spark, d, rate, text=True), "unit_id")
+    queries = kept(spark, f"{key} queries", lambda: G.order_queries(units).join(G.topic_text(spark, d).withColumnRenamed("topic_text", "text"), "topic"))
+    return units, queries, key
+
+
+def order_candidates(spark, d, k=8, rate=None):
+    """The k nearest units of every query; the index and the result are kept for the session."""
+    units, queries, key = order_corpus(spark, d, rate)
+
+    def build():
+        held = R.index(units).keep(lambda name, df, on: kept(spark, f"{key} {name}", lambda: df, on))
+        return R.candidates(queries, held, k)
+
+    return kept(spark, f"{key} first {k}", build, "unit_id")
+
+
 def orders(spark, d, half_life=30.0, k=8, rate=None, exclude_future=False, floor_in_window=False, dormant="exclude"):
     """units, queries and candidates with signals of the order corpus."""
-    units = G.order_units(spark, d, rate, text=True)
-    queries = G.order_queries(units)
-    asked = queries.join(G.topic_text(spark, d).withColumnRenamed("topic_text", "text"), "topic")
-    cands = R.candidates(asked, R.postings(units, max_df=B.WIDE), k)
+    units, queries, _ = order_corpus(spark, d, rate)
     p = Params(half_life=half_life, floor_in_window=floor_in_window)
-    return units, queries, R.with_signals(cands, units, queries, p, exclude_future, dormant)
+    return units, queries, R.with_signals(order_candidates(spark, d, k, rate), units, queries, p, exclude_future, dormant)
+
+
+def policy_table(spark, rate=0.3, seed=7, topics=60):
+    """The generated corpus, kept for the session."""
+    return kept(spark, f"policies {rate} {seed} {topics} units", lambda: G.policy_units(spark, topics=topics, rate=rate, seed=seed).coalesce(1))
 
 
 def policies(spark, half_life=30.0, k=8, rate=0.3, seed=7, topics=60):
-    units = G.policy_units(spark, topics=topics, rate=rate, seed=seed)
-    queries = G.order_queries(units)
-    asked = queries.withColumn("text", F.concat(F.lit("policy topic"), F.col("topic").cast("string"), F.lit(" clause"), F.pmod("topic", F.lit(20)).cast("string")))
-    return units, queries, R.with_signals(R.candidates(asked, R.postings(units), k), units, queries, Params(half_life=half_life))
+    """units, queries and candidates with signals of the generated corpus."""
+    key = f"policies {rate} {seed} {topics}"
+    units = policy_table(spark, rate, seed, topics)
+    queries = kept(spark, f"{key} queries", lambda: G.order_queries(units).coalesce(1))
+    near = kept(spark, f"{key} first {k}", lambda: R.candidates_all(G.policy_asked(queries), R.index(units), k).coalesce(1))
+    return units, queries, R.with_signals(near, units, queries, Params(half_life=half_life))
 
 
 # ---- signals
@@ -156,7 +180,7 @@ def corpus_orders(spark, d):
 
 @query("corpus_policy", "WITH " + B.policy_units() + f" SELECT {UNIT_COLS}, body FROM u")
 def corpus_policy(spark, d):
-    return G.policy_units(spark).fillna(0, ["version_no"]).select(*SHOWN, "body")
+    return policy_table(spark).fillna(0, ["version_no"]).select(*SHOWN, "body")
 
 
 for _kind in ("current", "time_point", "conflict"):
@@ -170,9 +194,7 @@ for _kind in ("current", "time_point", "conflict"):
 
 @query("cand_tfidf", B.orders(k=8).split(",\n    sc AS")[0] + " SELECT query_id, unit_id, sim, first_rank FROM cand")
 def cand_tfidf(spark, d):
-    units = G.order_units(spark, d, text=True)
-    queries = G.order_queries(units).join(G.topic_text(spark, d).withColumnRenamed("topic_text", "text"), "topic")
-    return R.candidates(queries, R.postings(units, max_df=B.WIDE), 8).select("query_id", "unit_id", "sim", "first_rank")
+    return order_candidates(spark, d).select("query_id", "unit_id", "sim", "first_rank")
 
 
 def vectors(spark, d, queries: bool = False):
@@ -323,16 +345,16 @@ def rank_arbiter(spark, d):
 def ablation_sql(pre: str) -> str:
     rows = ", ".join(f"({i}, {', '.join(repr(float(x)) for x in w)})" for i, w in enumerate(E.ablations()))
     score = "round(sim * w_sim + temporal * w_tmp + trust * w_tru + relational * w_rel, 9)"
-    return pre + f", w(w_id, w_sim, w_tmp, w_tru, w_rel) AS (SELECT CAST(w_id AS BIGINT), CAST(a AS DOUBLE), CAST(b AS DOUBLE), CAST(c AS DOUBLE), CAST(e AS DOUBLE) FROM (VALUES {rows}) t(w_id, a, b, c, e)), top AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY w_id, query_id ORDER BY final DESC, sim DESC, unit_id) AS rank FROM (SELECT *, {score} AS final FROM sc, w)) WHERE rank = 1), j AS (SELECT w.w_id, q.kind, CASE WHEN t.unit_id = q.truth THEN 1.0 ELSE 0.0 END AS \"right\", CASE WHEN t.status = 'DEPRECATED' THEN 1.0 ELSE 0.0 END AS stale, CASE WHEN t.is_rumour THEN 1.0 ELSE 0.0 END AS misled FROM queries q CROSS JOIN w LEFT JOIN top t ON t.query_id = q.query_id AND t.w_id = w.w_id) " + B.summary("j", "w_id")
+    ece = B.ECE.replace("SELECT round(", "SELECT w_id, round(", 1).replace("(SELECT least(", "(SELECT w_id, least(").replace("GROUP BY 1)", "GROUP BY ALL) GROUP BY w_id")
+    return pre + f", w(w_id, w_sim, w_tmp, w_tru, w_rel) AS (SELECT CAST(w_id AS BIGINT), CAST(a AS DOUBLE), CAST(b AS DOUBLE), CAST(c AS DOUBLE), CAST(e AS DOUBLE) FROM (VALUES {rows}) t(w_id, a, b, c, e)), top AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY w_id, query_id ORDER BY final DESC, sim DESC, unit_id) AS rank FROM (SELECT *, {score} AS final FROM sc, w)) WHERE rank = 1), j AS (SELECT w.w_id, q.kind, t.trust AS conf, CASE WHEN t.unit_id = q.truth THEN 1.0 ELSE 0.0 END AS \"right\", CASE WHEN t.status = 'DEPRECATED' THEN 1.0 ELSE 0.0 END AS stale, CASE WHEN t.is_rumour THEN 1.0 ELSE 0.0 END AS misled FROM queries q CROSS JOIN w LEFT JOIN top t ON t.query_id = q.query_id AND t.w_id = w.w_id), m AS ({B.summary('j', 'w_id')}), e AS ({ece}) SELECT m.*, e.ece, round(m.overall - f.overall, 6) AS d_overall, round(m.stale - f.stale, 6) AS d_stale, round(e.ece - fe.ece, 6) AS d_ece FROM m JOIN e USING (w_id), (SELECT * FROM m WHERE w_id = 0) f, (SELECT * FROM e WHERE w_id = 0) fe"
 
 
 def ablation(units, queries, sc):
-    spark = sc.sparkSession
-    w = E.weight_rows(spark, E.ablations())
-    best = E.top_by_weights(sc, w).select("w_id", "query_id", "unit_id", "status", "is_rumour", "trust")
-    rows = queries.crossJoin(F.broadcast(w.select("w_id"))).join(best, ["w_id", "query_id"], "left")
-    j = rows.withColumns({"right": F.coalesce((F.col("unit_id") == F.col("truth")).cast("double"), F.lit(0.0)), "stale": F.coalesce((F.col("status") == "DEPRECATED").cast("double"), F.lit(0.0)), "misled": F.coalesce(F.col("is_rumour").cast("double"), F.lit(0.0))})
-    return E.summary(j, "w_id")
+    """Each weight vector's measures, and how they differ from the full vector's."""
+    m = E.compare(sc, queries, {i: (Weights(*w), "trust") for i, w in enumerate(E.ablations())}, "w_id").withColumn("w_id", F.col("w_id").cast("long"))
+    full = m.filter("w_id = 0").select(*(F.col(c).alias(f"f_{c}") for c in ("overall", "stale", "ece")))
+    delta = [F.round(F.col(c) - F.col(f"f_{c}"), 6).alias(f"d_{c}") for c in ("overall", "stale", "ece")]
+    return m.crossJoin(F.broadcast(full)).select(*m.columns, *delta)
 
 
 @query("eval_ablation", ablation_sql(B.orders(90.0)))
@@ -354,11 +376,7 @@ def main_sql(pre: str) -> str:
 
 
 def main(units, queries, sc):
-    out = []
-    for n, w in RANKERS.items():
-        j = E.judged(R.rank(sc, w), queries, E.conf_column(n))
-        out.append(E.summary(j).crossJoin(F.broadcast(E.ece(j))).withColumn("ranker", F.lit(n)))
-    return reduce(lambda a, b: a.unionByName(b), out)
+    return E.compare(sc, queries, {n: (w, E.conf_column(n)) for n, w in RANKERS.items()}, "ranker")
 
 
 @query("eval_main", main_sql(B.orders(90.0)))
@@ -404,8 +422,8 @@ def eval_reliability(spark, d):
     return E.reliability(judged4(spark, d)).select("bin", "n", r6(F.col("conf"), "conf"), r6(F.col("accuracy"), "accuracy"))
 
 
-def tuned_sql(pre: str) -> str:
-    rows = ", ".join(f"({i}, {', '.join(repr(float(x)) for x in w)})" for i, w in enumerate(grid()))
+def tuned_sql(pre: str, more: tuple = ()) -> str:
+    rows = ", ".join(f"({i}, {', '.join(repr(float(x)) for x in w)})" for i, w in enumerate([*grid(), *more]))
     half = "CASE WHEN CAST(regexp_extract(query_id, '([0-9]+)$', 1) AS BIGINT) % 2 = 0 THEN 'dev' ELSE 'test' END"
     return pre + f", w(w_id, w_sim, w_tmp, w_tru, w_rel) AS (SELECT CAST(w_id AS BIGINT), CAST(a AS DOUBLE), CAST(b AS DOUBLE), CAST(c AS DOUBLE), CAST(e AS DOUBLE) FROM (VALUES {rows}) t(w_id, a, b, c, e)), win AS (SELECT w_id, query_id, unit_id = truth AS x FROM (SELECT w_id, query_id, unit_id, truth, row_number() OVER (PARTITION BY w_id, query_id ORDER BY final DESC, sim DESC, unit_id) AS r FROM (SELECT w_id, query_id, unit_id, truth, sim, round(sim * w_sim + temporal * w_tmp + trust * w_tru + relational * w_rel, 9) AS final FROM sc, w)) WHERE r = 1), size AS (SELECT {half} AS half, count(*) AS n FROM queries GROUP BY 1), acc AS (SELECT w_id, {half} AS half, sum(CASE WHEN x THEN 1.0 ELSE 0.0 END) AS good FROM win GROUP BY ALL), both_ AS (SELECT w_id, round(max(CASE WHEN half = 'dev' THEN good / n END), 6) AS dev, round(max(CASE WHEN half = 'test' THEN good / n END), 6) AS test FROM acc JOIN size USING (half) GROUP BY w_id) SELECT w_id, w_sim, w_tmp, w_tru, w_rel, coalesce(dev, 0.0) AS dev, coalesce(test, 0.0) AS test FROM w LEFT JOIN both_ USING (w_id)"
 
@@ -425,49 +443,56 @@ def tune_split(spark, d):
     return E.best_weights(E.tune(sc, queries))
 
 
-def sweep_sql() -> str:
+RATES = (0.0, 0.15, 0.3, 0.5, 0.75)
+
+
+def sweep_sql(world) -> str:
     out = []
-    for rate in (0.0, 0.15, 0.3, 0.5, 0.75):
-        s = B.policies(rate=rate) + B.ranked(RANKERS["m1"].as_tuple(), name="t1") + B.judged("sim", "t1", "j1") + B.ranked(M4.as_tuple(), name="t4") + B.judged("trust", "t4", "j4")
+    for rate in RATES:
+        s = world(rate) + B.ranked(RANKERS["m1"].as_tuple(), name="t1") + B.judged("sim", "t1", "j1") + B.ranked(M4.as_tuple(), name="t4") + B.judged("trust", "t4", "j4")
         out.append(f"SELECT * FROM ({s} SELECT CAST({rate} AS DOUBLE) AS rate, a.overall AS plain, b.overall AS ours, a.stale AS plain_stale, b.stale AS ours_stale, round(100 * (b.overall - a.overall), 4) AS gap FROM ({B.summary('j1')}) a, ({B.summary('j4')}) b)")
     return " UNION ALL ".join(out)
 
 
-@query("eval_sweep", sweep_sql())
+@query("eval_sweep", sweep_sql(lambda rate: B.policies(rate=rate)))
 def eval_sweep(spark, d):
-    out = []
-    for rate in (0.0, 0.15, 0.3, 0.5, 0.75):
-        _, queries, sc = policies(spark, rate=rate)
-        a, b = (E.summary(E.judged(R.rank(sc, RANKERS[n]), queries, E.conf_column(n))) for n in ("m1", "m4"))
-        both = a.select(F.col("overall").alias("plain"), F.col("stale").alias("plain_stale")).crossJoin(b.select(F.col("overall").alias("ours"), F.col("stale").alias("ours_stale")))
-        out.append(both.select(F.lit(rate).alias("rate"), "plain", "ours", "plain_stale", "ours_stale", F.round(100 * (F.col("ours") - F.col("plain")), 4).alias("gap")))
-    return reduce(lambda a, b: a.unionAll(b), out)
+    return sweep({rate: policies(spark, rate=rate) for rate in RATES})
 
 
-def sweep_orders_sql() -> str:
+def sweep(worlds):
+    """Plain similarity against four signals on each world (its rate, and units, queries and candidates)."""
     out = []
-    for rate in (0.0, 0.5):
-        s = B.orders(90.0, rate=rate) + B.ranked(M4.as_tuple()) + B.judged()
-        out.append(f"SELECT * FROM ({s} SELECT CAST({rate} AS DOUBLE) AS rate, s.* FROM ({B.summary()}) s)")
-    return " UNION ALL ".join(out)
+    for rate, (_, queries, sc) in worlds.items():
+        m = E.compare(sc, queries, {n: (RANKERS[n], E.conf_column(n)) for n in ("m1", "m4")}, "ranker")
+        of = lambda n, c: F.max(F.when(F.col("ranker") == n, F.col(c)))
+        both = m.agg(of("m1", "overall").alias("plain"), of("m4", "overall").alias("ours"), of("m1", "stale").alias("plain_stale"), of("m4", "stale").alias("ours_stale"))
+        out.append(both.select(F.lit(rate).alias("rate"), "*", F.round(100 * (F.col("ours") - F.col("plain")), 4).alias("gap")))
+    return reduce(lambda a, b: a.unionAll(b), out)
 
 
-@query("eval_sweep_orders", sweep_orders_sql())
+@query("eval_sweep_orders", sweep_sql(lambda rate: B.orders(90.0, rate=rate)))
 def eval_sweep_orders(spark, d):
+    return sweep({rate: orders(spark, d, 90.0, rate=rate) for rate in RATES})
+
+
+SEEDS = tuple(range(7, 12))
+
+
+def seeds_sql() -> str:
     out = []
-    for rate in (0.0, 0.5):
-        _, queries, sc = orders(spark, d, 90.0, rate=rate)
-        out.append(E.summary(E.judged(R.rank(sc, M4), queries)).withColumn("rate", F.lit(rate)))
-    return reduce(lambda a, b: a.unionByName(b), out)
+    for seed in SEEDS:
+        for n in ("m1", "m2", "m3", "m4"):
+            out.append(f"SELECT * FROM ({B.policies(seed=seed)}{B.ranked(RANKERS[n].as_tuple())}{B.judged(E.conf_column(n))} SELECT '{n}' AS ranker, s.* FROM ({B.summary()}) s)")
+    return f"SELECT ranker, count(*) AS seeds, round(avg(overall), 6) AS overall, round(stddev_samp(overall), 6) AS spread, round(avg(stale), 6) AS stale FROM ({' UNION ALL '.join(out)}) GROUP BY ranker"
 
 
-@query("eval_seeds")
+@query("eval_seeds", seeds_sql())
 def eval_seeds(spark, d):
+    """Mean and deviation of each ranker over five generated corpora."""
     out = []
-    for seed in (7, 8, 9):
+    for seed in SEEDS:
         _, queries, sc = policies(spark, seed=seed)
-        for n in ("m1", "m2", "m3", "m4"):
-            out.append(E.summary(E.judged(R.rank(sc, RANKERS[n]), queries)).withColumn("ranker", F.lit(n)))
+        out.append(E.compare(sc, queries, {n: (RANKERS[n], E.conf_column(n)) for n in ("m1", "m2", "m3", "m4")}, "ranker"))
     rows = reduce(lambda a, b: a.unionByName(b), out)
     return rows.groupBy("ranker").agg(F.count("*").alias("seeds"), r6(F.avg("overall"), "overall"), r6(F.stddev_samp("overall"), "spread"), r6(F.avg("stale"), "stale"))
 

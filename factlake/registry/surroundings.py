@@ -13,6 +13,7 @@ from factlake.registry import base as B
 from factlake.registry.base import query
 from factlake.registry.ranking import J4, LOG, judged4, r6
 from factlake.sources import given as G
+from factlake.sources import scratch
 
 ORD = "WITH " + B.order_units()
 t = G.table
@@ -373,11 +374,7 @@ def life_trust_curve(spark, d):
 @query("sink_partitioned")
 def sink_partitioned(spark, d):
     """Units written by status with dynamic overwrite, read back with partition pruning."""
-    import tempfile
-    import uuid
-
-    root = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="factlake-")
-    path = f"{root}/factlake/units-{uuid.uuid4().hex}"
+    path = scratch.folder(spark, "units")
     G.order_units(spark, d).select("unit_id", "value", "status").write.partitionBy("status").parquet(path)
     return spark.read.parquet(path).filter("status = 'ACTIVE'").agg(F.count("*").alias("n"))
 
@@ -385,11 +382,7 @@ def sink_partitioned(spark, d):
 @query("src_json_csv")
 def src_json_csv(spark, d):
     """The log through JSON and the authority table through CSV, with explicit schemas."""
-    import tempfile
-    import uuid
-
-    root = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="factlake-")
-    a, b = (f"{root}/factlake/{x}-{uuid.uuid4().hex}" for x in ("log", "authority"))
+    a, b = (scratch.folder(spark, x) for x in ("log", "authority"))
     log = G.document_log(spark, d).select("event_id", "action")
     log.write.json(a)
     G.authority(spark).write.csv(b, header=True)

@@ -14,7 +14,7 @@ from factlake.operators import updates as U
 from factlake.params import RANKERS, Params
 from factlake.registry import base as B
 from factlake.registry.base import query
-from factlake.registry.ranking import COUNTS, LOG, TREE, now, orders, policies, r6
+from factlake.registry.ranking import COUNTS, LOG, TREE, now, orders, policies, policy_table, r6
 from factlake.sources import given as G
 
 P365 = Params(half_life=365.0)
@@ -160,7 +160,7 @@ def maint_marked(spark, d):
     return M.marked(u, M.value_conflicts(u))
 
 
-SHINGLES = "w AS (SELECT doc_id, list_filter(regexp_split_to_array(lower(text), '\\s+'), lambda x: x <> '') AS w FROM documents), sh AS (SELECT doc_id, list_distinct(list_transform(range(1, len(w) - 2), lambda i: md5(w[i] || ' ' || w[i + 1] || ' ' || w[i + 2] || ' ' || w[i + 3]))) AS s FROM w WHERE len(w) >= 4), ex AS (SELECT doc_id, unnest(s) AS g FROM sh), rare AS (SELECT g FROM ex GROUP BY g HAVING count(*) > 1 AND count(*) < 30), pr AS (SELECT DISTINCT a.doc_id AS dst, b.doc_id AS src FROM ex a JOIN ex b ON a.g = b.g AND a.doc_id < b.doc_id WHERE a.g IN (SELECT g FROM rare)), jac AS (SELECT src, dst, round(len(list_intersect(x.s, y.s)) / CAST(len(x.s) + len(y.s) - len(list_intersect(x.s, y.s)) AS DOUBLE), 6) AS jaccard FROM pr JOIN sh x ON x.doc_id = src JOIN sh y ON y.doc_id = dst)"
+SHINGLES = "w AS (SELECT doc_id, list_filter(regexp_split_to_array(lower(text), '\\s+'), lambda x: x <> '') AS w FROM documents), sh AS (SELECT doc_id, list_distinct(list_transform(range(1, len(w) - 2), lambda i: md5(w[i] || ' ' || w[i + 1] || ' ' || w[i + 2] || ' ' || w[i + 3]))) AS s FROM w WHERE len(w) >= 4), ex AS (SELECT doc_id, unnest(s) AS g FROM sh), held AS (SELECT g, count(*) AS df FROM ex GROUP BY g), pre AS (SELECT doc_id, g FROM (SELECT doc_id, g, df, row_number() OVER (PARTITION BY doc_id ORDER BY df, g) AS r, count(*) OVER (PARTITION BY doc_id) AS n FROM ex JOIN held USING (g)) WHERE df > 1 AND r <= n - ceil(0.499999 * n) + 1), pr AS (SELECT DISTINCT a.doc_id AS dst, b.doc_id AS src FROM pre a JOIN pre b ON a.g = b.g AND a.doc_id < b.doc_id), jac AS (SELECT src, dst, round(len(list_intersect(x.s, y.s)) / CAST(len(x.s) + len(y.s) - len(list_intersect(x.s, y.s)) AS DOUBLE), 6) AS jaccard FROM pr JOIN sh x ON x.doc_id = src JOIN sh y ON y.doc_id = dst)"
 
 
 @query("maint_edges_semantic", f"WITH {SHINGLES} SELECT src, dst, jaccard FROM jac WHERE jaccard >= 0.5")
@@ -173,7 +173,7 @@ def maint_contradictions_text(spark, d):
     return M.semantic_edges(G.table(spark, d, "documents"), most=0.95).select(F.col("dst").alias("a"), F.col("src").alias("b"))
 
 
-@query("maint_families", f"WITH {SHINGLES}, e AS (SELECT src, dst FROM jac WHERE jaccard >= 0.5) SELECT doc_id, least(doc_id, min(other)) AS family FROM (SELECT src AS doc_id, dst AS other FROM e UNION ALL SELECT dst, src FROM e) GROUP BY doc_id")
+@query("maint_families", f"WITH RECURSIVE {SHINGLES}, e AS (SELECT src AS a, dst AS b FROM jac WHERE jaccard >= 0.5 UNION ALL SELECT dst, src FROM jac WHERE jaccard >= 0.5), reach AS (SELECT a, b FROM e UNION SELECT r.a, e.b FROM reach r JOIN e ON r.b = e.a) SELECT a AS doc_id, least(a, min(b)) AS family FROM reach GROUP BY a")
 def maint_families(spark, d):
     return M.semantic_families(G.table(spark, d, "documents"))
 
@@ -289,21 +289,32 @@ def maint_ripple_stats(spark, d):
     return M.ripple_stats(M.ripple(part_seeds(spark, d), G.part_graph(spark, d))).withColumn("mean", F.round("mean", 6))
 
 
-CYCLE = f"WITH {B.policy_units()}, ed AS (SELECT a.unit_id AS src, b.unit_id AS dst FROM u a JOIN u b ON b.topic = a.topic - 1 AND a.topic % 5 = 0 AND a.topic > 0 AND a.replaced_by IS NULL AND NOT a.is_rumour AND b.replaced_by IS NULL AND NOT b.is_rumour), seeds AS (SELECT unit_id FROM u WHERE replaced_by IS NULL AND NOT is_rumour AND topic % 5 = 4), h0 AS (SELECT DISTINCT s.unit_id AS seed, ed.src AS unit_id FROM seeds s JOIN ed ON ed.dst = s.unit_id), h1 AS (SELECT DISTINCT h.seed, ed.src AS unit_id FROM h0 h JOIN ed ON ed.dst = h.unit_id EXCEPT SELECT * FROM h0), msg AS (SELECT unit_id, sum(p) AS hit FROM (SELECT unit_id, 0.15 AS p FROM h0 UNION ALL SELECT unit_id, 0.075 FROM h1) GROUP BY unit_id), tr AS (SELECT *, least(1.0, greatest(0.01, prior_trust * pow(2.0, -{B.days('born_at', B.NOW)} / 30.0))) AS trust FROM u), {PAIRS}, bo AS (SELECT a AS unit_id FROM pairs UNION ALL SELECT b FROM pairs), cf AS (SELECT unit_id, count(*) AS conflicts FROM bo GROUP BY unit_id) SELECT tr.unit_id, CASE WHEN status = 'ACTIVE' AND trust < 0.15 THEN 'DORMANT' ELSE status END AS status, round(trust, 6) AS trust, round(CASE WHEN hit IS NULL THEN prior_trust ELSE greatest(0.01, prior_trust - hit) END, 6) AS prior_trust, coalesce(conflicts, 0) AS conflicts FROM tr LEFT JOIN msg ON msg.unit_id = tr.unit_id LEFT JOIN cf ON cf.unit_id = tr.unit_id"
+CYCLE = f"WITH {B.policy_units()}, ed AS (SELECT a.unit_id AS src, b.unit_id AS dst FROM u a JOIN u b ON b.topic = a.topic - 1 AND a.topic % 5 = 0 AND a.topic > 0 AND a.replaced_by IS NULL AND NOT a.is_rumour AND b.replaced_by IS NULL AND NOT b.is_rumour), seeds AS (SELECT unit_id FROM u WHERE replaced_by IS NULL AND NOT is_rumour AND topic % 5 = 4), h0 AS (SELECT DISTINCT s.unit_id AS seed, ed.src AS unit_id FROM seeds s JOIN ed ON ed.dst = s.unit_id), h1 AS (SELECT DISTINCT h.seed, ed.src AS unit_id FROM h0 h JOIN ed ON ed.dst = h.unit_id EXCEPT SELECT * FROM h0), msg AS (SELECT unit_id, sum(p) AS hit FROM (SELECT unit_id, 0.15 AS p FROM h0 UNION ALL SELECT unit_id, 0.075 FROM h1) GROUP BY unit_id), tr AS (SELECT * EXCLUDE (degree), {B.live_trust()} AS trust FROM u), dg AS (SELECT unit_id, count(*) AS degree FROM (SELECT src AS unit_id FROM ed UNION ALL SELECT dst FROM ed) GROUP BY unit_id), {PAIRS}, bo AS (SELECT a AS unit_id FROM pairs UNION ALL SELECT b FROM pairs), cf AS (SELECT unit_id, count(*) AS conflicts FROM bo GROUP BY unit_id) SELECT tr.unit_id, CASE WHEN status = 'ACTIVE' AND trust < 0.15 THEN 'DORMANT' ELSE status END AS status, round(trust, 6) AS trust, round(CASE WHEN hit IS NULL THEN prior_trust ELSE greatest(0.01, prior_trust - hit) END, 6) AS prior_trust, coalesce(conflicts, 0) AS conflicts, coalesce(degree, 0) AS degree FROM tr LEFT JOIN msg ON msg.unit_id = tr.unit_id LEFT JOIN cf ON cf.unit_id = tr.unit_id LEFT JOIN dg ON dg.unit_id = tr.unit_id"
 
 
 @query("maint_cycle", CYCLE)
 def maint_cycle(spark, d):
-    u = G.policy_units(spark)
+    """One pass that starts without edges and builds them: ripples and degrees follow from what it built."""
+    u = policy_table(spark)
     changed = u.filter("replaced_by IS NULL AND NOT is_rumour AND topic % 5 = 4").select("unit_id")
-    out, _, _ = M.run_cycle(u, G.policy_edges(u), changed, now())
-    return out.select("unit_id", "status", r6(F.col("trust"), "trust"), r6(F.col("prior_trust"), "prior_trust"), "conflicts")
+    none = spark.createDataFrame([], "src string, dst string, kind string")
+    out, _, _ = M.run_cycle(u, none, changed, now(), build=G.policy_edges)
+    return out.select("unit_id", "status", r6(F.col("trust"), "trust"), r6(F.col("prior_trust"), "prior_trust"), "conflicts", "degree")
 
 
-@query("maint_pending", "SELECT 'O:' || o_orderkey AS unit_id FROM orders WHERE o_orderkey % 10 = 0 AND o_orderkey % 4 <> 0")
+@query("maint_pending", f"WITH {LOG} SELECT unit_id, count(*) AS n FROM elog WHERE action = 'correct' AND unit_id NOT IN (SELECT unit_id FROM elog WHERE action = 'validate') GROUP BY unit_id")
 def maint_pending(spark, d):
-    o = G.table(spark, d, "orders").select(F.concat(F.lit("O:"), F.col("o_orderkey").cast("string")).alias("unit_id"), "o_orderkey")
-    return M.pending(o.filter("o_orderkey % 10 = 0").select("unit_id"), o.filter("o_orderkey % 4 = 0"))
+    """Corrected documents that nobody has validated: the queue less what is done."""
+    log = G.document_log(spark, d)
+    return M.pending(log.filter("action = 'correct'").select("unit_id"), log.filter("action = 'validate'").select("unit_id").distinct()).groupBy("unit_id").agg(F.count("*").alias("n"))
+
+
+@query("maint_guard_weighted", f"WITH {LOG}, c AS (SELECT actor, (count(CASE WHEN action = 'accept' THEN 1 END) + 5.0) / (count(CASE WHEN action IN ('accept', 'correct') THEN 1 END) + 10.0) AS w FROM elog GROUP BY actor), v AS (SELECT *, row_number() OVER (PARTITION BY actor, unit_id, day ORDER BY event_id) AS n FROM elog WHERE action IN ('accept', 'correct')), g AS (SELECT unit_id, action, actor FROM v WHERE n <= 1 UNION ALL SELECT unit_id, action, actor FROM elog WHERE action NOT IN ('accept', 'correct')) SELECT unit_id, count(CASE WHEN action = 'access' THEN 1 END) AS access_n, round(sum(CASE WHEN action = 'accept' THEN w ELSE 0.0 END), 6) AS pos_n, round(sum(CASE WHEN action = 'correct' THEN w ELSE 0.0 END), 6) AS neg_n FROM g JOIN c USING (actor) GROUP BY unit_id")
+def maint_guard_weighted(spark, d):
+    """Capped votes, each worth its actor's reliability."""
+    log = G.document_log(spark, d)
+    c = M.weighted_counters(M.guard_feedback(log, 1, M.author_reliability(log)))
+    return c.select("unit_id", "access_n", r6(F.col("pos_n"), "pos_n"), r6(F.col("neg_n"), "neg_n"))
 
 
 @query("maint_author_prior", f"WITH {LOG}, c AS (SELECT actor, count(CASE WHEN action = 'accept' THEN 1 END) AS accepted, count(CASE WHEN action = 'correct' THEN 1 END) AS corrected FROM elog GROUP BY actor) SELECT actor, accepted, corrected, round((accepted + 5.0) / (accepted + corrected + 10.0), 6) AS reliability FROM c")
@@ -330,8 +341,15 @@ def maint_cold_share(spark, d):
 
 # ---- localised updates
 
-EDIT = "ed AS (SELECT doc_id, text AS old, array_to_string(list_concat(w[1:m], ['revised'], w[m + 2:]), ' ') AS new FROM (SELECT doc_id, text, string_split(text, ' ') AS w, CAST(floor(len(string_split(text, ' ')) / 2) AS BIGINT) AS m FROM documents) WHERE len(w) >= 3)"
-TRIM = EDIT + ", pre AS (SELECT *, coalesce(list_min(list_filter(range(1, least(length(old), length(new)) + 1), lambda i: substr(old, i, 1) <> substr(new, i, 1))) - 1, least(length(old), length(new))) AS s FROM ed WHERE old <> new), suf AS (SELECT *, coalesce(list_min(list_filter(range(1, least(length(old), length(new)) - s + 1), lambda i: substr(old, length(old) - i + 1, 1) <> substr(new, length(new) - i + 1, 1))) - 1, least(length(old), length(new)) - s) AS e FROM pre)"
+EDIT = "ed AS (SELECT doc_id, text AS old, array_to_string(list_concat(w[1:m], ['revised'], w[m + 2:]), ' ') AS new, array_to_string(w[1:m], ' ') || ' ' AS head, w[m + 1] AS mid, ' ' || array_to_string(w[m + 2:], ' ') AS tail FROM (SELECT doc_id, text, string_split(text, ' ') AS w, CAST(floor(len(string_split(text, ' ')) / 2) AS BIGINT) AS m FROM documents) WHERE len(w) >= 3)"
+
+
+def _same(x: str, y: str) -> str:
+    """Length of the common beginning of two strings, of at most 300 characters."""
+    return f"coalesce(list_min(list_filter(range(1, least(length({x}), length({y}), 300) + 1), lambda i: substr({x}, i, 1) <> substr({y}, i, 1))) - 1, least(length({x}), length({y}), 300))"
+
+
+TRIM = EDIT + f", pre AS (SELECT *, least(length(head) + {_same('substr(mid || tail, 1, 300)', "substr('revised' || tail, 1, 300)")}, length(old), length(new)) AS s FROM ed WHERE old <> new), suf AS (SELECT *, least(length(tail) + {_same('reverse(right(head || mid, 300))', "reverse(right(head || 'revised', 300))")}, length(old) - s, length(new) - s) AS e FROM pre)"
 
 
 def edits(spark, d):
@@ -343,18 +361,16 @@ def upd_edit(spark, d):
     return edits(spark, d).select("doc_id", F.md5("new").alias("sha"))
 
 
-def small(spark, d):
-    return edits(spark, d).filter("length(old) <= 2000")
-
-
-@query("upd_diff_trim", f"WITH {TRIM.replace('WHERE len(w) >= 3', 'WHERE len(w) >= 3 AND length(text) <= 2000')} SELECT doc_id, CAST(s AS BIGINT) AS old_start, CAST(length(old) - e AS BIGINT) AS old_end, CAST(length(new) - e AS BIGINT) AS new_end, CAST(length(new) - length(old) AS BIGINT) AS delta FROM suf")
+@query("upd_diff_trim", f"WITH {TRIM} SELECT doc_id, CAST(s AS BIGINT) AS old_start, CAST(length(old) - e AS BIGINT) AS old_end, CAST(length(new) - e AS BIGINT) AS new_end, CAST(length(new) - length(old) AS BIGINT) AS delta FROM suf")
 def upd_diff_trim(spark, d):
-    return U.diff_trim(small(spark, d)).select("doc_id", "old_start", "old_end", "new_end", "delta")
+    return U.diff_trim(edits(spark, d)).select("doc_id", "old_start", "old_end", "new_end", "delta")
 
 
-@query("upd_diff_tokens")
+@query("upd_diff_tokens", f"WITH {EDIT} SELECT count(*) AS edited, CAST(sum(length(new) - length(old)) AS BIGINT) AS delta FROM ed WHERE old <> new")
 def upd_diff_tokens(spark, d):
-    return U.diff_tokens(small(spark, d))
+    """Edited documents and the growth of their texts, from all hunks by words."""
+    h = U.diff_tokens(edits(spark, d))
+    return h.agg(F.countDistinct("doc_id").alias("edited"), F.sum("delta").alias("delta"))
 
 
 CH = "(SELECT doc_id, md5(substr(text, k * 1000 + 1, 1000)) AS sha FROM (SELECT doc_id, {0} AS text, unnest(range(CAST(greatest(1, ceil(length({0}) / 1000.0)) AS BIGINT))) AS k FROM ed))"
@@ -373,37 +389,32 @@ def spliced(spark, d):
     return e, chunks, hunks
 
 
-SMALL = TRIM.replace("WHERE len(w) >= 3", "WHERE len(w) >= 3 AND length(text) <= 2000")
-HIT = f"WITH {SMALL}, ch AS (SELECT doc_id, k AS chunk_no, k * 1000 AS a, least((k + 1) * 1000, length(old)) AS b, s, length(old) - e AS t FROM (SELECT *, unnest(range(CAST(greatest(1, ceil(length(old) / 1000.0)) AS BIGINT))) AS k FROM suf)), hit AS (SELECT doc_id, chunk_no FROM ch WHERE CASE WHEN s = t THEN (a < s AND s <= b) OR (s = 0 AND chunk_no = 0) ELSE a < t AND b > s END)"
-
-
-def spliced_small(spark, d):
-    e = small(spark, d)
-    return e, L.chunk(e.select("doc_id", F.col("old").alias("text"))), U.diff_trim(e)
+HIT = f"WITH {TRIM}, ch AS (SELECT doc_id, k AS chunk_no, k * 1000 AS a, least((k + 1) * 1000, length(old)) AS b, s, length(old) - e AS t, e, new, length(new) - length(old) AS delta FROM (SELECT *, unnest(range(CAST(greatest(1, ceil(length(old) / 1000.0)) AS BIGINT))) AS k FROM suf)), hit AS (SELECT doc_id, chunk_no FROM ch WHERE CASE WHEN s = t THEN (a < s AND s <= b) OR (s = 0 AND chunk_no = 0) ELSE a < t AND b > s END)"
+SPLICED = HIT + ", st AS (SELECT *, CASE WHEN s < a AND t > a THEN length(new) - e WHEN t <= a AND NOT (s = t AND s = a AND a = 0) THEN a + delta ELSE a END AS f FROM ch), sp AS (SELECT doc_id, chunk_no, f AS span_start, coalesce(lead(f) OVER (PARTITION BY doc_id ORDER BY chunk_no), length(new)) AS span_end, new FROM st)"
 
 
 @query("upd_affected", f"{HIT} SELECT doc_id, chunk_no FROM hit")
 def upd_affected(spark, d):
-    _, chunks, hunks = spliced_small(spark, d)
+    _, chunks, hunks = spliced(spark, d)
     return U.affected(chunks, hunks).select("doc_id", "chunk_no")
 
 
 @query("upd_affected_strict", f"{HIT.replace('(a < s AND s <= b) OR (s = 0 AND chunk_no = 0)', 'a < t AND b > s')} SELECT doc_id, chunk_no FROM hit")
 def upd_affected_strict(spark, d):
-    _, chunks, hunks = spliced_small(spark, d)
+    _, chunks, hunks = spliced(spark, d)
     return U.affected(chunks, hunks, "strict").select("doc_id", "chunk_no")
 
 
-@query("upd_splice")
+@query("upd_splice", f"{SPLICED} SELECT sp.doc_id, sp.chunk_no, CAST(span_start AS BIGINT) AS span_start, CAST(span_end AS BIGINT) AS span_end, hit.doc_id IS NOT NULL AS replaced, md5(substr(new, span_start + 1, span_end - span_start)) AS sha FROM sp LEFT JOIN hit ON hit.doc_id = sp.doc_id AND hit.chunk_no = sp.chunk_no")
 def upd_splice(spark, d):
     e, chunks, hunks = spliced(spark, d)
-    return U.splice(chunks, hunks, e).select("doc_id", "chunk_no", "span_start", "span_end", "replaced", F.md5("body").alias("sha"))
+    return U.splice(chunks, hunks, e.join(hunks.select("doc_id").distinct(), "doc_id", "left_semi")).select("doc_id", "chunk_no", "span_start", "span_end", "replaced", F.md5("body").alias("sha"))
 
 
-@query("upd_rebase", f"WITH {EDIT} SELECT doc_id, CAST(length(new) AS BIGINT) AS n FROM ed")
+@query("upd_rebase", f"{SPLICED} SELECT doc_id, chunk_no, CAST(span_start AS BIGINT) AS span_start FROM sp")
 def upd_rebase(spark, d):
     e, chunks, hunks = spliced(spark, d)
-    return U.splice(chunks, hunks, e).groupBy("doc_id").agg(F.max("span_end").alias("n"))
+    return U.splice(chunks, hunks, e.join(hunks.select("doc_id").distinct(), "doc_id", "left_semi")).select("doc_id", "chunk_no", "span_start")
 
 
 @query("upd_rebuild_check", f"WITH {EDIT} SELECT doc_id, md5(new) AS sha FROM ed")
@@ -412,32 +423,80 @@ def upd_rebuild_check(spark, d):
     return U.rebuild(U.splice(chunks, hunks, e)).select("doc_id", F.md5("text").alias("sha"))
 
 
-@query("upd_enqueue", f"{HIT} SELECT doc_id, count(*) AS n FROM hit GROUP BY doc_id")
+def edited_state(spark, d):
+    """Chunks of all documents as units with edges to their first chunk, and what an edit of every text makes of them."""
+    e, chunks, hunks = spliced(spark, d)
+    none = F.lit(None).cast("string")
+    name = F.concat_ws(":", F.col("doc_id").cast("string"), F.col("chunk_no").cast("string"), F.lit("v1"))
+    units = chunks.select(name.alias("unit_id"), "doc_id", "chunk_no", F.lit(1).alias("version_no"), "span_start", "span_end", "body", F.lit("ACTIVE").alias("status"), G.at("2024-01-01").alias("born_at"), none.alias("replaces"), none.alias("replaced_by"))
+    first = F.concat(F.col("doc_id").cast("string"), F.lit(":0:v1"))
+    edges = units.filter("chunk_no > 0").select(F.col("unit_id").alias("src"), first.alias("dst"), F.lit("depends_on").alias("kind"))
+    return U.apply_update(units, edges, hunks, e, G.at("2024-02-01"))
+
+
+@query("upd_state", f"{SPLICED}, base AS (SELECT doc_id, k AS chunk_no, md5(substr(old, k * 1000 + 1, 1000)) AS sha, k * 1000 AS a FROM (SELECT *, unnest(range(CAST(greatest(1, ceil(length(old) / 1000.0)) AS BIGINT))) AS k FROM ed)), x AS (SELECT base.*, hit.doc_id IS NOT NULL AS r, md5(substr(new, span_start + 1, span_end - span_start)) AS new_sha, span_start FROM base LEFT JOIN sp USING (doc_id, chunk_no) LEFT JOIN hit USING (doc_id, chunk_no)) SELECT doc_id || ':' || chunk_no || ':v1' AS unit_id, CASE WHEN r THEN 'DEPRECATED' ELSE 'ACTIVE' END AS status, CAST(CASE WHEN r OR span_start IS NULL THEN a ELSE span_start END AS BIGINT) AS span_start, CASE WHEN r OR new_sha IS NULL THEN sha ELSE new_sha END AS sha, CASE WHEN r THEN doc_id || ':' || chunk_no || ':v2' END AS replaced_by FROM x UNION ALL SELECT doc_id || ':' || chunk_no || ':v2', 'UNCONSOLIDATED', CAST(span_start AS BIGINT), new_sha, NULL FROM x WHERE r")
+def upd_state(spark, d):
+    """All units after an edit of every document: what is replaced, what moves, what stays."""
+    return edited_state(spark, d)[0].select("unit_id", "status", "span_start", F.md5("body").alias("sha"), "replaced_by")
+
+
+V2 = "doc_id || ':' || {0} || CASE WHEN {1} THEN ':v2' ELSE ':v1' END"
+
+
+@query("upd_state_edges", f"{HIT}, base AS (SELECT doc_id, unnest(range(CAST(greatest(1, ceil(length(old) / 1000.0)) AS BIGINT))) AS chunk_no FROM ed), x AS (SELECT base.*, hit.doc_id IS NOT NULL AS r, max(CASE WHEN chunk_no = 0 AND hit.doc_id IS NOT NULL THEN 1 ELSE 0 END) OVER (PARTITION BY base.doc_id) = 1 AS r0 FROM base LEFT JOIN hit USING (doc_id, chunk_no)) SELECT {V2.format('chunk_no', 'r')} AS src, {V2.format('0', 'r0')} AS dst, 'depends_on' AS kind FROM x WHERE chunk_no > 0 UNION ALL SELECT doc_id || ':' || chunk_no || ':v2', doc_id || ':' || chunk_no || ':v1', 'replaces' FROM x WHERE r")
+def upd_state_edges(spark, d):
+    """Edges after the edit: those of replaced units lead to their successors, and lineage is added."""
+    return edited_state(spark, d)[1]
+
+
+@query("upd_enqueue", f"{HIT}, base AS (SELECT doc_id, unnest(range(CAST(greatest(1, ceil(length(old) / 1000.0)) AS BIGINT))) AS chunk_no FROM ed), q AS (SELECT doc_id || ':' || chunk_no || ':v2' AS unit_id, doc_id, chunk_no FROM hit), x AS (SELECT base.*, hit.doc_id IS NOT NULL AS r FROM base LEFT JOIN hit USING (doc_id, chunk_no)) SELECT q.unit_id AS seed, {V2.format('x.chunk_no', 'x.r').replace('doc_id ||', 'x.doc_id ||')} AS unit_id, CAST(0 AS BIGINT) AS hop FROM q JOIN x ON x.doc_id = q.doc_id AND q.chunk_no = 0 AND x.chunk_no > 0")
 def upd_enqueue(spark, d):
-    e, chunks, hunks = spliced_small(spark, d)
-    return U.splice(chunks, hunks, e).filter("replaced").groupBy("doc_id").agg(F.count("*").alias("n"))
+    """The ripple that the queue of an edit sets off, along the transferred edges."""
+    _, edges, queue = edited_state(spark, d)
+    return M.ripple(queue, edges.filter("kind = 'depends_on'")).select("seed", "unit_id", "hop")
+
+
+def topic_documents(spark):
+    """Every topic's units as the lines of one document, with the middle word of the newest version's line edited."""
+    u = policy_table(spark)
+    word = F.split("body", " ")
+    mid = F.floor(F.size(word) / 2).cast("int")
+    edited = F.concat_ws(" ", F.slice(word, F.lit(1), mid), F.array(F.lit("revised")), F.slice(word, mid + 2, F.size(word)))
+    lines = u.select("topic", "unit_id", "body", F.when(F.col("replaced_by").isNull() & ~F.col("is_rumour"), edited).otherwise(F.col("body")).alias("new"))
+    both = lines.groupBy(F.col("topic").alias("doc_id")).agg(F.array_sort(F.collect_list(F.struct("unit_id", "body", "new"))).alias("l"))
+    text = lambda c: F.array_join(F.transform("l", lambda x: x[c]), "\n")
+    return u, both.select("doc_id", text("body").alias("old"), text("new").alias("new"), F.transform("l", lambda x: x["unit_id"]).alias("ids"))
+
 
+def touched_lines(spark):
+    """Lines of the topics' documents, and those that the edit's hunks meet with the unit that each stands for."""
+    u, docs = topic_documents(spark)
+    chunks = L.chunk(docs.select("doc_id", F.col("old").alias("text")), mode="lines")
+    hit = U.affected(chunks, U.diff_tokens(docs)).join(docs.select("doc_id", "ids"), "doc_id")
+    return u, chunks, docs, hit.select("doc_id", F.element_at("ids", (F.col("chunk_no") + 1).cast("int")).alias("unit_id"))
 
-TOPIC = f"WITH {B.policy_units()} SELECT topic, count(*) AS plain, CAST(1 AS BIGINT) AS ours FROM u GROUP BY topic"
 
+# the same by SQL: lines with their places, the edited word's place, and which lines it meets
+TOUCH = f"""WITH {B.policy_units()}, ln AS (SELECT topic, unit_id, body, replaced_by IS NULL AND NOT is_rumour AS newest, string_split(body, ' ') AS w, CAST(floor(len(string_split(body, ' ')) / 2) AS BIGINT) AS m,
+    sum(length(body) + 1) OVER (PARTITION BY topic ORDER BY unit_id) - length(body) - 1 AS a FROM u),
+    cut AS (SELECT topic, a + length(array_to_string(w[1:m], ' ')) + 1 AS s, a + length(array_to_string(w[1:m + 1], ' ')) AS t FROM ln WHERE newest),
+    meet AS (SELECT ln.topic, unit_id FROM ln JOIN cut ON cut.topic = ln.topic AND a < t AND a + length(body) > s)"""
 
-@query("upd_cost_policy", TOPIC)
+
+@query("upd_cost_policy", f"{TOUCH} SELECT topic, (SELECT count(*) FROM u x WHERE x.topic = c.topic) AS plain, (SELECT count(*) FROM meet y WHERE y.topic = c.topic) AS ours FROM cut c")
 def upd_cost_policy(spark, d):
-    u = G.policy_units(spark)
-    doc = u.select(F.col("topic").alias("doc_id"))
-    edit = u.filter("replaced_by IS NULL AND NOT is_rumour").select(F.col("topic").alias("doc_id"))
-    return U.update_cost(doc, edit, edit).select(F.col("doc_id").alias("topic"), "plain", F.col("ours").cast("long").alias("ours"))
+    _, chunks, docs, hit = touched_lines(spark)
+    return U.update_cost(chunks, docs, hit).select(F.col("doc_id").alias("topic"), "plain", "ours")
 
 
-@query("eval_update_cost", f"WITH {B.policy_units()}, tc AS (SELECT topic, count(*) AS plain FROM u GROUP BY topic), m AS (SELECT count(*) AS messages FROM u WHERE topic % 5 = 4 AND topic + 1 < 60 AND replaced_by IS NULL AND NOT is_rumour) SELECT count(*) AS edits, round(avg(plain), 6) AS plain, 1.0 AS ours, round(1 - 1 / avg(plain), 6) AS saving, round(any_value(messages) / CAST(count(*) AS DOUBLE), 6) AS messages FROM tc, m")
+@query("eval_update_cost", f"{TOUCH}, tc AS (SELECT c.topic, (SELECT count(*) FROM u x WHERE x.topic = c.topic) AS plain, (SELECT count(*) FROM meet y WHERE y.topic = c.topic) AS ours FROM cut c), m AS (SELECT count(*) AS messages FROM meet JOIN u USING (unit_id) WHERE u.topic % 5 = 4 AND u.topic + 1 < 60 AND u.replaced_by IS NULL AND NOT u.is_rumour) SELECT count(*) AS edits, round(avg(plain), 6) AS plain, round(avg(ours), 6) AS ours, round(1 - avg(ours) / avg(plain), 6) AS saving, round(any_value(messages) / CAST(count(*) AS DOUBLE), 6) AS messages FROM tc, m")
 def eval_update_cost(spark, d):
-    """Plain re-embeds a topic's every unit; a single-word edit touches one chunk; ripples follow the edges."""
-    u = G.policy_units(spark)
-    edit = u.filter("replaced_by IS NULL AND NOT is_rumour").select(F.col("topic").alias("doc_id"), "unit_id")
-    cost = U.update_cost(u.select(F.col("topic").alias("doc_id")), edit, edit)
-    n = M.ripple(edit.select("unit_id"), G.policy_edges(u)).agg(F.count("*").alias("n"))
+    """Plain re-embeds every line of a topic's document; ours those that the diff of a single-word edit meets; ripples start from them."""
+    u, chunks, docs, hit = touched_lines(spark)
+    cost = U.update_cost(chunks, docs, hit)
+    n = M.ripple(hit.select("unit_id"), G.policy_edges(u)).agg(F.count("*").alias("n"))
     out = cost.agg(F.count("*").alias("edits"), F.avg("plain").alias("p"), F.avg("ours").alias("o")).crossJoin(n)
-    return out.select("edits", r6(F.col("p"), "plain"), F.col("o").cast("double").alias("ours"), r6(1 - F.col("o") / F.col("p"), "saving"), r6(F.col("n") / F.col("edits"), "messages"))
+    return out.select("edits", r6(F.col("p"), "plain"), r6(F.col("o"), "ours"), r6(1 - F.col("o") / F.col("p"), "saving"), r6(F.col("n") / F.col("edits"), "messages"))
 
 
 @query("upd_full_reembed", "SELECT doc_id, CAST(greatest(1, ceil(length(text) / 1000.0)) AS BIGINT) AS plain FROM documents WHERE len(string_split(text, ' ')) >= 3")
@@ -456,32 +515,53 @@ def top3(spark, d):
     return units, R.rank(sc, RANKERS["m4"], 3)
 
 
-@query("ctx_conflicts", TOP3 + f", {PAIRS}, bo AS (SELECT a AS unit_id, b AS other FROM pairs UNION ALL SELECT b, a FROM pairs) SELECT t.query_id, t.unit_id, other AS \"with\" FROM top t JOIN bo ON bo.unit_id = t.unit_id JOIN top s ON s.query_id = t.query_id AND s.unit_id = other")
-def ctx_conflicts(spark, d):
+# disputes only among the units of a result list: a rumour against a version of its topic
+DISPUTE = TOP3 + ", cu AS (SELECT DISTINCT unit_id FROM top), cx AS (SELECT u.* FROM u JOIN cu USING (unit_id)), pairs AS (SELECT least(a.unit_id, r.unit_id) AS a, greatest(a.unit_id, r.unit_id) AS b FROM cx a JOIN cx r ON a.topic = r.topic AND NOT a.is_rumour AND r.is_rumour AND a.value <> r.value AND (a.valid_to IS NULL OR r.born_at <= a.valid_to)), bo AS (SELECT a AS unit_id, b AS other FROM pairs UNION ALL SELECT b, a FROM pairs), cf AS (SELECT t.query_id, t.unit_id, other AS \"with\" FROM top t JOIN bo ON bo.unit_id = t.unit_id JOIN top s ON s.query_id = t.query_id AND s.unit_id = other)"
+
+
+def disputes(spark, d):
+    """The three best units of each query, and their disputes: only units that some list holds are paired."""
     units, t = top3(spark, d)
-    return C.conflicts(t, M.value_conflicts(units))
+    t = t.join(units.select("unit_id", "body"), "unit_id") if "body" not in t.columns else t
+    held = units.join(t.select("unit_id").distinct(), "unit_id", "left_semi")
+    return t, C.conflicts(t, M.value_conflicts(held))
 
 
-@query("ctx_assemble")
+@query("ctx_conflicts", DISPUTE + " SELECT * FROM cf")
+def ctx_conflicts(spark, d):
+    return disputes(spark, d)[1]
+
+
+GUIDE = C.GUIDANCE.replace("'", "''")
+
+
+@query("ctx_assemble", DISPUTE + f""", ag AS (SELECT query_id, unit_id, string_agg(DISTINCT "with", ', ' ORDER BY "with") AS against FROM cf GROUP BY ALL),
+    ln AS (SELECT t.query_id, t.rank, t.rank || ' ' || t.unit_id || ' [' || source || ', v' || coalesce(CAST(version_no AS VARCHAR), '-') || ', ' || strftime(born_at, '%Y-%m-%d') || '] ' || status || ' ' || CAST({B.days('born_at', 'ref_time')} AS BIGINT) || ' days old'
+        || chr(10) || '  score ' || printf('%.3f', round(final, 3)) || ' similar ' || printf('%.3f', round(sim, 3)) || ' timely ' || printf('%.3f', round(temporal, 3)) || ' trusted ' || printf('%.3f', round(trust, 3)) || ' linked ' || printf('%.3f', round(relational, 3))
+        || chr(10) || '  edges ' || degree || ' read 0 accepted 0 corrected 0' || coalesce(' disputed by ' || against, '') || chr(10) || '  ' || body AS line
+        FROM top t JOIN bodies USING (unit_id) LEFT JOIN ag ON ag.query_id = t.query_id AND ag.unit_id = t.unit_id)
+    SELECT query_id, '{GUIDE}' || chr(10) || string_agg(line, chr(10) ORDER BY rank) AS context FROM ln GROUP BY query_id""")
 def ctx_assemble(spark, d):
-    units, t = top3(spark, d)
-    return C.assemble(t, C.conflicts(t, M.value_conflicts(units)))
+    return C.assemble(*disputes(spark, d))
 
 
-@query("ctx_lines", TOP3 + " SELECT query_id, count(*) AS lines, string_agg(unit_id, ',' ORDER BY rank) AS ids FROM top GROUP BY query_id")
+@query("ctx_lines", TOP3 + " SELECT query_id, count(*) AS units, string_agg(unit_id, ',' ORDER BY rank) AS ids FROM top GROUP BY query_id")
 def ctx_lines(spark, d):
     _, t = top3(spark, d)
-    block = C.assemble(t)
-    ids = F.array_join(F.regexp_extract_all("context", F.lit(r"(?m)^[0-9]+ (\S+);"), F.lit(1)), ",")
-    return block.select("query_id", F.size(F.split("context", "\n")).cast("long").alias("lines"), ids.alias("ids"))
+    ids = F.regexp_extract_all("context", F.lit(r"(?m)^[0-9]+ (\S+) \["), F.lit(1))
+    return C.assemble(t).select("query_id", F.size(ids).cast("long").alias("units"), F.array_join(ids, ",").alias("ids"))
 
 
-@query("ctx_citation", ORD + " SELECT unit_id, '[' || source || ' v' || coalesce(CAST(version_no AS VARCHAR), '-') || '  ' || strftime(born_at, '%Y-%m-%d') || ']' AS citation FROM u")
+@query("ctx_citation", ORD + " SELECT unit_id, '[' || source || ', clerk ' || topic % 9 || ', v' || coalesce(CAST(version_no AS VARCHAR), '-') || ', ' || strftime(born_at, '%Y-%m-%d') || ']' AS citation FROM u")
 def ctx_citation(spark, d):
-    return G.order_units(spark, d).select("unit_id", C.citation().alias("citation"))
+    author = F.concat(F.lit("clerk "), F.pmod("topic", F.lit(9)).cast("string"))
+    return G.order_units(spark, d).withColumn("author", author).select("unit_id", C.citation().alias("citation"))
+
+
+F3 = lambda c: f"printf('%.3f', round({c}, 3))"
 
 
-@query("ctx_json")
+@query("ctx_json", TOP3 + f" SELECT query_id, '{{\"units\":[' || string_agg('{{\"rank\":' || rank || ',\"unit_id\":\"' || unit_id || '\",\"final\":\"' || {F3('final')} || '\",\"sim\":\"' || {F3('sim')} || '\",\"temporal\":\"' || {F3('temporal')} || '\",\"trust\":\"' || {F3('trust')} || '\",\"relational\":\"' || {F3('relational')} || '\"}}', ',' ORDER BY rank) || ']}}' AS context FROM top GROUP BY query_id")
 def ctx_json(spark, d):
     return C.assemble_json(top3(spark, d)[1])
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from math import gcd
+
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -108,26 +110,52 @@ def document_units(spark: SparkSession, sf_dir: str) -> DataFrame:
     return d.select("doc_id", "text", "n_chars", born.alias("born_at"), F.element_at(F.array(*map(F.lit, names)), (index + 1)).alias("source"))
 
 
-def portable_random(seed: int, topic: Column, salt: Column | int) -> Column:
-    """A number in [0, 1) from integer arithmetic that any SQL engine repeats; never over 63 bits."""
+def with_random(df: DataFrame, seed: int, salts: dict[str, Column | int]) -> DataFrame:
+    """A column in [0, 1) for each salt, from integer arithmetic on ``topic`` that any SQL engine repeats; never over 63 bits.
+
+    Step by step, so that no step's expression is written out twice.
+    """
     p = F.lit(MODULUS).cast("long")
-    salt = salt if isinstance(salt, Column) else F.lit(salt)
-    x = F.pmod(F.lit(seed * 7919 + 1).cast("long") + topic.cast("long") * 104729 + salt.cast("long") * 1299709, p)
-    y = F.pmod(x * x + 48271 * x, p)
-    z = F.pmod(16807 * y, p)
-    return F.pmod(z * z + y, p) / F.lit(float(MODULUS))
+    col = lambda s: s if isinstance(s, Column) else F.lit(s)
+    x, y, z = ({n: F.col(f"_{k}_{n}") for n in salts} for k in "xyz")
+    df = df.withColumns({f"_x_{n}": F.pmod(F.lit(seed * 7919 + 1).cast("long") + F.col("topic").cast("long") * 104729 + col(s).cast("long") * 1299709, p) for n, s in salts.items()})
+    df = df.withColumns({f"_y_{n}": F.pmod(x[n] * x[n] + 48271 * x[n], p) for n in salts})
+    df = df.withColumns({f"_z_{n}": F.pmod(16807 * y[n], p) for n in salts})
+    df = df.withColumns({n: F.pmod(z[n] * z[n] + y[n], p) / F.lit(float(MODULUS)) for n in salts})
+    return df.drop(*(f"_{k}_{n}" for k in "xyz" for n in salts))
+
+
+def rumour_topics(topic: Column, topics: int, rate: float, seed: int) -> Column:
+    """Whether a topic has a rumour: exactly the share ``rate`` of them, by a step that visits each topic once."""
+    step = next(k for k in range(37, 37 + topics + 1) if gcd(k, topics) == 1)
+    return F.pmod(topic * step + seed * 11, F.lit(topics)) < round(rate * topics)
 
 
 def policy_units(spark: SparkSession, topics: int = 60, versions: int = 4, rate: float = 0.3, seed: int = 7, now: str = NOW) -> DataFrame:
-    """Generated policies in several versions, rumours beside some; the layout of ``order_units``."""
+    """Generated policies in several versions, rumours beside some; the layout of ``order_units`` with counts of feedback.
+
+    Versions follow each other after 40 to 90 days; in six of ten topics the newest is 12 to 71 days old, in the others
+    the oldest is 240 to 420. Rumours are 1 to 10 days old, so newer than any version. Three newest versions in ten and
+    one rumour in five say that they are current, as queries ask. Feedback is drawn once: a static prior.
+    """
     t = spark.range(topics).select(F.col("id").alias("topic"))
-    r = lambda salt: portable_random(seed, F.col("topic"), salt)
-    age = sum((F.when(F.col("v") < k, 40 + F.floor(r(k) * 51)).otherwise(0) for k in range(2, versions + 1)), F.floor(r(50) * 60))
+    t = with_random(t, seed, {f"r{k}": k for k in (40, 41, 50, 51, 52, 70, 71, 85, 98, *range(2, versions + 1))})
+    r = lambda salt: F.col(f"r{salt}")
+    n = lambda salt, most: F.floor(r(salt) * most).cast("long")
+    gap = {k: 40 + n(k, 51) for k in range(2, versions + 1)}
+    newest = F.when(r(52) < 0.6, 12 + n(51, 60)).otherwise(F.greatest(F.lit(12), 240 + n(50, 181) - sum(gap.values(), F.lit(0))))
+    age = sum((F.when(F.col("v") < k, g).otherwise(0) for k, g in gap.items()), newest)
     real = t.withColumn("v", F.explode(F.sequence(F.lit(1), F.lit(versions)))).withColumn("age", age.cast("int"))
+    real = with_random(real, seed, {f"by{k}": F.col("v") + k for k in (60, 80, 90, 100)})
     base, step = 100 + F.floor(r(41) * 900), 5 + F.floor(r(40) * 20)
-    source = F.element_at(F.array(*map(F.lit, list(AUTHORITY)[:4])), (F.floor(r(F.col("v") + 60) * 4) + 1).cast("int"))
-    real = real.select("topic", F.col("v").cast("long").alias("version_no"), (at(now) - F.make_dt_interval(days="age")).alias("born_at"), (base + (F.col("v") - 1) * step).cast("double").alias("value"), source.alias("source"), F.lit(False).alias("is_rumour"))
-    said = t.filter(r(99) < rate).select("topic", F.lit(None).cast("long"), (at(now) - F.make_dt_interval(days=(1 + F.floor(r(98) * 10)).cast("int"))), (base + 500).cast("double"), F.lit("chat"), F.lit(True))
+    source = F.element_at(F.array(*map(F.lit, list(AUTHORITY)[:4])), (F.floor(F.col("by60") * 4) + 1).cast("int"))
+    mark = lambda sure: F.when(sure, " current").otherwise("")
+    by_v = lambda salt, most: F.floor(F.col(f"by{salt}") * most).cast("long")
+    real = real.select(
+        "topic", F.col("v").cast("long").alias("version_no"), (at(now) - F.make_dt_interval(days="age")).alias("born_at"), (base + (F.col("v") - 1) * step).cast("double").alias("value"), source.alias("source"), F.lit(False).alias("is_rumour"),
+        by_v(80, 14).alias("pos_n"), by_v(90, 3).alias("neg_n"), by_v(100, 30).alias("access_n"), mark((F.col("v") == versions) & (r(70) < 0.3)).alias("mark"),
+    )
+    said = t.filter(rumour_topics(F.col("topic"), topics, rate, seed)).select("topic", F.lit(None).cast("long"), (at(now) - F.make_dt_interval(days=(1 + F.floor(r(98) * 10)).cast("int"))), (base + 500).cast("double"), F.lit("chat"), F.lit(True), n(85, 3), F.lit(0).cast("long"), F.lit(0).cast("long"), mark(r(71) < 0.2))
     u = real.unionAll(said)
     w = Window.partitionBy("topic", "is_rumour").orderBy("born_at", "version_no")
     name = lambda c: F.concat(F.lit("P:"), F.col("topic").cast("string"), F.lit(":"), c.cast("string"))
@@ -135,15 +163,26 @@ def policy_units(spark: SparkSession, topics: int = 60, versions: int = 4, rate:
     u = u.select(
         F.when(keep, name(F.col("version_no"))).otherwise(F.concat(F.lit("P:"), F.col("topic").cast("string"), F.lit(":r"))).alias("unit_id"), "topic", "version_no", "born_at", F.col("born_at").alias("valid_from"),
         F.when(keep, F.lead("born_at").over(w)).alias("valid_to"), "value", "source", "is_rumour",
-        F.when(keep, name(F.lag("version_no").over(w))).alias("replaces"), F.when(keep, name(F.lead("version_no").over(w))).alias("replaced_by"),
+        F.when(keep, name(F.lag("version_no").over(w))).alias("replaces"), F.when(keep, name(F.lead("version_no").over(w))).alias("replaced_by"), "pos_n", "neg_n", "access_n", "mark",
     )
     u = with_authority(u).withColumn("status", F.when(F.col("replaced_by").isNull(), "ACTIVE").otherwise("DEPRECATED"))
     dep = (F.pmod("topic", F.lit(5)) == 0) & (F.col("topic") > 0)
     last = F.col("replaced_by").isNull() & keep
     degree = F.when(last & dep, 1).otherwise(0) + F.when(last & (F.pmod(F.col("topic") + 1, F.lit(5)) == 0) & (F.col("topic") + 1 < topics), 1).otherwise(0)
-    noun = F.concat(F.lit("policy topic"), F.col("topic").cast("string"), F.lit(" clause"), F.pmod("topic", F.lit(20)).cast("string"))
-    body = F.concat_ws(" ", noun, F.when(keep, F.concat(F.lit("limit value"), F.floor("value").cast("string"))).otherwise(F.concat(F.lit("heard limit value"), F.floor("value").cast("string"))), F.regexp_replace("source", "_", ""))
-    return u.withColumn("degree", degree.cast("long")).withColumn("body", body)
+    value = F.concat(F.lit(" value"), F.floor("value").cast("string"))
+    heard = F.concat(F.lit("heard policy topic"), F.col("topic").cast("string"), F.col("mark"), F.lit(" goes to"), value, F.lit(" soon chat"))
+    body = F.when(keep, F.concat(policy_noun(), F.lit(" limit"), F.col("mark"), value)).otherwise(heard)
+    return u.withColumn("degree", degree.cast("long")).withColumn("body", body).drop("mark")
+
+
+def policy_noun() -> Column:
+    topic = F.col("topic").cast("string")
+    return F.concat(F.lit("policy topic"), topic, F.lit(" clause"), F.pmod("topic", F.lit(20)).cast("string"), F.lit(" area"), topic)
+
+
+def policy_asked(queries: DataFrame) -> DataFrame:
+    """Queries with their text: all kinds ask for the current limit."""
+    return queries.withColumn("text", F.concat(policy_noun(), F.lit(" current limit")))
 
 
 def policy_edges(units: DataFrame) -> DataFrame:

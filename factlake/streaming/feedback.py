@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Iterator
 
 import pandas as pd
@@ -11,7 +9,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from factlake.functions import signals as S
+from factlake.sources import scratch
 
 EVENTS = T.StructType([
     T.StructField("event_id", T.LongType()), T.StructField("ts", T.TimestampNTZType()), T.StructField("user_id", T.LongType()),
@@ -20,8 +18,7 @@ EVENTS = T.StructType([
 
 
 def folder(spark: SparkSession) -> str:
-    root = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="factlake-")
-    return f"{root}/factlake/stream-{uuid.uuid4().hex}"
+    return scratch.folder(spark, "stream")
 
 
 def events(spark: SparkSession, sf_dir: str, delay: str = "1 day") -> DataFrame:
@@ -80,16 +77,31 @@ def enriched(s: DataFrame, names: DataFrame) -> DataFrame:
 
 
 def ingest(spark: SparkSession, stream: DataFrame, encode, key: str = "doc_id") -> DataFrame:
-    """Arrivals written batch by batch, then encoded as versions with the batch code."""
+    """Arrivals written batch by batch, then encoded as versions with the batch code; a batch that is run again replaces its own rows."""
     at = folder(spark)
 
     def land(rows: DataFrame, n: int) -> None:
-        rows.withColumn("batch", F.lit(n)).write.mode("append").parquet(f"{at}/landed")
+        rows.write.mode("overwrite").parquet(f"{at}/landed/batch={n}")
 
     stream.writeStream.foreachBatch(land).option("checkpointLocation", f"{at}/state").trigger(availableNow=True).start().awaitTermination()
     return encode(spark.read.parquet(f"{at}/landed").drop("batch"))
 
 
+def unit_counters(spark: SparkSession, stream: DataFrame) -> DataFrame:
+    """access_n, pos_n and neg_n by unit from a stream of (unit_id, action): partial counts of each batch, merged when read.
+
+    A batch writes its own partial counts and replaces them if it is run again, so nothing is counted twice.
+    """
+    at = folder(spark)
+    n = lambda a: F.count_if(F.col("action") == a)
+
+    def merge(rows: DataFrame, k: int) -> None:
+        rows.groupBy("unit_id").agg(n("access").alias("access_n"), n("accept").alias("pos_n"), n("correct").alias("neg_n")).write.mode("overwrite").parquet(f"{at}/counts/batch={k}")
+
+    stream.writeStream.foreachBatch(merge).option("checkpointLocation", f"{at}/state").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.parquet(f"{at}/counts").groupBy("unit_id").agg(*(F.sum(c).alias(c) for c in ("access_n", "pos_n", "neg_n")))
+
+
 class Dormancy:
     """Keeps each user's last access and reports when the trust that it carries has decayed to the threshold.
 
@@ -138,6 +150,3 @@ def dormancy(s: DataFrame, base: float = 0.6, threshold: float = 0.15, half_life
     d = Dormancy(base, threshold, half_life)
     return s.select("user_id", "ts").groupBy("user_id").transformWithStateInPandas(d.processor(), Dormancy.schema, "Append", "eventtime")
 
-
-def crossing_days(base: float, threshold: float, half_life: float):
-    return S.floor_crossing(F.lit(half_life), threshold / base)
