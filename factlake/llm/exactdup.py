@@ -42,7 +42,8 @@ from .suffixes import suffix_array
 HALF = (WIDTH - GRAM) // 2
 LONG = 96  # bytes of a symbol
 NEED = WIDTH - LONG + 1  # symbols of a window
-PART_BYTES, FLUSH, GROUP, BROADCAST = 8_000_000, 300_000, 4096, 5_000_000
+PART_BYTES, FLUSH, GROUP, BROADCAST = 8_000_000, 300_000, 4096, 1_000_000
+AT_ONCE = 100_000  # symbols of whole groups whose suffix array is built at a time
 RUN = np.dtype([("h", "<u8"), ("ctx", "<u4"), ("ctx2", "<u2"), ("left", "<u2"), ("right", "<u2"), ("doc", "<i8"), ("tag", "<i8"), ("at", "<i4"), ("slice", "<i4"), ("first", "u1"), ("last", "u1")])
 ASK = np.dtype([("h", "<u8"), ("slice", "<i4"), ("lo", "<i4"), ("hi", "<i4"), ("salts", "<i4")])
 SYMBOL = np.dtype([("h", "<u8"), ("w", "<u8"), ("doc", "<i8"), ("tag", "<i8"), ("at", "<i8"), ("start", "u1")])
@@ -268,6 +269,17 @@ def repeated_starts(text: np.ndarray, need: int) -> tuple[np.ndarray, np.ndarray
 
 def _solve_windows(rows: np.ndarray) -> Iterator[tuple]:
     """Windows that also start earlier, by intervals of the suffix array of the groups' symbols (kind 1)."""
+    rows = rows[np.argsort(rows["h"], kind="stable")]
+    cut = np.append(_changes(rows["h"]), len(rows))
+    lo = 0
+    for hi in cut[1:].tolist():
+        if hi - lo >= AT_ONCE or hi == len(rows):
+            yield from _solve_groups(rows[lo:hi])
+            lo = hi
+
+
+def _solve_groups(rows: np.ndarray) -> Iterator[tuple]:
+    """The same of the symbols of whole groups."""
     order = np.lexsort((rows["at"], rows["doc"], rows["tag"], rows["h"]))
     rows = rows[order]
     # one row a place: it is a start if any window asked for starts there
