@@ -15,13 +15,27 @@ LEGAL = [
 ]
 
 
-def chunk(docs: DataFrame, size: int = 1000, mode: str = "chars") -> DataFrame:
-    """doc_id, chunk_no, span_start, span_end, body: half-open character ranges that cover the text."""
-    if mode == "chars":
-        n = F.greatest(F.ceil(F.length("text") / size), F.lit(1)).cast("int")
-        rows = docs.select("doc_id", "text", F.explode(F.sequence(F.lit(0), n - 1)).alias("chunk_no"))
-        body = F.substring("text", F.col("chunk_no") * size + 1, F.lit(size))
-        return rows.select("doc_id", F.col("chunk_no").cast("long").alias("chunk_no"), (F.col("chunk_no") * size).cast("long").alias("span_start"), (F.col("chunk_no") * size + F.length(body)).cast("long").alias("span_end"), body.alias("body"))
+def chunk(docs: DataFrame, size: int = 1000, mode: str = "chars", overlap: int = 0) -> DataFrame:
+    """doc_id, chunk_no, span_start, span_end, body: half-open character ranges that cover the text.
+
+    ``size`` and ``overlap`` count characters, or words (pieces between single blanks) in mode "words"; a chunk
+    begins ``overlap`` before the end of the one before it. Mode "lines" makes every line a chunk.
+    """
+    if not 0 <= overlap < size:
+        raise ValueError("overlap must be less than size")
+    step = size - overlap
+    if mode in ("chars", "words"):
+        docs = docs.select("doc_id", "text", *([F.split("text", " ").alias("w")] if mode == "words" else []))
+        length = F.size("w") if mode == "words" else F.length("text")
+        n = F.greatest(F.ceil((length - overlap) / step), F.lit(1)).cast("int")
+        rows = docs.select("*", F.explode(F.sequence(F.lit(0), n - 1)).alias("chunk_no"))
+        at = F.col("chunk_no") * step
+        if mode == "words":
+            body = F.array_join(F.slice("w", at + 1, F.lit(size)), " ")
+            start = F.length(F.array_join(F.slice("w", F.lit(1), at), " ")) + F.when(at > 0, 1).otherwise(0)
+        else:
+            body, start = F.substring("text", at + 1, F.lit(size)), at
+        return rows.select("doc_id", F.col("chunk_no").cast("long").alias("chunk_no"), start.cast("long").alias("span_start"), (start + F.length(body)).cast("long").alias("span_end"), body.alias("body"))
     if mode == "lines":
         rows = docs.select("doc_id", F.posexplode(F.split("text", "\n")).alias("chunk_no", "body"))
         w = Window.partitionBy("doc_id").orderBy("chunk_no")

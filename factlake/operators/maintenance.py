@@ -28,6 +28,15 @@ def exponential(hop: Column, strength: float = P.ripple) -> Column:
     return F.lit(strength) * F.pow(F.lit(0.5), hop)
 
 
+def constant(hop: Column, strength: float = P.ripple) -> Column:
+    return F.lit(strength) + hop * 0.0
+
+
+def by_table(strengths: list[float]) -> Callable[[Column], Column]:
+    """A kernel that reads a hop's strength from a table; none beyond its end."""
+    return lambda hop: F.coalesce(F.try_element_at(F.array(*map(F.lit, strengths)), (hop + 1).cast("int")), F.lit(0.0))
+
+
 def capped(edges: DataFrame, fan_out: int) -> DataFrame:
     """At most ``fan_out`` dependents of each unit, the first by id: a guard against hubs."""
     w = Window.partitionBy("dst").orderBy("src")
@@ -234,6 +243,13 @@ def as_lists(units: DataFrame, edges: DataFrame) -> DataFrame:
     return units.select("unit_id").join(out, "unit_id", "left").join(inn, "unit_id", "left").select("unit_id", F.coalesce("depends_on", empty).alias("depends_on"), F.coalesce("depended_by", empty).alias("depended_by"))
 
 
+def from_lists(lists: DataFrame, kind: str = "depends_on") -> DataFrame:
+    """Edge rows of the list view, each edge once however many lists hold it."""
+    out = lists.select(F.col("unit_id").alias("src"), F.explode("depends_on").alias("dst"))
+    inn = lists.select(F.explode("depended_by").alias("src"), F.col("unit_id").alias("dst")).select("src", "dst")
+    return out.unionAll(inn).distinct().withColumn("kind", F.lit(kind))
+
+
 def author_reliability(log: DataFrame, kappa: float = 10.0, prior: float = 0.5) -> DataFrame:
     """Share of accepted among each actor's accepted and corrected, shrunk to ``prior``."""
     good, bad = F.count_if(F.col("action") == "accept"), F.count_if(F.col("action") == "correct")

@@ -39,6 +39,12 @@ class Index:
         return Index(lexicon, hold("postings", _inverted(forward), "term"), forward)
 
 
+    def only(self, units: DataFrame) -> Index:
+        """The index of some units (unit_id), with the weights that terms have in all."""
+        own = units.select("unit_id")
+        return Index(self.lexicon, self.postings.join(own, "unit_id", "left_semi"), self.forward.join(own, "unit_id", "left_semi"))
+
+
 def _inverted(forward: DataFrame) -> DataFrame:
     return forward.select("unit_id", F.explode("terms").alias("term", "w")).select("term", "unit_id", "w")
 
@@ -162,7 +168,7 @@ def candidates_nested(queries: DataFrame, units: DataFrame, k: int = 8, dims: in
     return best(full.select("query_id", "unit_id", F.round(S.cosine(F.col("qv"), F.col("uv")), 9).alias("sim")), [F.desc("sim"), F.asc("unit_id")], k, "first_rank")
 
 
-def candidates_lsh(queries: DataFrame, units: DataFrame, k: int = 8, bands: int = 20, bits: int = 4, seed: int = 5, dim: int = 64) -> DataFrame:
+def candidates_lsh(queries: DataFrame, units: DataFrame, k: int = 8, bands: int = 28, bits: int = 4, seed: int = 5, dim: int = 64) -> DataFrame:
     """Approximate neighbours: sign bits of random projections in bands, equal bands joined, survivors exact."""
     planes = np.random.default_rng(seed).standard_normal((bands, bits, dim)).round(6)
 

@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from math import erf, pi, sqrt
+
+import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -84,8 +88,12 @@ def tune(scored: DataFrame, queries: DataFrame, step: float = 0.1, more: tuple =
 
     Queries are split by the parity of the number in their id; equal accuracies go to the earlier row. ``more`` vectors come after the grid.
     """
-    spark = scored.sparkSession
-    w = weight_rows(spark, [*grid(step), *more])
+    return tune_rows(scored, queries, [*grid(step), *more])
+
+
+def tune_rows(scored: DataFrame, queries: DataFrame, rows: list[tuple]) -> DataFrame:
+    """The same for any weight rows, numbered in their order."""
+    w = weight_rows(scored.sparkSession, rows)
     top = top_by_weights(scored, w).select("w_id", "query_id", (F.col("unit_id") == F.col("truth")).cast("double").alias("right"))
     half = F.when(F.pmod(F.regexp_extract("query_id", "([0-9]+)$", 1).cast("long"), F.lit(2)) == 0, "dev").otherwise("test")
     size = queries.groupBy(half.alias("half")).agg(F.count("*").alias("n"))
@@ -118,6 +126,33 @@ def tune_sequential(objective, steps: int = 20, start: Weights = RANKERS["m4"],
     return best, value
 
 
+def tune_bayes(objective: Callable[[list[tuple]], list[float]], trials: int = 24, batch: int = 4, step: float = 0.1, width: float = 0.3) -> tuple[tuple, float, int]:
+    """Best weights, their value and the number of vectors tried, by Bayesian search over the grid.
+
+    A Gaussian process over the vectors tried so far gives each grid point a mean and a deviation; the ``batch`` points
+    of the largest expected improvement are evaluated next. ``objective`` takes a list of vectors. Starts from the corners.
+    """
+    points = np.array(grid(step))
+    kernel = lambda a, b: np.exp(-((a[:, None] - b[None]) ** 2).sum(-1) / (2 * width**2))
+    tried = [int(np.abs(points - w).sum(1).argmin()) for w in (*np.eye(4), np.full(4, 0.25))]
+    values = list(objective([tuple(points[i]) for i in tried]))
+    while len(tried) < trials:
+        y = np.array(values)
+        x = points[tried]
+        gain = np.linalg.solve(kernel(x, x) + 1e-4 * np.eye(len(x)), np.c_[y - y.mean(), kernel(x, points)])
+        mean = y.mean() + kernel(points, x) @ gain[:, 0]
+        deviation = np.sqrt(np.maximum(1e-12, 1 - (kernel(points, x) * gain[:, 1:].T).sum(1))) * max(y.std(), 1e-6)
+        z = (mean - y.max()) / deviation
+        density = np.exp(-z * z / 2) / sqrt(2 * pi)
+        expected = deviation * (z * np.vectorize(lambda v: 0.5 * (1 + erf(v / sqrt(2))))(z) + density)
+        expected[tried] = -1
+        new = np.argsort(-expected, kind="stable")[: min(batch, trials - len(tried))].tolist()
+        values += objective([tuple(points[i]) for i in new])
+        tried += new
+    best = int(np.argmax(values))
+    return tuple(float(v) for v in points[tried[best]]), values[best], len(tried)
+
+
 def ranking_quality(ranked: DataFrame, queries: DataFrame, k: int) -> DataFrame:
     """Recall at k, mean reciprocal rank and nDCG of single-truth queries."""
     hit = ranked.join(queries.select("query_id", "truth"), "query_id").filter((F.col("unit_id") == F.col("truth")) & (F.col("rank") <= k)).select("query_id", "rank")

@@ -133,12 +133,6 @@ LOG = "elog AS (SELECT event_id, (user_id * 100 + CAST(json_extract_string(props
 COUNTS = "SELECT unit_id, count(CASE WHEN action = 'access' THEN 1 END) AS access_n, count(CASE WHEN action = 'accept' THEN 1 END) AS pos_n, count(CASE WHEN action = 'correct' THEN 1 END) AS neg_n FROM elog"
 
 
-@query("sig_asof_trust", f"WITH {LOG}, c AS ({COUNTS} WHERE ts <= TIMESTAMP '2024-01-15' GROUP BY unit_id) SELECT unit_id, round(least(1.0, least(1.0, greatest(0.01, 0.6 + 0.03 * pos_n - 0.08 * neg_n)) + 0.01 * ln(1.0 + access_n)), 6) AS trust FROM c")
-def sig_asof_trust(spark, d):
-    c = L.counters(G.document_log(spark, d), G.at("2024-01-15"))
-    return c.select("unit_id", r6(S.after_access(S.after_feedback(F.lit(0.6), F.col("pos_n"), F.col("neg_n")), F.col("access_n")), "trust"))
-
-
 TREE = "tree AS (SELECT 'N:' || n_nationkey AS src, 'R:' || n_regionkey AS dst FROM nation UNION ALL SELECT 'C:' || c_custkey, 'N:' || c_nationkey FROM customer UNION ALL SELECT 'S:' || s_suppkey, 'N:' || s_nationkey FROM supplier UNION ALL SELECT 'O:' || o_orderkey, 'C:' || o_custkey FROM orders)"
 
 
@@ -223,11 +217,6 @@ def cand_lsh_recall(spark, d):
     return exact.join(near, ["query_id", "unit_id"], "left").agg(F.count("*").alias("n"), r6(F.avg(F.coalesce("hit", F.lit(0)).cast("double")), "recall"))
 
 
-@query("rank_dense_self", f"SELECT count(*) AS n, round(avg(CASE WHEN first_rank <= 1 THEN 1.0 ELSE 0.0 END), 6) AS top FROM ({DENSE.format('')}) WHERE first_rank <= 8")
-def rank_dense_self(spark, d):
-    return R.candidates_dense(vectors(spark, d, True), vectors(spark, d), 8).agg(F.count("*").alias("n"), r6(F.avg((F.col("first_rank") <= 1).cast("double")), "top"))
-
-
 # ---- rankers
 
 TOP = " SELECT query_id, unit_id, rank, final FROM top"
@@ -283,14 +272,6 @@ def rank_hard_filter(spark, d):
     return top(R.hard_filter(orders(spark, d, 90.0)[2], Params(half_life=90.0)))
 
 
-@query("rank_all_units", f"WITH {B.order_units()}{B.QUERY_SET}, cand AS (SELECT query_id, unit_id, CAST(1.0 AS DOUBLE) AS sim FROM queries JOIN u USING (topic) WHERE kind = 'current'){B.scored(90.0)}{B.ranked(M4.as_tuple())}{TOP}")
-def rank_all_units(spark, d):
-    u = G.order_units(spark, d)
-    q = G.order_queries(u, ("current",))
-    cands = q.select("query_id", "topic").join(u.select("topic", "unit_id"), "topic").select("query_id", "unit_id", F.lit(1.0).alias("sim"))
-    return top(R.rank(R.with_signals(cands, u, q, Params(half_life=90.0)), M4))
-
-
 DORMANT = "CASE WHEN status = 'ACTIVE' AND least(1.0, greatest(0.01, prior_trust * pow(2.0, -{} / 365.0))) < 0.15 THEN 'DORMANT' ELSE status END".format(B.days("born_at", B.NOW))
 
 
@@ -513,12 +494,6 @@ def eval_candidate_recall(spark, d):
     return out[0].unionAll(out[1])
 
 
-@query("eval_calibration_labels", "SELECT bin, count(*) AS n, round(avg(quality), 6) AS good FROM (SELECT CAST(regexp_extract(source, '([0-9]+)$', 1) AS BIGINT) % 5 AS bin, CAST(quality AS DOUBLE) AS quality FROM documents JOIN labels USING (doc_id)) GROUP BY bin")
-def eval_calibration_labels(spark, d):
-    rows = G.table(spark, d, "documents").select("doc_id", "source").join(G.table(spark, d, "labels"), "doc_id")
-    return rows.groupBy(F.pmod(F.regexp_extract("source", "([0-9]+)$", 1).cast("long"), F.lit(5)).alias("bin")).agg(F.count("*").alias("n"), r6(F.avg(F.col("quality").cast("double")), "good"))
-
-
 @query("bench_passages", "SELECT item_id, doc_id FROM benchmark b JOIN documents d ON contains(d.text, b.text)")
 def bench_passages(spark, d):
     """Documents that hold a benchmark text verbatim: candidates by the text's rarest words, then the exact test."""

@@ -107,12 +107,6 @@ def op_lateral_topk(spark, d):
     return spark.sql("SELECT n_name, c_custkey FROM lat_nation, LATERAL (SELECT c_custkey FROM lat_customer WHERE c_nationkey = n_nationkey ORDER BY c_acctbal DESC, c_custkey LIMIT 3)")
 
 
-@query("op_subquery", "SELECT o_orderkey FROM orders a WHERE o_totalprice > (SELECT avg(o_totalprice) FROM orders b WHERE b.o_custkey = a.o_custkey) AND EXISTS (SELECT 1 FROM orders c WHERE c.o_custkey = a.o_custkey AND c.o_orderpriority = '5-LOW') AND o_orderstatus IN ('F', 'O')")
-def op_subquery(spark, d):
-    t(spark, d, "orders").createOrReplaceTempView("sub_orders")
-    return spark.sql("SELECT o_orderkey FROM sub_orders a WHERE o_totalprice > (SELECT avg(o_totalprice) FROM sub_orders b WHERE b.o_custkey = a.o_custkey) AND EXISTS (SELECT 1 FROM sub_orders c WHERE c.o_custkey = a.o_custkey AND c.o_orderpriority = '5-LOW') AND o_orderstatus IN ('F', 'O')")
-
-
 @query("op_agg_hash", ORD + " SELECT topic, count(*) AS n, count(DISTINCT source) AS sources, count(*) FILTER (WHERE is_rumour) AS rumours, bool_and(value > 1000) AS large FROM u GROUP BY topic")
 def op_agg_hash(spark, d):
     return G.order_units(spark, d).groupBy("topic").agg(F.count("*").alias("n"), F.countDistinct("source").alias("sources"), F.count_if("is_rumour").alias("rumours"), F.bool_and(F.col("value") > 1000).alias("large"))
@@ -362,15 +356,6 @@ def op_dialogue_queries(spark, d):
     return t(spark, d, "conversations").withColumn("next", F.lead("text").over(w)).filter("role = 'user'").select("conv_id", "turn", (F.coalesce("next", F.lit("")) != "").alias("answered"))
 
 
-@query("life_trust_curve", f"WITH {LOG}, days AS (SELECT CAST(unnest(range(1, 31)) AS BIGINT) AS n) SELECT n AS day, count(*) AS events, round(avg(least(1.0, greatest(0.01, 0.6 + CASE action WHEN 'accept' THEN 0.03 WHEN 'correct' THEN -0.08 ELSE 0 END))), 6) AS trust FROM elog JOIN days ON date_part('day', ts) <= n GROUP BY n")
-def life_trust_curve(spark, d):
-    days_ = spark.range(1, 31).withColumnRenamed("id", "day")
-    log = G.document_log(spark, d).select(F.dayofmonth("ts").alias("on"), "action")
-    v = S.after_feedback(F.lit(0.6), (F.col("action") == "accept").cast("int"), (F.col("action") == "correct").cast("int"))
-    by = log.withColumn("v", v).groupBy("on").agg(F.count("*").alias("n"), F.sum("v").alias("s"))
-    return days_.join(F.broadcast(by), F.col("on") <= F.col("day")).groupBy("day").agg(F.sum("n").alias("events"), r6(F.sum("s") / F.sum("n"), "trust"))
-
-
 @query("sink_partitioned")
 def sink_partitioned(spark, d):
     """Units written by status with dynamic overwrite, read back with partition pruning."""

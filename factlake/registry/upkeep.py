@@ -131,14 +131,6 @@ def life_asof_version(spark, d):
     return L.as_of(u, G.order_queries(u).filter("kind = 'time_point'"))
 
 
-@query("life_explain", ORD + " SELECT 'edge' AS source, 'replaces' AS what, CASE WHEN unit_id = 'O:1' THEN replaces ELSE unit_id END AS other FROM u WHERE (unit_id = 'O:1' AND replaces IS NOT NULL) OR replaces = 'O:1'")
-def life_explain(spark, d):
-    u = G.order_units(spark, d)
-    none = spark.createDataFrame([], "unit_id string, old_status string, new_status string, cause string")
-    log = spark.createDataFrame([], "unit_id string, action string")
-    return L.explain("O:1", none, L.lineage_edges(u), log)
-
-
 # ---- maintenance
 
 @query("maint_refresh", ORD + f" SELECT unit_id, round({TRUST}, 6) AS trust FROM u")
