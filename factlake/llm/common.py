@@ -2,58 +2,19 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-from collections.abc import Iterator
-
-import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from factlake.functions.texts import text_chunks
+from factlake.sources.scratch import materialize
 
-def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
-
-
-def scratch_root(spark: SparkSession) -> str:
-    """The shared folder of ``spark.checkpoint.dir``; in local mode, a folder of our own if that is unset."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if root:
-        return root
-    if not spark.conf.get("spark.master", "local").startswith("local"):
-        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
-    root = tempfile.mkdtemp(prefix="factlake-")
-    spark.conf.set("spark.checkpoint.dir", root)
-    return root
+__all__ = ["materialize", "residue", "table", "text_chunks"]
 
 
-def materialize(df: DataFrame, name: str, narrow: bool = False) -> DataFrame:
-    """Write ``df`` to the shared scratch folder and read it back: cuts lineage and survives lost executors.
-
-    ``narrow``: rows are short and few beside the texts, so a few files for every core will do.
-    """
-    spark = df.sparkSession
-    if narrow:
-        df = df.coalesce(4 * spark.sparkContext.defaultParallelism)
-    path = f"{scratch_root(spark)}/factlake/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
 def residue(column: str, modulus: int):
     """crc32 of the id written as text, modulo ``modulus``: a split that does not depend on the engine."""
     return F.crc32(F.col(column).cast("string")) % modulus
-
-
-def text_chunks(batches: Iterator[pa.RecordBatch], text_at: str = "text", most: int = 1_000_000) -> Iterator[tuple[pa.RecordBatch, list]]:
-    """Slices of Arrow batches of about ``most`` characters each, with their texts (null as ''): bounds a worker's memory."""
-    for batch in batches:
-        texts = batch.column(batch.schema.get_field_index(text_at)).to_pylist()
-        start = size = 0
-        for i, text in enumerate(texts):
-            size += len(text or "")
-            if size >= most:
-                yield batch.slice(start, i + 1 - start), [t or "" for t in texts[start : i + 1]]
-                start, size = i + 1, 0
-        if start < len(texts):
-            yield batch.slice(start), [t or "" for t in texts[start:]]

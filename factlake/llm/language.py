@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 
 from .common import text_chunks
 
-SLOTS, PLANE, SLICE = 64, 0x30000, 1_000_000
+SLOTS, PLANE, SLICE = 64, 0x110000, 1_000_000
 GRAMS = SLOTS**3
 MAX_LANGUAGES = 200  # bounds the table sent to workers: 1 MB a language
 _slots: list[np.ndarray] = []

@@ -11,7 +11,8 @@ is kept between passes.
 
 Default targets are the domains' expected token shares to the power ``temper``, scaled so that no
 domain shrinks. ``copies`` realises a rate: its whole part, and one more with the chance of the rest,
-decided by a hash of the id.
+decided by a hash of the id. Passes end when the gaps of all domains together are under ``tolerance`` of
+the targets; every row tells its domain's target and what was reached.
 
 Cases: without labelled rows all is one domain at its present weight; null and empty texts have no
 tokens and posterior equal to the prior; a domain named in the targets that no label has is ignored;
@@ -140,18 +141,20 @@ def fit_rates(rows: DataFrame, domains: list[str], targets: dict[str, float] | N
     return history, goal, reached
 
 
-def mix(docs: DataFrame, labels: DataFrame, targets: dict[str, float] | None = None, temper: float = 0.5, budget: float | None = None, least: float = 0.0, max_rows: int = 20_000, passes: int = 30, tolerance: float = 1e-6) -> DataFrame:
-    """doc_id, source, tokens, domain, posterior, rate and copies of every row."""
+def mix(docs: DataFrame, labels: DataFrame, targets: dict[str, float] | None = None, temper: float = 0.5, budget: float | None = None, least: float = 0.0, max_rows: int = 20_000, passes: int = 100, tolerance: float = 1e-3) -> DataFrame:
+    """doc_id, source, tokens, domain, posterior, rate and copies of every row, with its domain's target (goal) and
+    expected tokens at the rates (reached)."""
     known = materialize(training_rows(labels, max_rows), "mixing-known")
     lexica = lexicon(docs, known)
     names = [*BASE, *(f"hits{i}" for i in range(len(lexica)))]
     rows = materialize(features(docs, lexica), "mixing-features")
     domains, posterior = posteriors(rows, known, names)
     rows = materialize(rows.select("doc_id", "source", "tokens", posterior.alias("p")), "mixing-posteriors")
-    history, _, _ = fit_rates(rows, domains, targets, temper, budget, least, passes, tolerance)
+    history, goal, reached = fit_rates(rows, domains, targets, temper, budget, least, passes, tolerance)
     best = F.array_max("p")
     chance = F.pmod(F.xxhash64("doc_id"), F.lit(1_000_003)) / F.lit(1_000_003.0)
     rated = rows.withColumn("rate", _rate(history, least))
     copies = (F.floor("rate") + F.when(chance < F.col("rate") - F.floor("rate"), 1).otherwise(0)).cast("long")
-    name = F.element_at(F.array(*map(F.lit, domains)), F.array_position("p", best).cast("int"))
-    return rated.select("doc_id", "source", "tokens", name.alias("domain"), best.alias("posterior"), "rate", copies.alias("copies"))
+    of = lambda values: F.element_at(F.array(*map(F.lit, values)), F.array_position("p", best).cast("int"))
+    told = [of([float(x) for x in v]).alias(n) for n, v in (("goal", goal), ("reached", reached))]
+    return rated.select("doc_id", "source", "tokens", of(domains).alias("domain"), best.alias("posterior"), "rate", copies.alias("copies"), *told)
