@@ -14,7 +14,7 @@ from factlake.llm import decontam, mixing, neardup, pii, toxicity
 from factlake.llm.common import materialize, table
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
-BROADCAST = 5_000_000
+BROADCAST = 1_000_000
 
 
 def _documents(docs: DataFrame) -> DataFrame:

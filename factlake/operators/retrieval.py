@@ -27,7 +27,7 @@ def terms(df: DataFrame, key: str, text: str) -> DataFrame:
 
 @dataclass
 class Index:
-    """lexicon (term, df, idf, common), postings (term, unit_id, w) and forward (unit_id, terms: term to w)."""
+    """lexicon (term, df, idf, common, top: the largest weight), postings (term, unit_id, w) and forward (unit_id, terms: term to w)."""
 
     lexicon: DataFrame
     postings: DataFrame
@@ -35,8 +35,10 @@ class Index:
 
     def keep(self, hold: Callable[[str, DataFrame, str], DataFrame]) -> Index:
         """The same index with every table stored by ``hold`` (name, table, column to join on)."""
-        lexicon, forward = hold("lexicon", self.lexicon, "term"), hold("forward", self.forward, "unit_id")
-        return Index(lexicon, hold("postings", _inverted(forward), "term"), forward)
+        forward = hold("forward", self.forward, "unit_id")
+        post = hold("postings", _inverted(forward), "term")
+        lexicon = self.lexicon.drop("top").join(post.groupBy("term").agg(F.max("w").alias("top")), "term")
+        return Index(hold("lexicon", lexicon, "term"), post, forward)
 
 
     def only(self, units: DataFrame) -> Index:
@@ -58,15 +60,16 @@ def index(units: DataFrame, text: str = "body") -> Index:
     raw = tf.join(lexicon.select("term", "idf"), "term").withColumn("x", F.col("tf") * F.col("idf"))
     held = raw.groupBy("unit_id").agg(F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("norm"), F.collect_list(F.struct("term", "x")).alias("t"))
     forward = held.select("unit_id", F.map_from_entries(F.transform("t", lambda e: F.struct(e["term"], e["x"] / F.col("norm")))).alias("terms"))
-    return Index(lexicon, _inverted(forward), forward)
+    post = _inverted(forward)
+    return Index(lexicon.join(post.groupBy("term").agg(F.max("w").alias("top")), "term"), post, forward)
 
 
 def _asked(queries: DataFrame, index: Index, text: str) -> tuple[DataFrame, DataFrame]:
     """(query_id, tid) and, for every distinct text, tid, norm and its terms (term, x, common)."""
     q = queries.select("query_id", F.col(text).alias("text"), F.md5(F.coalesce(F.col(text), F.lit(""))).alias("tid"))
     t = terms(q.select("tid", "text").dropDuplicates(["tid"]), "tid", "text").join(index.lexicon, "term")
-    t = t.select("tid", "term", (F.col("tf") * F.col("idf")).alias("x"), "common")
-    return q.select("query_id", "tid"), t.groupBy("tid").agg(F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("norm"), F.array_sort(F.collect_list(F.struct("term", "x", "common"))).alias("t"))
+    t = t.select("tid", "term", (F.col("tf") * F.col("idf")).alias("x"), "common", "df", "top")
+    return q.select("query_id", "tid"), t.groupBy("tid").agg(F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("norm"), F.array_sort(F.collect_list(F.struct("term", "x", "common", "df", "top"))).alias("t"))
 
 
 def candidates_all(queries: DataFrame, index: Index, k: int = 8, text: str = "text") -> DataFrame:
@@ -81,38 +84,41 @@ def candidates(queries: DataFrame, index: Index, k: int = 8, text: str = "text")
     """The same result without the postings of common terms for every text.
 
     Equal texts are asked once. A text's rare terms bring in units, which are scored in full from the
-    forward table. A unit without any of them scores by the common terms alone, and texts with the
-    same common terms order such units alike: for each set of common terms, one list of its best units
-    serves all its texts. A text needs the list only if its k-th best so far does not beat the list's
-    first; the list is deep enough if at most DEEP units came in by rare terms. What remains (many
+    forward table. A unit without any of them scores by the common terms alone, which the terms' largest
+    weights bound; a text whose k-th best beats that bound is done. Else, as texts with the same common
+    terms order such units alike, one list of the best units for each set of common terms serves all its
+    texts; it is deep enough if at most DEEP units can have come in by rare terms. What remains (many
     rare-term units, and yet none good enough) goes by every posting.
     """
     ids, asked = _asked(queries, index, text)
     common = F.filter("t", lambda e: e["common"])
-    asked = asked.withColumn("gid", F.when(F.size(common) > 0, F.md5(F.to_json(F.transform(common, lambda e: F.struct(e["term"], e["x"]))))))
+    rare = F.filter("t", lambda e: ~e["common"])
+    total = lambda c, f: F.aggregate(c, F.lit(0.0), lambda s, e: s + f(e))
+    asked = asked.select(
+        "tid", "norm", "t", F.when(F.size(common) > 0, F.md5(F.to_json(F.transform(common, lambda e: F.struct(e["term"], e["x"]))))).alias("gid"),
+        total(common, lambda e: e["x"] * e["top"]).alias("bound"), total(rare, lambda e: e["df"].cast("double")).alias("may_come"),
+    )
     asked = materialize(asked, "asked", narrow=True)
-    rare = asked.select("tid", F.explode(F.filter("t", lambda e: ~e["common"])).alias("e")).select("tid", "e.term")
-    pairs = rare.join(index.postings.select("term", "unit_id"), "term").select("tid", "unit_id").distinct()
-    dot = F.aggregate("t", F.lit(0.0), lambda s, e: s + e["x"] / F.col("norm") * F.coalesce(F.col("terms")[e["term"]], F.lit(0.0)))
+    pairs = asked.select("tid", F.explode(rare).alias("e")).select("tid", "e.term").join(index.postings.select("term", "unit_id"), "term").select("tid", "unit_id").distinct()
+    dot = total("t", lambda e: e["x"] / F.col("norm") * F.coalesce(F.col("terms")[e["term"]], F.lit(0.0)))
     near = pairs.join(index.forward, "unit_id").join(asked.select("tid", "norm", "t"), "tid").select("tid", "unit_id", F.round(dot, 9).alias("sim"))
-    near = materialize(near, "rare-candidates", narrow=True)
+    near = materialize(best(near, [F.desc("sim"), F.asc("unit_id")], k, "first_rank", "tid"), "rare-candidates", narrow=True)
+    kth = near.groupBy("tid").agg(F.when(F.count("*") >= k, F.min("sim")).alias("kth"))
+    enough = F.col("gid").isNull() | F.coalesce(F.col("kth") > F.round(F.col("bound") / F.col("norm"), 9) + 1e-9, F.lit(False))
+    more = asked.join(kth, "tid", "left").filter(~enough).select("tid", "norm", "gid", "t", (F.col("may_come") <= DEEP).alias("deep"))
+    more = materialize(more, "asked-more", narrow=True)
+    if not more.limit(1).count():
+        return ids.join(near, "tid").drop("tid")
     # one list for each set of common terms
-    groups = asked.filter("gid IS NOT NULL").select("gid", common.alias("t")).dropDuplicates(["gid"])
+    groups = more.filter("deep").select("gid", common.alias("t")).dropDuplicates(["gid"])
     by = groups.select("gid", F.explode("t").alias("e")).select("gid", "e.term", "e.x").join(index.postings, "term")
     lists = best(by.groupBy("gid", "unit_id").agg(F.sum(F.col("x") * F.col("w")).alias("dot")), [F.desc(F.round("dot", 10)), F.asc("unit_id")], k + DEEP, "nth", "gid")
-    lists = materialize(lists, "common-lists", narrow=True)
-    top = best(near, [F.desc("sim"), F.asc("unit_id")], k, "r", "tid").groupBy("tid").agg(F.when(F.count("*") >= k, F.min("sim")).alias("kth"))
-    state = asked.select("tid", "norm", "gid").join(near.groupBy("tid").agg(F.count("*").alias("came")), "tid", "left").join(top, "tid", "left")
-    state = state.join(lists.filter("nth = 1").select("gid", F.col("dot").alias("first")), "gid", "left")
-    enough = F.col("gid").isNull() | F.coalesce(F.col("kth") > F.round(F.col("first") / F.col("norm"), 9) + 1e-9, F.lit(False))
-    state = materialize(state.select("tid", "norm", "gid", enough.alias("enough"), (F.coalesce("came", F.lit(0)) <= DEEP).alias("deep")), "asked-state", narrow=True)
-    listed = state.filter("NOT enough AND deep").join(lists, "gid").select("tid", "unit_id", F.round(F.col("dot") / F.col("norm"), 9).alias("sim"))
-    found = near.unionAll(listed.join(near.select("tid", "unit_id"), ["tid", "unit_id"], "left_anti"))
-    rest = state.filter("NOT enough AND NOT deep").select("tid")
-    if rest.limit(1).count():
-        each = asked.join(rest, "tid").select("tid", "norm", F.explode("t").alias("e")).select("tid", "norm", "e.term", "e.x")
-        full = each.join(index.postings, "term").groupBy("tid", "unit_id").agg(F.round(F.sum(F.col("x") / F.col("norm") * F.col("w")), 9).alias("sim"))
-        found = found.join(rest, "tid", "left_anti").unionAll(full.select("tid", "unit_id", "sim"))
+    listed = more.filter("deep").select("tid", "norm", "gid").join(lists, "gid").select("tid", "unit_id", F.round(F.col("dot") / F.col("norm"), 9).alias("sim"))
+    # a unit that rare terms brought in and that is not among the best has no place by its common terms either
+    listed = listed.join(near.select("tid", "unit_id"), ["tid", "unit_id"], "left_anti")
+    each = more.filter("NOT deep").select("tid", "norm", F.explode("t").alias("e")).select("tid", "norm", "e.term", "e.x")
+    full = each.join(index.postings, "term").groupBy("tid", "unit_id").agg(F.round(F.sum(F.col("x") / F.col("norm") * F.col("w")), 9).alias("sim"))
+    found = near.drop("first_rank").join(more.filter("NOT deep").select("tid"), "tid", "left_anti").unionByName(listed).unionByName(full)
     return ids.join(best(found, [F.desc("sim"), F.asc("unit_id")], k, "first_rank", "tid"), "tid").drop("tid")
 
 
