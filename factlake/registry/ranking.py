@@ -463,8 +463,8 @@ def seeds_sql() -> str:
     out = []
     for seed in SEEDS:
         for n in ("m1", "m2", "m3", "m4"):
-            out.append(f"SELECT * FROM ({B.policies(seed=seed)}{B.ranked(RANKERS[n].as_tuple())}{B.judged(E.conf_column(n))} SELECT '{n}' AS ranker, s.* FROM ({B.summary()}) s)")
-    return f"SELECT ranker, count(*) AS seeds, round(avg(overall), 6) AS overall, round(stddev_samp(overall), 6) AS spread, round(avg(stale), 6) AS stale FROM ({' UNION ALL '.join(out)}) GROUP BY ranker"
+            out.append(f"SELECT * FROM ({B.policies(seed=seed)}{B.ranked(RANKERS[n].as_tuple())}{B.judged(E.conf_column(n))} SELECT '{n}' AS ranker, s.*, e.ece FROM ({B.summary()}) s, ({B.ECE}) e)")
+    return f"SELECT ranker, count(*) AS seeds, round(avg(overall), 6) AS overall, round(stddev_samp(overall), 6) AS spread, round(avg(stale), 6) AS stale, round(avg(ece), 6) AS ece FROM ({' UNION ALL '.join(out)}) GROUP BY ranker"
 
 
 @query("eval_seeds", seeds_sql())
@@ -475,7 +475,7 @@ def eval_seeds(spark, d):
         _, queries, sc = policies(spark, seed=seed)
         out.append(E.compare(sc, queries, {n: (RANKERS[n], E.conf_column(n)) for n in ("m1", "m2", "m3", "m4")}, "ranker"))
     rows = reduce(lambda a, b: a.unionByName(b), out)
-    return rows.groupBy("ranker").agg(F.count("*").alias("seeds"), r6(F.avg("overall"), "overall"), r6(F.stddev_samp("overall"), "spread"), r6(F.avg("stale"), "stale"))
+    return rows.groupBy("ranker").agg(F.count("*").alias("seeds"), r6(F.avg("overall"), "overall"), r6(F.stddev_samp("overall"), "spread"), r6(F.avg("stale"), "stale"), r6(F.avg("ece"), "ece"))
 
 
 @query("eval_ranking", B.orders(90.0) + B.ranked(M4.as_tuple(), 5) + ', hit AS (SELECT query_id, rank FROM top WHERE unit_id = truth), k AS (SELECT q.query_id, rank FROM queries q LEFT JOIN hit USING (query_id)) SELECT count(*) AS n, round(avg(CASE WHEN rank IS NULL THEN 0.0 ELSE 1.0 END), 6) AS recall, round(avg(coalesce(1.0 / rank, 0.0)), 6) AS mrr, round(avg(coalesce(1.0 / log2(rank + 1.0), 0.0)), 6) AS ndcg FROM k')
