@@ -299,7 +299,8 @@ def extract(pages: DataFrame) -> DataFrame:
     found = materialize(differences(rows), "page-differences", narrow=True)
     known = materialize(templates(found), "page-templates", narrow=True)
     # what is told of a page: a host's templates also speak against pages that are copies of their neighbours
-    told = rows.select("row", _host().alias("host")).join(known, "host").select("row", "template")
+    held = F.array_intersect("template", F.array_union("hashes", "boxes"))  # of a host's templates, what the page has
+    told = rows.select("row", _host().alias("host"), "hashes", "boxes").join(known, "host").select("row", held.alias("template")).filter(F.size("template") > 0)
     told = told.join(found.filter(F.size("shared") > 0).select("row", "shared"), "row", "full") if known.limit(1).count() else found.filter(F.size("shared") > 0).select("row", F.lit(None).cast("array<long>").alias("template"), "shared")
     kept = rows.join(materialize(told, "page-told", narrow=True), "row", "left")
     rooted = F.exists("marks", lambda m: m == 2)

@@ -136,7 +136,8 @@ def confident(occ: DataFrame, texts: DataFrame, rounds: int, support: int, confi
     # a pattern without seeds of its own takes the kind of its instances' other patterns
     most = lambda: F.greatest(*SEEDS)
     kindless = patterns.filter("seeds = 0").select("pattern")
-    lent = edges.select("pattern", "value").join(kindless, "pattern").join(edges.select(F.col("pattern").alias("via"), "value"), "value").join(patterns.select(F.col("pattern").alias("via"), *SEEDS), "via")
+    lends = edges.select("pattern", "value").join(patterns.select("pattern", *SEEDS), "pattern").groupBy("value").agg(*(F.sum(k).alias(k) for k in SEEDS))
+    lent = edges.select("pattern", "value").join(kindless, "pattern").join(lends, "value")
     lent = lent.groupBy("pattern").agg(*(F.sum(k).alias(k) for k in SEEDS)) if kindless.limit(1).count() else None
     kind = F.coalesce(*(F.when((F.col(k) == most()) & (F.col(k) > 0), F.lit(k)) for k in SEEDS))
     # only patterns that have something left to find go on
