@@ -32,10 +32,11 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from factlake.functions.texts import WordCodes, ascii_words, bucket_counts, overlap, shingle_set
+
 from .common import materialize, text_chunks
-from .shingles import WordCodes, ascii_words, overlap, shingle_set
 
-GROUPS, BUCKETS, BROADCAST, OPEN = 16, 1 << 18, 1_000_000, 1024
+GROUPS, BUCKETS, BROADCAST, OPEN = 16, 1 << 16, 1_000_000, 1024
 
 
 def _hashes(seed: int) -> tuple[np.ndarray, np.ndarray]:
@@ -165,17 +166,7 @@ def _pairs_in_tables(rows: DataFrame, percent: int) -> DataFrame:
 def _prefixes(sets: DataFrame, percent: int) -> DataFrame:
     """token, rep, size, pos: each set's shingles that can be its first shared one, in the global order."""
 
-    def count(batches):
-        total = np.zeros(BUCKETS, np.int64)
-        for batch in batches:
-            for m in batch.column(0):
-                np.add.at(total, (np.frombuffer(m.as_buffer(), np.uint64) & np.uint64(BUCKETS - 1)).astype(np.int64), 1)
-        hit = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(hit, pa.int64()), pa.array(total[hit], pa.int64())], ["bucket", "n"])
-
-    rows = sets.select("members").mapInArrow(count, "bucket long, n long").groupBy("bucket").agg(F.sum("n").alias("n")).toArrow()  # at most BUCKETS rows
-    often = np.zeros(BUCKETS, np.int64)
-    often[rows.column("bucket").to_numpy()] = rows.column("n").to_numpy()
+    often = bucket_counts(sets, BUCKETS)
     shared = sets.sparkSession.sparkContext.broadcast(often)
 
     def run(batches):
