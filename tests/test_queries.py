@@ -94,6 +94,19 @@ def test_split_candidates_are_those_of_all_postings(spark):
             R.RARE, R.DEEP = was
 
 
+@pytest.mark.parametrize("scale", ["0.001", "0.01"])
+def test_lsh_recall(spark, scale):
+    assert base.QUERIES["cand_lsh_recall"](spark, f"/root/testdata/sf{scale}").first()["recall"] >= 0.9
+
+
+def test_bayesian_search_needs_few_trials():
+    from factlake.plans import evaluation as E
+
+    goal = (0.5, 0.2, 0.0, 0.3)
+    w, value, tried = E.tune_bayes(lambda ws: [-sum((a - b) ** 2 for a, b in zip(x, goal, strict=True)) for x in ws])
+    assert value >= -0.021 and tried == 24, w
+
+
 def test_the_rest_does_not_need_the_corpus_operators(tmp_path):
     """Without the folders of the corpus operators everything else imports and registers its queries."""
     import shutil
