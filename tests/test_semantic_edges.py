@@ -35,5 +35,15 @@ def test_large_groups_are_whole(spark):
     assert len(got) == len(want) and {(r["src"], r["dst"]): r["jaccard"] for r in got} == want
     near = M.semantic_edges(df, most=0.95).collect()
     assert {(r["src"], r["dst"]) for r in near} == {k for k, x in want.items() if x <= 0.95}
-    family = {i: min([i, *(b if a == i else a for a, b in want if i in (a, b))]) for k in want for i in k}
+    family = {i: i for k in want for i in k}  # components: the least id that is reached
+
+    def root(i):
+        while family[i] != i:
+            i = family[i]
+        return i
+
+    for a, b in want:
+        a, b = root(a), root(b)
+        family[max(a, b)] = min(a, b)
+    family = {i: root(i) for i in family}
     assert {r["doc_id"]: r["family"] for r in M.semantic_families(df).collect()} == family
