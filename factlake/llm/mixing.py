@@ -141,7 +141,7 @@ def fit_rates(rows: DataFrame, domains: list[str], targets: dict[str, float] | N
     return history, goal, reached
 
 
-def mix(docs: DataFrame, labels: DataFrame, targets: dict[str, float] | None = None, temper: float = 0.5, budget: float | None = None, least: float = 0.0, max_rows: int = 20_000, passes: int = 100, tolerance: float = 1e-3) -> DataFrame:
+def mix(docs: DataFrame, labels: DataFrame, targets: dict[str, float] | None = None, temper: float = 0.5, budget: float | None = None, least: float = 0.0, max_rows: int = 20_000, passes: int = 60, tolerance: float = 1e-3) -> DataFrame:
     """doc_id, source, tokens, domain, posterior, rate and copies of every row, with its domain's target (goal) and
     expected tokens at the rates (reached)."""
     known = materialize(training_rows(labels, max_rows), "mixing-known")
