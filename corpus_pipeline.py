@@ -50,7 +50,7 @@ def mask_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Adds tokens, domain, posterior, rate and copies; no document's rate is under one, so all stay."""
-    rates = mixing.mix(docs, table(spark, sf_dir, "labels"), least=1.0)
+    rates = mixing.mix(docs, table(spark, sf_dir, "labels"), least=1.0, passes=30)
     few = rates.drop("source").dropDuplicates(["doc_id"])
     return _documents(docs).join(few, "doc_id", "left")
 
