@@ -9,7 +9,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-_kept: dict[tuple[str, str], Callable[[], DataFrame]] = {}
+_kept: dict[tuple[str, str], tuple[str, Callable[[], DataFrame]]] = {}
 
 
 def scratch_root(spark: SparkSession) -> str:
@@ -53,21 +53,27 @@ def stamp(spark: SparkSession, sf_dir: str, *tables: str) -> str:
     return ";".join(out)
 
 
+def _exists(spark: SparkSession, path: str) -> bool:
+    """Whether a kept table is still there; scratch folders may be cleared between jobs."""
+    p = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return p.getFileSystem(spark._jsc.hadoopConfiguration()).exists(p)
+
+
 def kept(spark: SparkSession, key: str, build: Callable[[], DataFrame], bucket: str | None = None) -> DataFrame:
     """The table of ``key``: built by the first call in a session, read by the others.
 
     ``bucket``: rows are stored in buckets of this column, so that joins on it need not move them.
     """
     own = (spark.sparkContext.applicationId, key)
-    if own not in _kept:
+    if own not in _kept or not _exists(spark, _kept[own][0]):
         df, path = build(), folder(spark, "kept")
         if bucket:
             n = int(spark.conf.get("spark.sql.shuffle.partitions"))
             name = f"factlake_{hashlib.md5(path.encode()).hexdigest()}"
             df.repartition(n, bucket).write.bucketBy(n, bucket).sortBy(bucket).option("path", path).saveAsTable(name)
-            _kept[own] = lambda: spark.table(name)
+            _kept[own] = path, lambda: spark.table(name)
         else:
             df.write.parquet(path)
             schema = df.schema
-            _kept[own] = lambda: spark.read.schema(schema).parquet(path)
-    return _kept[own]()
+            _kept[own] = path, lambda: spark.read.schema(schema).parquet(path)
+    return _kept[own][1]()
