@@ -52,11 +52,11 @@ def _inverted(forward: DataFrame) -> DataFrame:
 
 
 def index(units: DataFrame, text: str = "body") -> Index:
-    """Tf-idf weights over the units' norms, of every term. Terms in more than RARE units or four times the root of their number are marked common."""
+    """Tf-idf weights over the units' norms, of every term. Terms in more than RARE units or eight times the root of their number are marked common."""
     tf = terms(units, "unit_id", text)
     n = units.agg(F.count("*").alias("n"))
     df = tf.groupBy("term").agg(F.count("*").alias("df")).crossJoin(F.broadcast(n))
-    lexicon = df.select("term", "df", (F.log((1.0 + F.col("n")) / (1.0 + F.col("df"))) + 1.0).alias("idf"), (F.col("df") > F.greatest(F.lit(float(RARE)), 4 * F.sqrt("n"))).alias("common"))
+    lexicon = df.select("term", "df", (F.log((1.0 + F.col("n")) / (1.0 + F.col("df"))) + 1.0).alias("idf"), (F.col("df") > F.greatest(F.lit(float(RARE)), 8 * F.sqrt("n"))).alias("common"))
     raw = tf.join(lexicon.select("term", "idf"), "term").withColumn("x", F.col("tf") * F.col("idf"))
     held = raw.groupBy("unit_id").agg(F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("norm"), F.collect_list(F.struct("term", "x")).alias("t"))
     forward = held.select("unit_id", F.map_from_entries(F.transform("t", lambda e: F.struct(e["term"], e["x"] / F.col("norm")))).alias("terms"))
