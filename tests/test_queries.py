@@ -94,6 +94,19 @@ def test_split_candidates_are_those_of_all_postings(spark):
             R.RARE, R.DEEP = was
 
 
+def test_terms_of_middling_frequency_are_common(spark):
+    """A term of one unit in fifteen brings in no units for a single text; sets of common terms are settled by the units of their rarest, or by all postings."""
+    from factlake.operators import retrieval as R
+
+    units = spark.createDataFrame([(f"u{i}", f"acct{i // 5} seg{i % 3} nation{i % 15} v{i}" + " pad" * (i % 4)) for i in range(1500)], "unit_id string, body string")
+    index = R.index(units)
+    assert {r["term"] for r in index.lexicon.filter("common").collect()} >= {"seg0", "nation0", "seg0 nation0"}
+    asked = [f"acct{i} seg{i % 3} nation{i % 15}" for i in range(20)] + ["seg1 nation2", "seg0 nation0", "seg0", "nation3", "pad seg2 nation1"]
+    queries = spark.createDataFrame(list(enumerate(asked)), "query_id long, text string")
+    rows = lambda df: sorted((r["query_id"], r["first_rank"], r["unit_id"], round(r["sim"], 8)) for r in df.collect())
+    assert rows(R.candidates(queries, index, 8)) == rows(R.candidates_all(queries, index, 8))
+
+
 @pytest.mark.parametrize("scale", ["0.001", "0.01"])
 def test_lsh_recall(spark, scale):
     assert base.QUERIES["cand_lsh_recall"](spark, f"/root/testdata/sf{scale}").first()["recall"] >= 0.9
