@@ -11,13 +11,14 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from factlake.functions.texts import WordCodes, bucket_counts, overlap, shingle_set, text_chunks
+from factlake.functions.texts import WordCodes, overlap, shingle_set, text_chunks
 from factlake.operators import lifecycle as L
 from factlake.params import Params
 from factlake.sources.scratch import materialize
 
 P = Params()
 BUCKETS, BROADCAST, BLOCK = 1 << 16, 1_000_000, 1 << 25
+SEGMENTS, SLOTS, SENT = 256, 1 << 30, 1 << 23
 
 
 def harmonic(hop: Column, strength: float = P.ripple) -> Column:
@@ -100,60 +101,133 @@ def marked(units: DataFrame, pairs: DataFrame) -> DataFrame:
     return both.join(units.select("unit_id", "trust"), "unit_id").join(t, "other").groupBy("unit_id").agg(F.count("*").alias("conflicts"), F.bool_or(F.col("trust") < F.col("other_trust")).alias("loses"))
 
 
-def _shingled(docs: DataFrame, size: int) -> DataFrame:
-    """doc_id, n, set_hash and members: the distinct word shingles of every text with ``size`` words or more."""
+def _each(batches, size: int):
+    """(doc_id, its sorted distinct word shingles) of every text with ``size`` words or more, a list for each slice of a batch."""
+    codes = WordCodes()
+    for batch, texts in text_chunks(batches):
+        words = ((i, t.encode("utf-8", "surrogatepass").split()) for i, t in zip(batch.column(0).to_pylist(), texts, strict=True))
+        yield [(i, shingle_set(w, size, codes)) for i, w in words if len(w) >= size]
+
+
+def _mapped(docs: DataFrame, run: Callable, schema: str) -> DataFrame:
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.lower("text").alias("text")).mapInArrow(run, schema)
+
+
+def _set_hashes(docs: DataFrame, size: int) -> DataFrame:
+    """doc_id, n and set_hash of every set of shingles; the sets themselves are not kept but made again where they are needed."""
 
     def run(batches):
-        codes = WordCodes()
-        for batch, texts in text_chunks(batches):
-            ids, n, hashes, out = [], [], [], []
-            for i, t in zip(batch.column(0).to_pylist(), texts, strict=True):
-                w = t.encode("utf-8", "surrogatepass").split()
-                if len(w) >= size:
-                    s = shingle_set(w, size, codes).tobytes()
-                    ids.append(i), n.append(len(s) // 8), hashes.append(xxhash.xxh3_128_digest(s)), out.append(s)
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(n, pa.int64()), pa.array(hashes, pa.binary()), pa.array(out, pa.binary())], ["doc_id", "n", "set_hash", "members"])
+        for rows in _each(batches, size):
+            hashes = [xxhash.xxh3_128_digest(s.tobytes()) for _, s in rows]
+            yield pa.RecordBatch.from_arrays([pa.array([i for i, _ in rows], pa.int64()), pa.array([len(s) for _, s in rows], pa.int64()), pa.array(hashes, pa.binary())], ["doc_id", "n", "set_hash"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.lower("text").alias("text")).mapInArrow(run, "doc_id long, n long, set_hash binary, members binary")
+    return _mapped(docs, run, "doc_id long, n long, set_hash binary")
 
 
-def _prefixes(sets: DataFrame, low: float) -> DataFrame:
-    """token, rep, size, pos, index: the shingles of each set, rare ones first, one of which a partner must share.
+def _sets(docs: DataFrame, size: int) -> DataFrame:
+    """doc_id and members: the packed set."""
+
+    def run(batches):
+        for rows in _each(batches, size):
+            yield pa.RecordBatch.from_arrays([pa.array([i for i, _ in rows], pa.int64()), pa.array([s.tobytes() for _, s in rows], pa.binary())], ["doc_id", "members"])
+
+    return _mapped(docs, run, "doc_id long, members binary")
+
 
-    A partner of no more shingles shares one of its own first (``index``) with these.
+def _sketch(docs: DataFrame, size: int, slots: int) -> tuple[np.ndarray, np.ndarray]:
+    """A bit for each of ``slots`` low values of a shingle, set if several sets hold such a shingle (a clear bit: at most one does), and how often the set ones of each of BUCKETS ranges occur.
+
+    A task sends the sorted slots of its sets as differences, in segments that are added up apart.
     """
+    width, ranges = slots // SEGMENTS, BUCKETS // SEGMENTS
+
+    def send(found):
+        x = np.sort(np.concatenate(found))
+        ends = np.searchsorted(x, np.arange(1, SEGMENTS + 1, dtype=np.int64) * width)
+        out = []
+        for g, (i, j) in enumerate(zip(np.r_[0, ends[:-1]], ends, strict=True)):
+            step = np.diff(x[i:j].astype(np.int64) - g * width, prepend=0)
+            out.append(step.astype(np.uint32 if len(step) and step.max() > 65535 else np.uint16))
+        return pa.RecordBatch.from_arrays([pa.array(range(SEGMENTS), pa.int32()), pa.array([x.itemsize for x in out], pa.int32()), pa.array([x.tobytes() for x in out], pa.binary())], ["segment", "bytes", "steps"])
+
+    def run(batches):
+        found, n = [], 0
+        for rows in _each(batches, size):
+            found += [(s & np.uint64(slots - 1)).astype(np.uint32) for _, s in rows]
+            n += sum(len(s) for _, s in rows)
+            if n > SENT:
+                yield send(found)
+                found, n = [], 0
+        if found:
+            yield send(found)
+
+    def add(t: pa.Table) -> pa.Table:
+        total = np.zeros(width, np.int32)
+        for b, x in zip(t.column("bytes").to_pylist(), t.column("steps"), strict=True):
+            at, n = np.unique(np.cumsum(np.frombuffer(x.as_buffer(), np.uint32 if b == 4 else np.uint16), dtype=np.int64), return_counts=True)
+            total[at] += n.astype(np.int32)
+        total[total < 2] = 0
+        often = total.reshape(ranges, -1).sum(axis=1, dtype=np.int64)
+        return pa.table({"segment": t.column("segment").slice(0, 1), "bits": pa.array([np.packbits(total > 0, bitorder="little").tobytes()], pa.binary()), "often": pa.array([often.tobytes()], pa.binary())})
+
+    rows = _mapped(docs, run, "segment int, bytes int, steps binary").groupBy("segment").applyInArrow(add, "segment int, bits binary, often binary").toArrow()
+    bits, often = np.zeros((SEGMENTS, width // 8), np.uint8), np.zeros((SEGMENTS, ranges), np.int64)
+    for g, x, n in zip(rows.column("segment").to_pylist(), rows.column("bits"), rows.column("often"), strict=True):
+        bits[g], often[g] = np.frombuffer(x.as_buffer(), np.uint8), np.frombuffer(n.as_buffer(), np.int64)
+    return bits.ravel(), often.ravel()
+
+
+def _prefixes(docs: DataFrame, size: int, low: float, total: int) -> DataFrame:
+    """token, rep, size, pos, index: the shingles of each set, rare ones first, one of which a partner must share.
 
-    often = bucket_counts(sets, BUCKETS)
-    shared = sets.sparkSession.sparkContext.broadcast(often)
+    A partner of no more shingles shares one of its own first (``index``) with these. Shingles that the sketch
+    shows to be in one set only come first of all and take up their places, but can't be shared and are not sent.
+    """
+    slots = min(SLOTS, max(1 << 20, 1 << (3 * total).bit_length()))
+    shared = docs.sparkSession.sparkContext.broadcast(_sketch(docs, size, slots))
+    names = ["token", "rep", "size", "pos", "index"]
 
     def run(batches):
-        often = shared.value
-        for batch in batches:
-            for rep, m in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                s = np.frombuffer(m.as_buffer(), np.uint64)
+        bits, often = shared.value
+        for rows in _each(batches, size):
+            out = []
+            for rep, s in rows:
                 n = len(s)
                 k, first = n - ceil(low * n) + 1, n - ceil(2 * low / (1 + low) * n) + 1
-                order = np.lexsort((s, often[(s & np.uint64(BUCKETS - 1)).astype(np.int64)]))[:k]
-                at = np.arange(len(order), dtype=np.int32)
-                yield pa.RecordBatch.from_arrays([pa.array(s[order].view(np.int64)), pa.array(np.full(len(order), rep, np.int64)), pa.array(np.full(len(order), n, np.int32)), pa.array(at), pa.array(at < first)], ["token", "rep", "size", "pos", "index"])
+                slot = (s & np.uint64(slots - 1)).astype(np.int64)
+                held = (bits[slot >> 3] >> (slot & 7).astype(np.uint8)) & 1 > 0
+                alone = n - int(held.sum())
+                if alone >= k:
+                    continue
+                s, slot = s[held], slot[held]
+                order = np.lexsort((s, often[slot // (slots // BUCKETS)]))[: k - alone]
+                at = np.arange(alone, alone + len(order), dtype=np.int32)
+                out.append((s[order].view(np.int64), np.full(len(order), rep, np.int64), np.full(len(order), n, np.int32), at, at < first))
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*out, strict=True)], names)
+
+    return _mapped(docs, run, "token long, rep long, size int, pos int, index boolean")
+
 
-    return sets.select("doc_id", "members").mapInArrow(run, "token long, rep long, size int, pos int, index boolean")
+def _only(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """The rows of ``docs`` whose doc_id is among ``ids``, which are counted."""
+    return docs.join(F.broadcast(ids) if ids.count() <= BROADCAST else ids, "doc_id", "left_semi")
 
 
-def _shared_counts(pairs: DataFrame, sets: DataFrame) -> DataFrame:
-    """x, y, both, total: sizes of the intersection and the sum of every pair of sets.
+def _shared_counts(pairs: DataFrame, docs: DataFrame, sizes: DataFrame, size: int) -> DataFrame:
+    """x, y, both, total: sizes of the intersection and the sum of every pair of sets; ``sizes`` has doc_id and n.
 
     Sets are dealt to blocks and sent once to each pair of blocks that needs them, not once a pair.
     """
     reps = materialize(pairs.select(F.col("x").alias("doc_id")).unionAll(pairs.select("y")).distinct(), "edges-reps", narrow=True)
-    size = sets.join(F.broadcast(reps) if reps.count() <= BROADCAST else reps, "doc_id", "left_semi").agg(F.sum("n")).first()[0] or 0
-    k = max(3, ceil(8 * size / BLOCK))
+    held = _only(sizes, reps).agg(F.sum("n")).first()[0] or 0
+    k = max(3, ceil(8 * held / BLOCK))
     block = lambda c: F.pmod(F.xxhash64(c), F.lit(k))
     pairs = pairs.withColumns({"bx": block("x"), "by": block("y")})
     ends = F.explode(F.array("x", "y")).alias("doc_id")
     need = materialize(pairs.select(F.col("bx").alias("cx"), F.col("by").alias("cy"), ends).distinct().groupBy("doc_id").agg(F.collect_list(F.struct("cx", "cy")).alias("to")), "edges-need", narrow=True)
     few = need.count() * 2 * k <= BROADCAST
-    held = sets.select("doc_id", "members").join(F.broadcast(need) if few else need, "doc_id").select("doc_id", "members", F.explode("to").alias("to")).select("doc_id", "members", "to.*")
+    held = _sets(_only(docs, reps), size).join(F.broadcast(need) if few else need, "doc_id").select("doc_id", "members", F.explode("to").alias("to")).select("doc_id", "members", "to.*")
 
     def run(p, s):
         of = {i: np.frombuffer(m.as_buffer(), np.uint64) for i, m in zip(s.column("doc_id").to_pylist(), s.column("members"), strict=True)}
@@ -165,18 +239,19 @@ def _shared_counts(pairs: DataFrame, sets: DataFrame) -> DataFrame:
 
 
 def similar_classes(docs: DataFrame, tau: float = 0.5, size: int = 4) -> tuple[DataFrame, DataFrame]:
-    """(doc_id, rep): texts of equal shingle sets have the smallest doc_id among them as ``rep``; and (x, y, jaccard): reps x < y with Jaccard of at least ``tau``.
+    """(doc_id, rep, n): texts of equal shingle sets (of n shingles) have the smallest doc_id among them as ``rep``; and (x, y, jaccard): reps x < y with Jaccard of at least ``tau``.
 
     Every such pair has a shingle among the first of both sets in one global order, so none is lost,
-    however many texts hold a shingle.
+    however many texts hold a shingle. Texts are read four times, and only what may be shared is stored.
     """
     low = tau - 6e-7  # of what is rounded to six places
-    sig = materialize(_shingled(docs, size), "edges-shingles")
+    sig = materialize(_set_hashes(docs, size), "edges-hashes")
     classes = sig.groupBy("set_hash").agg(F.min("doc_id").alias("rep"))
-    members = materialize(sig.select("doc_id", "set_hash").join(classes, "set_hash").select("doc_id", "rep").distinct(), "edges-members", narrow=True)
-    reps = members.filter("doc_id = rep").select("doc_id")
-    sets = sig.join(F.broadcast(reps) if reps.count() <= BROADCAST else reps, "doc_id", "left_semi")
-    rows = _prefixes(sets, low).withColumn("df", F.count("*").over(Window.partitionBy("token")))
+    members = materialize(sig.join(classes, "set_hash").select("doc_id", "rep", "n").distinct(), "edges-members", narrow=True)
+    sizes = members.filter("doc_id = rep")
+    own = _only(docs, sizes.select("doc_id"))
+    total = sizes.agg(F.sum("n")).first()[0] or 0
+    rows = _prefixes(own, size, low, total).withColumn("df", F.count("*").over(Window.partitionBy("token")))
     rows = materialize(rows.filter("df > 1").drop("df"), "edges-prefixes")
     x, y = (rows.select("token", *(F.col(c).alias(f"{c}_{k}") for c in ("rep", "size", "pos", "index"))) for k in "xy")
     need = F.ceil(F.lit(low / (1 + low)) * (F.col("size_x") + F.col("size_y")))
@@ -185,7 +260,7 @@ def similar_classes(docs: DataFrame, tau: float = 0.5, size: int = 4) -> tuple[D
     pairs = x.join(y.filter("index_y"), "token").filter(fits).select(F.least("rep_x", "rep_y").alias("x"), F.greatest("rep_x", "rep_y").alias("y")).distinct()
     pairs = materialize(pairs, "edges-pairs", narrow=True)
     jaccard = F.round(F.col("both") / (F.col("total") - F.col("both")), 6)
-    links = _shared_counts(pairs, sets).select("x", "y", jaccard.alias("jaccard")).filter(F.col("jaccard") >= tau)
+    links = _shared_counts(pairs, docs, sizes, size).select("x", "y", jaccard.alias("jaccard")).filter(F.col("jaccard") >= tau)
     return members, materialize(links, "edges-links", narrow=True)
 
 

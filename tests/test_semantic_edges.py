@@ -47,3 +47,21 @@ def test_large_groups_are_whole(spark):
         family[max(a, b)] = min(a, b)
     family = {i: root(i) for i in family}
     assert {r["doc_id"]: r["family"] for r in M.semantic_families(df).collect()} == family
+
+
+def test_texts_without_a_partner_leave_little_on_disk(spark):
+    """What is stored for texts that share nothing is far less than the texts, which hold some eight bytes a shingle."""
+    from pathlib import Path
+
+    from factlake.sources.scratch import scratch_root
+
+    rnd = random.Random(2)
+    texts = [" ".join(f"w{rnd.randint(0, 50_000)}" for _ in range(2000)) for _ in range(100)]
+    texts += [texts[0] + " and more", texts[1]]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    root = Path(scratch_root(spark)) / "factlake"
+    stored = lambda: sum(f.stat().st_size for f in root.glob("edges-*/*.parquet"))
+    before = stored()
+    got = {(r["src"], r["dst"]) for r in M.semantic_edges(df).collect()}
+    assert got == {(100, 0), (101, 1)}
+    assert stored() - before < sum(map(len, texts)) / 4
