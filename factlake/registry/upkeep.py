@@ -148,8 +148,8 @@ def maint_contradictions_value(spark, d):
 
 @query("maint_marked", ORD + f", {PAIRS}, tr AS (SELECT unit_id, {TRUST} AS trust FROM u), bo AS (SELECT a AS unit_id, b AS other FROM pairs UNION ALL SELECT b, a FROM pairs) SELECT bo.unit_id, count(*) AS conflicts, bool_or(x.trust < y.trust) AS loses FROM bo JOIN tr x ON x.unit_id = bo.unit_id JOIN tr y ON y.unit_id = other GROUP BY bo.unit_id")
 def maint_marked(spark, d):
-    u = aged(spark, d)
-    return M.marked(u, M.value_conflicts(u))
+    u = G.order_units(spark, d)
+    return M.marked(L.step_trust(u, now(), P365.but(libm=True)), M.value_conflicts(u))
 
 
 SHINGLES = "w AS (SELECT doc_id, list_filter(regexp_split_to_array(lower(text), '\\s+'), lambda x: x <> '') AS w FROM documents), sh AS (SELECT doc_id, list_distinct(list_transform(range(1, len(w) - 2), lambda i: md5(w[i] || ' ' || w[i + 1] || ' ' || w[i + 2] || ' ' || w[i + 3]))) AS s FROM w WHERE len(w) >= 4), ex AS (SELECT doc_id, unnest(s) AS g FROM sh), held AS (SELECT g, count(*) AS df FROM ex GROUP BY g), pre AS (SELECT doc_id, g FROM (SELECT doc_id, g, df, row_number() OVER (PARTITION BY doc_id ORDER BY df, g) AS r, count(*) OVER (PARTITION BY doc_id) AS n FROM ex JOIN held USING (g)) WHERE df > 1 AND r <= n - ceil(0.499999 * n) + 1), pr AS (SELECT DISTINCT a.doc_id AS dst, b.doc_id AS src FROM pre a JOIN pre b ON a.g = b.g AND a.doc_id < b.doc_id), jac AS (SELECT src, dst, round(len(list_intersect(x.s, y.s)) / CAST(len(x.s) + len(y.s) - len(list_intersect(x.s, y.s)) AS DOUBLE), 6) AS jaccard FROM pr JOIN sh x ON x.doc_id = src JOIN sh y ON y.doc_id = dst)"

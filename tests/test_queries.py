@@ -43,6 +43,17 @@ def test_same_as_sql(spark, sf, duck, name):
     assert sorted(tuple(plain(r[c]) for c in cols) for r in got.collect()) == want
 
 
+def test_trusts_that_differ_in_the_last_bit(spark, duck, tmp_path):
+    """A wiki order a half-life older than a rumour has the same trust but for rounding: who loses is decided as in SQL."""
+    con = duckdb.connect()
+    con.execute(f"""COPY (SELECT a * 2 + x AS o_orderkey, a AS o_custkey, TIMESTAMP '2001-08-02' - to_days(CAST(a + 365 * x AS INTEGER)) AS o_orderdate, CAST(100 + x AS DOUBLE) AS o_totalprice,
+        CASE WHEN x = 1 THEN '4-NOT SPECIFIED' ELSE '5-LOW' END AS o_orderpriority FROM range(1500) t(a), range(2) s(x)) TO '{tmp_path}/orders.parquet'""")
+    con.execute(f"CREATE VIEW orders AS SELECT * FROM '{tmp_path}/orders.parquet'")
+    want = sorted(con.execute(base.ORACLES["maint_marked"]).fetchall())
+    got = sorted((r["unit_id"], r["conflicts"], r["loses"]) for r in base.QUERIES["maint_marked"](spark, str(tmp_path)).collect())
+    assert len(got) == 3000 and got == want
+
+
 def test_entry(spark):
     assert entry.entry(spark).count() > 0
 
