@@ -375,8 +375,8 @@ def src_json_csv(spark, d):
     return back.crossJoin(spark.read.schema("source string, prior_trust double").csv(b, header=True).agg(F.round(F.sum("prior_trust"), 6).alias("prior")))
 
 
-@query("sql_dormant_age", f"SELECT source, round(30.0 * log2(prior / 0.15), 6) AS days FROM (SELECT unnest(['official_db', 'policy', 'tech_doc', 'wiki', 'chat']) AS source, unnest([0.95, 0.9, 0.8, 0.6, 0.3]) AS prior)")
+@query("sql_dormant_age", f"SELECT source, days, count(*) AS units, count(CASE WHEN age > days THEN 1 END) AS past FROM (SELECT source, age, round(30.0 * log2(prior / 0.15), 6) AS days FROM (SELECT {B._case('o_orderpriority', B.CLASS)} AS source, CAST({B._case('o_orderpriority', {k: B.PRIOR[v] for k, v in B.CLASS.items()})} AS DOUBLE) AS prior, {B.days('o_orderdate', B.NOW)} AS age FROM orders)) GROUP BY source, days")
 def sql_dormant_age(spark, d):
-    """Age at which a unit without feedback goes dormant, in closed form."""
-    return G.authority(spark).select("source", r6(30.0 * F.log2(F.col("prior_trust") / 0.15), "days"))
-
+    """Age at which a unit without feedback goes dormant, in closed form, and how many orders of each source are past it."""
+    u = G.order_units(spark, d).select("source", S.age_days(F.col("born_at"), G.at(G.NOW)).alias("age"), F.round(30.0 * F.log2(F.col("prior_trust") / 0.15), 6).alias("days"))
+    return u.groupBy("source", "days").agg(F.count("*").alias("units"), F.count_if(F.col("age") > F.col("days")).alias("past"))

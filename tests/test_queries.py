@@ -43,6 +43,17 @@ def test_same_as_sql(spark, sf, duck, name):
     assert sorted(tuple(plain(r[c]) for c in cols) for r in got.collect()) == want
 
 
+@pytest.mark.parametrize("name", ["corpus_policy", "floor_crossover", "rank_m3_policy", "rank_m4_policy", "sig_trajectory", "sql_dormant_age"])
+def test_reads_a_given_table(spark, sf, duck, name):
+    """Same as SQL, and another result on other tables."""
+    rows = lambda where: sorted(tuple(plain(v) for v in r) for r in base.QUERIES[name](spark, where).select(*cols).collect())
+    cur = duck.execute(base.ORACLES[name])
+    cols = [c[0] for c in cur.description]
+    got = rows(sf)
+    assert got == sorted(tuple(plain(v) for v in r) for r in cur.fetchall())
+    assert got != rows(sf.replace("0.001", "0.01"))
+
+
 def test_trusts_that_differ_in_the_last_bit(spark, duck, tmp_path):
     """A wiki order a half-life older than a rumour has the same trust but for rounding: who loses is decided as in SQL."""
     con = duckdb.connect()
