@@ -129,6 +129,28 @@ def test_terms_of_middling_frequency_are_common(spark):
     assert rows(R.candidates(queries, index, 8)) == rows(R.candidates_all(queries, index, 8))
 
 
+def test_stored_index_sends_no_rows_of_hot_terms(spark):
+    """Terms of very many units are counted in place; counts, and lists deeper than a text's own rare units, are those of all postings."""
+    from factlake.operators import retrieval as R
+
+    units = spark.createDataFrame([(f"u{i}", f"acct{i // 70} seg{i % 3} nation{i % 15} v{i % 7}" + " pad" * (i % 4)) for i in range(600)] + [("none", None), ("empty", "")], "unit_id string, body string")
+    count = lambda rows: sorted((r["unit_id"], r["term"], r["tf"]) for r in rows.collect())
+    explode = "unit_id, inline(bag)"
+    assert count(R.bags(units, "unit_id", "body").selectExpr(*explode.split(", "))) == count(R.terms(units, "unit_id", "body"))
+    was, R.HOT = R.HOT, 40
+    try:
+        index = R.index(units, hold=lambda name, df, on: R.materialize(df, name))
+    finally:
+        R.HOT = was
+    hot = {r["term"] for r in index.hot.collect()}
+    assert {"seg0", "seg1", "seg2", "pad"} <= hot and not hot & {r["term"] for r in index.sent.collect()}
+    plain = lambda i: {(r["term"], r["df"], r["common"]) for r in i.lexicon.collect()}
+    assert plain(index) == plain(R.index(units))
+    queries = spark.createDataFrame(list(enumerate([f"acct{i} seg{i % 3} nation{i % 15}" for i in range(6)] + ["seg1 nation2", "v3 pad"])), "query_id long, text string")
+    rows = lambda df: sorted((r["query_id"], r["first_rank"], r["unit_id"], round(r["sim"], 8)) for r in df.collect())
+    assert rows(R.candidates(queries, index, 8)) == rows(R.candidates_all(queries, index, 8))
+
+
 @pytest.mark.parametrize("scale", ["0.001", "0.01"])
 def test_lsh_recall(spark, scale):
     assert base.QUERIES["cand_lsh_recall"](spark, f"/root/testdata/sf{scale}").first()["recall"] >= 0.9
