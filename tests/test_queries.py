@@ -151,6 +151,55 @@ def test_stored_index_sends_no_rows_of_hot_terms(spark):
     assert rows(R.candidates(queries, index, 8)) == rows(R.candidates_all(queries, index, 8))
 
 
+def test_order_corpus_is_sent_once_for_all_its_queries(spark, sf):
+    """One exchange of the units makes every kind of query, and the sources' trust starts no Python workers."""
+    from factlake.sources import given as G
+
+    units = G.order_units(spark, sf)
+    plan = lambda df: df._jdf.queryExecution().executedPlan().toString()
+    assert "Scan ExistingRDD" not in plan(units)
+    stored = _stored(units)
+    queries = G.order_queries(stored)
+    assert plan(queries).count("Exchange hashpartitioning") == 1
+    kinds = {r["kind"]: r["n"] for r in queries.groupBy("kind").count().withColumnRenamed("count", "n").collect()}
+    assert set(kinds) == {"current", "time_point", "conflict"} and queries.count() == queries.select("query_id").distinct().count()
+    assert sorted(map(tuple, G.order_queries(stored, ("current",)).collect())) == sorted(map(tuple, queries.filter("kind = 'current'").collect()))
+
+
+def _stored(df):
+    from factlake.sources.scratch import materialize
+
+    return materialize(df, "test-units")
+
+
+def test_forward_table_is_stored_beside_what_needs_no_forward_table(spark):
+    """Texts are looked up while the forward table is still being stored; its failure is not lost."""
+    import threading
+
+    from factlake.operators import retrieval as R
+
+    units = spark.createDataFrame([(f"u{i}", f"acct{i // 5} seg{i % 3} v{i}") for i in range(300)], "unit_id string, body string")
+    go = threading.Event()
+
+    def hold(name, df, on):
+        if name == "forward":
+            assert go.wait(300)
+        return R.materialize(df, name)
+
+    index = R.index(units, hold=hold)
+    assert not index.made.done() and {r["term"] for r in index.lexicon.filter("common").collect()} >= {"seg0", "seg1", "seg2"}
+    go.set()
+    assert index.forward.count() == 300
+
+    def broken(name, df, on):
+        if name == "forward":
+            raise ValueError("no room")
+        return R.materialize(df, name)
+
+    with pytest.raises(ValueError, match="no room"):
+        R.index(units, hold=broken).forward
+
+
 @pytest.mark.parametrize("scale", ["0.001", "0.01"])
 def test_lsh_recall(spark, scale):
     assert base.QUERIES["cand_lsh_recall"](spark, f"/root/testdata/sf{scale}").first()["recall"] >= 0.9
