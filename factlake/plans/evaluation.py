@@ -47,23 +47,38 @@ def ece(j: DataFrame, bins: int = 10) -> DataFrame:
     return r.agg(F.round(F.sum(F.col("n") * F.abs(F.col("conf") - F.col("accuracy"))) / F.sum("n"), 6).alias("ece"))
 
 
-def winners(scored: DataFrame, vectors: dict[str, Weights]) -> DataFrame:
-    """query_id and, for every weight vector, its best candidate as a struct named by it: one pass and one grouping for all."""
-    out = []
-    for name, w in vectors.items():
-        final = F.round(S.final(F.col("sim"), F.col("temporal"), F.col("trust"), F.col("relational"), w), 9)
-        out.append(F.min_by(F.struct("unit_id", "status", "is_rumour", "sim", "trust"), F.struct(-final, -F.col("sim"), F.col("unit_id"))).alias(str(name)))
-    return scored.groupBy("query_id").agg(*out)
+def winners(scored: DataFrame, vectors: dict[object, Weights]) -> DataFrame:
+    """The candidates that are some weight vector's best, and those vectors' names (won): candidates are sent and sorted once for all."""
+    order = Window.partitionBy("query_id").orderBy(F.desc("sim"), F.asc("unit_id"))  # decides between equal scores
+    all_ = order.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    show, at = ["query_id", "unit_id", "status", "is_rumour", "sim", "trust"], range(len(vectors))
+    finals = [F.round(S.final(F.col("sim"), F.col("temporal"), F.col("trust"), F.col("relational"), w), 9).alias(f"_f{i}") for i, w in enumerate(vectors.values())]
+    rows = scored.select(*show, *finals)
+    rows = rows.select(*show, *(F.col(f"_f{i}").eqNullSafe(F.max(f"_f{i}").over(all_)).alias(f"_m{i}") for i in at), F.row_number().over(order).alias("_n"))
+    rows = rows.select(*show, *((F.col("_n") == F.min(F.when(F.col(f"_m{i}"), F.col("_n"))).over(all_)).alias(f"_w{i}") for i in at))
+    won = F.array_compact(F.array(*(F.when(F.col(f"_w{i}"), F.lit(n)) for i, n in enumerate(vectors))))
+    return rows.select(*show, won.alias("won")).filter(F.size("won") > 0)
 
 
 def compare(scored: DataFrame, queries: DataFrame, vectors: dict[object, tuple[Weights, str]], name: str) -> DataFrame:
     """The main measures and the calibration error of every weight vector (with its column of confidence), a row each."""
     top = winners(scored, {n: w for n, (w, _) in vectors.items()})
     rows = queries.select("query_id", "kind", "truth").join(top, "query_id", "left")
-    conf = [F.struct(F.lit(n).alias(name), F.col(f"{n}.unit_id").alias("unit_id"), F.col(f"{n}.status").alias("status"), F.col(f"{n}.is_rumour").alias("is_rumour"), F.col(f"{n}.{c}").alias("conf")) for n, (_, c) in vectors.items()]
-    j = _marks(rows.select("kind", "truth", F.explode(F.array(*conf)).alias("x")).select("kind", "truth", "x.*"))
-    bins = reliability(j, by=(name,)).groupBy(name).agg(F.round(F.sum(F.col("n") * F.abs(F.col("conf") - F.col("accuracy"))) / F.sum("n"), 6).alias("ece"))
-    return summary(j, name).join(F.broadcast(bins), name, "left")
+    # a query without candidates has no answer under any vector
+    rows = rows.withColumn(name, F.explode(F.coalesce("won", F.array(*map(F.lit, vectors)))))
+    conf = F.coalesce(*(F.when(F.col(name) == n, F.col(c)) for n, (_, c) in vectors.items()))
+    return _measures(_marks(rows.withColumn("conf", conf)), name)
+
+
+def _measures(j: DataFrame, name: str, bins: int = 10) -> DataFrame:
+    """``summary`` and ``ece`` for each value of ``name``, in one pass over the answers."""
+    b = F.when(F.col("conf").isNotNull(), F.least(F.floor(F.col("conf") * bins), F.lit(bins - 1)).cast("long"))
+    parts = {"": F.lit(True), **{f"_{k}": F.col("kind") == k for k in ("current", "time_point", "conflict")}, "_asked": F.col("kind").isin("current", "conflict")}
+    sums = [F.sum(F.when(on, F.col(c))).alias(f"{c}{k}") for k, on in parts.items() for c in ("right", "stale", "misled")]
+    j = j.groupBy(name, b.alias("bin")).agg(F.count("*").alias("n"), F.avg("conf").alias("conf"), F.avg("right").alias("accuracy"), *(F.count_if(on).alias(f"n{k}") for k, on in parts.items() if k), *sums)
+    mean = lambda c, k="": F.round(F.sum(f"{c}{k}") / F.nullif(F.sum(f"n{k}"), F.lit(0)), 6)
+    gap, answered = F.when(F.col("bin").isNotNull(), F.col("n") * F.abs(F.col("conf") - F.col("accuracy"))), F.when(F.col("bin").isNotNull(), F.col("n"))
+    return j.groupBy(name).agg(F.sum("n").alias("n"), mean("right").alias("overall"), *(mean("right", f"_{k}").alias(k) for k in ("current", "time_point", "conflict")), mean("stale", "_current").alias("stale"), mean("misled", "_asked").alias("misled"), F.round(F.sum(gap) / F.sum(answered), 6).alias("ece"))
 
 
 def top_by_weights(scored: DataFrame, weights: DataFrame) -> DataFrame:
