@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from factlake.functions import signals as S
+from factlake.functions.worlds import inside
 from factlake.params import RANKERS, Weights, grid
 
 
@@ -70,15 +71,35 @@ def compare(scored: DataFrame, queries: DataFrame, vectors: dict[object, tuple[W
     return _measures(_marks(rows.withColumn("conf", conf)), name)
 
 
-def _measures(j: DataFrame, name: str, bins: int = 10) -> DataFrame:
+def compare_worlds(scored: DataFrame, queries: DataFrame, vectors: dict[str, tuple[Weights, str]], name: str, worlds: int) -> DataFrame:
+    """``compare`` in each of several worlds (world: its number).
+
+    Candidates have a similarity for each world (sim_0, ...; null where they are none), queries the worlds in which they
+    are asked. Both are sent once, and one grouping finds the winners of all: the same that sorting each would give.
+    """
+    each = [(i, n) for i in range(worlds) for n in vectors]
+
+    def first(i, n):
+        (w, conf), sim = vectors[n], F.col(f"sim_{i}")
+        final = F.round(S.final(sim, F.col("temporal"), F.col("trust"), F.col("relational"), w), 9)
+        row = F.struct((-final).alias("less"), (-sim).alias("far"), "unit_id", "status", "is_rumour", (sim if conf == "sim" else F.col(conf)).alias("conf"))
+        return F.min(F.when(sim.isNotNull(), row)).alias(f"top_{i}_{n}")
+
+    rows = queries.select("query_id", "kind", "truth", "worlds").join(scored.groupBy("query_id").agg(*(first(i, n) for i, n in each)), "query_id", "left")
+    asked = F.array_compact(F.array(*(F.when(inside(i), F.struct(F.lit(i).alias("world"), F.lit(n).alias(name), F.col(f"top_{i}_{n}").alias("top"))) for i, n in each)))
+    rows = rows.select("kind", "truth", F.explode(asked).alias("e")).select("kind", "truth", "e.world", f"e.{name}", *(f"e.top.{c}" for c in ("unit_id", "status", "is_rumour", "conf")))
+    return _measures(_marks(rows), "world", name)
+
+
+def _measures(j: DataFrame, *name: str, bins: int = 10) -> DataFrame:
     """``summary`` and ``ece`` for each value of ``name``, in one pass over the answers."""
     b = F.when(F.col("conf").isNotNull(), F.least(F.floor(F.col("conf") * bins), F.lit(bins - 1)).cast("long"))
     parts = {"": F.lit(True), **{f"_{k}": F.col("kind") == k for k in ("current", "time_point", "conflict")}, "_asked": F.col("kind").isin("current", "conflict")}
     sums = [F.sum(F.when(on, F.col(c))).alias(f"{c}{k}") for k, on in parts.items() for c in ("right", "stale", "misled")]
-    j = j.groupBy(name, b.alias("bin")).agg(F.count("*").alias("n"), F.avg("conf").alias("conf"), F.avg("right").alias("accuracy"), *(F.count_if(on).alias(f"n{k}") for k, on in parts.items() if k), *sums)
+    j = j.groupBy(*name, b.alias("bin")).agg(F.count("*").alias("n"), F.avg("conf").alias("conf"), F.avg("right").alias("accuracy"), *(F.count_if(on).alias(f"n{k}") for k, on in parts.items() if k), *sums)
     mean = lambda c, k="": F.round(F.sum(f"{c}{k}") / F.nullif(F.sum(f"n{k}"), F.lit(0)), 6)
     gap, answered = F.when(F.col("bin").isNotNull(), F.col("n") * F.abs(F.col("conf") - F.col("accuracy"))), F.when(F.col("bin").isNotNull(), F.col("n"))
-    return j.groupBy(name).agg(F.sum("n").alias("n"), mean("right").alias("overall"), *(mean("right", f"_{k}").alias(k) for k in ("current", "time_point", "conflict")), mean("stale", "_current").alias("stale"), mean("misled", "_asked").alias("misled"), F.round(F.sum(gap) / F.sum(answered), 6).alias("ece"))
+    return j.groupBy(*name).agg(F.sum("n").alias("n"), mean("right").alias("overall"), *(mean("right", f"_{k}").alias(k) for k in ("current", "time_point", "conflict")), mean("stale", "_current").alias("stale"), mean("misled", "_asked").alias("misled"), F.round(F.sum(gap) / F.sum(answered), 6).alias("ece"))
 
 
 def top_by_weights(scored: DataFrame, weights: DataFrame) -> DataFrame:

@@ -263,3 +263,41 @@ def test_winners_of_all_vectors_by_one_exchange(spark):
         assert {k: got[n][k] for k in want} == pytest.approx(want), n
     plan = E.winners(scored, {n: w for n, (w, _) in vectors.items()})._jdf.queryExecution().executedPlan().toString()
     assert plan.count("Exchange hashpartitioning") == 1 and "Aggregate" not in plan
+
+
+def test_sweep_of_rates_makes_one_index(spark, sf, duck, monkeypatch):
+    """All rates share units, index and candidates, each with its own weights; the rows are those of SQL."""
+    from factlake.operators import retrieval as R
+
+    made, real = [], R.index
+    monkeypatch.setattr(R, "index", lambda *a, **k: made.append(a) or real(*a, **k))
+    got = base.QUERIES["eval_sweep_orders"](spark, sf)
+    cur = duck.execute(base.ORACLES["eval_sweep_orders"])
+    cols = [c[0] for c in cur.description]
+    want = sorted(tuple(plain(v) for v in r) for r in cur.fetchall())
+    assert sorted(tuple(plain(r[c]) for c in cols) for r in got.collect()) == want
+    assert len(made) <= 1
+
+
+@pytest.mark.parametrize("rare, hot, unroll", [(64, 20000, 8), (5, 20, 8), (5, 20000, 2), (10**6, 20000, 8)])
+def test_candidates_of_worlds_are_those_of_each_world(spark, monkeypatch, rare, hot, unroll):
+    """Units in some of three worlds; terms and texts that a world doesn't know; the same lists as by every posting of that world."""
+    import random
+
+    from factlake.operators import retrieval as R
+
+    for name, value in (("RARE", rare), ("HOT", hot), ("UNROLL", unroll), ("DEEP", 4)):
+        monkeypatch.setattr(R, name, value)
+    rnd = random.Random(5)
+    word = lambda: rnd.choice("red blue green hot cold".split()) if rnd.random() < 0.6 else f"w{rnd.randint(0, 120)}"
+    rows = [(f"u{i}", " ".join(word() for _ in range(rnd.randint(1, 5))), rnd.choice([7, 7, 7, 6, 4, 1])) for i in range(900)]
+    rows += [(f"only{i}", "odd couple", 4) for i in range(80)] + [("empty", "", 7), ("none", None, 2)]
+    units = _stored(spark.createDataFrame(rows, "unit_id string, body string, worlds int"))
+    asked = [" ".join(word() for _ in range(rnd.randint(1, 4))) for _ in range(80)] + ["red blue", "red blue", "odd couple", "odd red", "unknown", "", "hot"]
+    queries = spark.createDataFrame(list(enumerate(asked)), "query_id long, text string")
+    index = R.index(units, hold=lambda name, df, on: R.materialize(df, name), worlds=3)
+    got = R.candidates(queries, index, 8).collect()
+    for i in range(3):
+        own = units.filter(f"worlds & {1 << i} <> 0")
+        want = sorted((r["query_id"], r["first_rank"], r["unit_id"], round(r["sim"], 8)) for r in R.candidates_all(queries, R.index(own), 8).collect())
+        assert sorted((r["query_id"], r[f"first_rank_{i}"], r["unit_id"], round(r[f"sim_{i}"], 8)) for r in got if r[f"sim_{i}"] is not None) == want
